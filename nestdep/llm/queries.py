@@ -24,6 +24,21 @@ def op1_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", "n_tokens", F.sha2("token_ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
+def op3_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .mixing import plan_mix
+
+    out = plan_mix(table(spark, sf_dir, "documents"))
+    return out.select(F.col("id").alias("doc_id"), "size", "source_size", "target", "taken", "source", F.transform("draws", lambda d: d["shard"]).alias("shards"))
+
+
+def op4_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .warc import archive_dir, read_archives, write_archives
+
+    where = archive_dir(spark)
+    write_archives(table(spark, sf_dir, "pages"), where)
+    return read_archives(spark, where).select(F.col("id").alias("page_id"), "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
 def op5_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .pii import BASE_KINDS, KINDS, find_pii, spans_text
 
@@ -50,12 +65,21 @@ def op10_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     "op1_bpe": op1_bpe,
+    "op3_mix": op3_mix,
+    "op4_warc": op4_warc,
     "op5_pii": op5_pii,
     "op9_quality": op9_quality,
     "op10_substrings": op10_substrings,
 }
 
 SQL: dict[str, str] = {
+    "op4_warc": """
+        WITH p AS (SELECT page_id, coalesce(html, '') AS h, octet_length(encode(coalesce(html, '')))::BIGINT AS n, sha1(coalesce(html, '')) AS d FROM pages),
+        b AS (SELECT d, max(page_id) AS best FROM p WHERE n >= 1000 GROUP BY d)
+        SELECT page_id, n AS payload_bytes, d AS payload_digest,
+               CASE WHEN page_id < best THEN 'revisit' ELSE 'response' END AS record_type,
+               CASE WHEN page_id < best THEN best END AS refers_to
+        FROM p LEFT JOIN b USING (d)""",
     "op10_substrings": rf"""
         WITH w AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '{WORD}') AS ws FROM documents),
         s AS (SELECT doc_id, ws, unnest(range(1, len(ws) - 48)) AS i FROM w WHERE len(ws) >= 50),
