@@ -81,7 +81,7 @@ class _Bundle:
     def __init__(self, directory: str, name: str) -> None:
         fs, path = _store(directory)
         fs.create_dir(path, recursive=True)
-        self.name, self.out = name, fs.open_output_stream(f"{path}/{name}")
+        self.name, self.out = name, fs.open_output_stream(f"{path}/{name}", compression=None)
         self.frames: list[tuple[int, int]] = []
         self.parts: list[bytes] = []
         self.size = self.written = 0
