@@ -10,7 +10,8 @@ function of the window's words alone, so equal windows have equal minimisers.
 Only minimisers are counted first, about two for every `window` words.  Windows
 whose minimiser stays within one document cannot repeat, and only the others
 have their 128-bit hashes shuffled and counted.  Nothing is lost by this; it
-is a filter without false negatives.  No group of rows is ever gathered: the
+is a filter without false negatives.  Exact copies of a smaller document are
+told by their digest; all their windows repeat, so none is counted.  No group of rows is ever gathered: the
 smallest document of a hash comes from a partial aggregate and is joined back.
 
 Defined cases: a null text is empty; a null id counts as larger than any other
@@ -136,8 +137,9 @@ def _cut(window: int):
                 step = np.zeros(total + 1, dtype=np.int64)
                 np.add.at(step, at, 1)
                 np.add.at(step, at + window, -1)
-                gone = np.cumsum(step[:-1]) > 0
                 docs = words.docs()
+                copy = part.column("copy").fill_null(False).to_numpy(zero_copy_only=False) & (words.counts >= window)
+                gone = (np.cumsum(step[:-1]) > 0) | copy[docs]
                 removed = np.bincount(docs[gone], minlength=part.num_rows)
                 # Maximal runs of removed words, cut at the borders of documents.
                 before = np.zeros(total, dtype=bool)
@@ -164,19 +166,28 @@ def _cut(window: int):
 
 def remove_repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window: int = 50) -> DataFrame:
     """One row per input row: id, n_words, n_removed, spans (word intervals), kept_text."""
+    ident = F.col(id_col).cast("long")
     base = docs.select(
-        F.col(id_col).cast("long").alias("id"),
-        F.coalesce(F.col(id_col).cast("long"), F.lit(_LAST)).alias("ord"),
-        F.xxhash64(F.col(id_col).cast("long"), F.col(text_col)).alias("key"),
+        ident.alias("id"),
+        F.coalesce(ident, F.lit(_LAST)).alias("ord"),
+        F.xxhash64(ident, F.col(text_col)).alias("key"),
         F.coalesce(F.col(text_col), F.lit("")).alias("text"),
     )
+    # A whole copy of a smaller document goes as one: its windows need not be counted.
+    narrow = written(base.select("ord", "key", F.md5("text").alias("whole")), "wholes")
+    lowest = narrow.groupBy("whole").agg(F.min(F.struct("ord", "key")).alias("one"))
+    copies = narrow.join(lowest, "whole").where("ord > one.ord").select("key").distinct()
     marks = written(base.mapInArrow(_minimisers(window), "mark long, ord long, key long"), "marks")
-    shared = marks.groupBy("mark").agg(F.min("ord").alias("lo"), F.max("ord").alias("hi")).where("lo < hi").select("mark")
-    wanted = marks.join(shared, "mark").groupBy("key").agg(F.collect_set("mark").alias("marks"))
+    own = marks.join(lowest.select(F.col("one.key").alias("key")), "key", "left_semi")
+    shared = own.groupBy("mark").agg(F.min("ord").alias("lo"), F.max("ord").alias("hi")).where("lo < hi").select("mark")
+    wanted = own.join(shared, "mark").groupBy("key").agg(F.collect_set("mark").alias("marks"))
     picked = base.select("key", "ord", "text").join(wanted, "key")
     rows = written(picked.mapInArrow(_candidates(window), "h1 long, h2 long, ord long, key long, at int"), "windows")
     first = rows.groupBy("h1", "h2").agg(F.min("ord").alias("lo"), F.max("ord").alias("hi")).where("lo < hi").select("h1", "h2", "lo")
     found = rows.join(first, ["h1", "h2"]).where("ord > lo").groupBy("key").agg(F.collect_set("at").alias("found"))
-    out = base.select("id", "key", "text").join(found, "key", "left")
+    gone = found.select("key", "found", F.lit(False).alias("copy")).unionByName(
+        copies.select("key", F.array().cast("array<int>").alias("found"), F.lit(True).alias("copy"))
+    )
+    out = base.select("id", "key", "text").join(gone, "key", "left")
     done = out.mapInArrow(_cut(window), "id long, n_words long, n_removed long, spans array<struct<start:int,end:int>>, kept_text string")
     return done.withColumnRenamed("id", id_col)
