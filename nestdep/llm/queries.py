@@ -56,6 +56,14 @@ def op5_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", *counts, F.sha2(spans_text(base), 256).alias("base_sha256"), spans_text(every).alias("spans"))
 
 
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .toxicity import fit, held_out, score_toxicity
+
+    docs = table(spark, sf_dir, "documents")
+    scored = score_toxicity(docs, fit(docs, table(spark, sf_dir, "labels")))
+    return scored.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", "predicted")
+
+
 def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .quality_rules import quality_measures, quality_verdict
 
@@ -75,6 +83,7 @@ QUERIES = {
     "op3_mix": op3_mix,
     "op4_warc": op4_warc,
     "op5_pii": op5_pii,
+    "op8_toxicity": op8_toxicity,
     "op9_quality": op9_quality,
     "op10_substrings": op10_substrings,
 }
