@@ -56,6 +56,13 @@ def op5_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", *counts, F.sha2(spans_text(base), 256).alias("base_sha256"), spans_text(every).alias("spans"))
 
 
+def op7_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .lm_scoring import held_out, score_texts, train
+
+    docs = table(spark, sf_dir, "documents")
+    return score_texts(docs, train(docs.where(~held_out(F.col("doc_id")))))
+
+
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .toxicity import fit, held_out, score_toxicity
 
@@ -83,6 +90,7 @@ QUERIES = {
     "op3_mix": op3_mix,
     "op4_warc": op4_warc,
     "op5_pii": op5_pii,
+    "op7_lm": op7_lm,
     "op8_toxicity": op8_toxicity,
     "op9_quality": op9_quality,
     "op10_substrings": op10_substrings,
