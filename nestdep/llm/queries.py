@@ -56,6 +56,13 @@ def op5_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", *counts, F.sha2(spans_text(base), 256).alias("base_sha256"), spans_text(every).alias("spans"))
 
 
+def op6_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .near_dedup import near_classes
+
+    out = near_classes(table(spark, sf_dir, "documents"))
+    return out.select(F.col("id").alias("doc_id"), "class_id", "class_size", "stays")
+
+
 def op7_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .lm_scoring import held_out, score_texts, train
 
@@ -90,6 +97,7 @@ QUERIES = {
     "op3_mix": op3_mix,
     "op4_warc": op4_warc,
     "op5_pii": op5_pii,
+    "op6_near_dedup": op6_near_dedup,
     "op7_lm": op7_lm,
     "op8_toxicity": op8_toxicity,
     "op9_quality": op9_quality,
