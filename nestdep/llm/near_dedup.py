@@ -97,7 +97,7 @@ def signatures(docs: np.ndarray, hashes: np.ndarray, weights: np.ndarray, n_docs
         ident = np.zeros(n_docs * positions, dtype=np.uint64)
         step = 0
         while len(live):
-            point = mix(seed[live] + _U(0x9E3779B97F4A7C15) * _U(step + 1))
+            point = mix(seed[live] + _U(0x9E3779B97F4A7C15 * (step + 1) % (1 << 64)))
             time = time - np.log(_uniform(point)) / rate[live]
             on = time <= bound[owner[live]]
             live, time, point = live[on], time[on], point[on]
