@@ -178,16 +178,16 @@ def remove_repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col:
     lowest = narrow.groupBy("whole").agg(F.min(F.struct("ord", "key")).alias("one"))
     copies = narrow.join(lowest, "whole").where("ord > one.ord").select("key").distinct()
     marks = written(base.mapInArrow(_minimisers(window), "mark long, ord long, key long"), "marks")
-    own = marks.join(lowest.select(F.col("one.key").alias("key")), "key", "left_semi")
-    shared = own.groupBy("mark").agg(F.min("ord").alias("lo"), F.max("ord").alias("hi")).where("lo < hi").select("mark")
-    wanted = own.join(shared, "mark").groupBy("key").agg(F.collect_set("mark").alias("marks"))
-    picked = base.select("key", "ord", "text").join(wanted, "key")
-    rows = written(picked.mapInArrow(_candidates(window), "h1 long, h2 long, ord long, key long, at int"), "windows")
+    shared = marks.groupBy("mark").agg(F.min("ord").alias("lo"), F.max("ord").alias("hi")).where("lo < hi").select("mark")
+    wanted = marks.select("mark", "key").join(shared, "mark").groupBy("key").agg(F.collect_set("mark").alias("marks"))
+    wanted = wanted.join(lowest.select(F.col("one.key").alias("key")), "key", "left_semi")
+    # Both joins with the texts ask for the same columns, so that one exchange of the texts serves both.
+    rows = base.join(wanted, "key").mapInArrow(_candidates(window), "h1 long, h2 long, ord long, key long, at int")
     first = rows.groupBy("h1", "h2").agg(F.min("ord").alias("lo"), F.max("ord").alias("hi")).where("lo < hi").select("h1", "h2", "lo")
     found = rows.join(first, ["h1", "h2"]).where("ord > lo").groupBy("key").agg(F.collect_set("at").alias("found"))
     gone = found.select("key", "found", F.lit(False).alias("copy")).unionByName(
         copies.select("key", F.array().cast("array<int>").alias("found"), F.lit(True).alias("copy"))
     )
-    out = base.select("id", "key", "text").join(gone, "key", "left")
+    out = base.join(gone, "key", "left")
     done = out.mapInArrow(_cut(window), "id long, n_words long, n_removed long, spans array<struct<start:int,end:int>>, kept_text string")
     return done.withColumnRenamed("id", id_col)
