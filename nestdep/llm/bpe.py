@@ -31,7 +31,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-_CACHE_PIECES = 500_000
+_CACHE_PIECES = 400_000
 _CACHE_PAIRS = 1_000_000
 _ODD_SPACE = re.compile("[\x1c-\x1f]")
 _BEYOND_LATIN = re.compile("[^\x00-\u024f]")
@@ -70,7 +70,9 @@ class WordBpe:
         self.longest = max(map(len, self.ids))
         self.apart: dict[tuple[str, str], bool] = {}
         self.pieces: dict[str, tuple[int, bytes, str]] = {}
+        self.words: dict[str, tuple[int, bytes, str]] = {}
         self.whole: dict[str, bool] = {}
+        self.four = {t: i.to_bytes(4, "little") for t, i in self.ids.items()}
 
     # -- states of the trie -------------------------------------------------
 
@@ -129,7 +131,9 @@ class WordBpe:
 
     def encode_words(self, words: list[str]) -> dict[str, list[str]]:
         """Token strings of each distinct word (in byte letters)."""
-        ids, apart, stands, longest, suffix = self.ids, self.stays_apart, self.stands, self.longest, self.suffix
+        ids, apart, stands, suffix, longest = self.ids, self.stays_apart, self.stands, self.suffix, self.longest
+        known = self.apart.get
+        cut = len(suffix)
         states: list[str] = [""]  # states[i]: last token of the first i letters
         before, out = "", {}
         for word in sorted(words):
@@ -138,20 +142,32 @@ class WordBpe:
             while same < most and word[same] == before[same]:
                 same += 1
             del states[same + 1 :]
-            for i in range(same + 1, n + 1):
-                end = suffix if i == n else ""
-                for j in range(max(0, i - longest), i):
-                    token = word[j:i] + end
-                    if token in ids and (apart(states[j], token) if j else stands(token)):
-                        states.append(token)
-                        break
+            for i in range(same + 1, n):
+                for j in range(i - longest if i > longest else 0, i):
+                    token = word[j:i]
+                    if token in ids:
+                        if not j:
+                            good = stands(token)
+                        elif (good := known((states[j], token))) is None:
+                            good = apart(states[j], token)
+                        if good:
+                            states.append(token)
+                            break
                 else:
                     raise ValueError(f"no token ends {word[:i]!r}")
-            tokens, i = [], n
-            token = states.pop()
-            cut = len(suffix)
-            tokens.append(token)
-            i -= len(token) - cut
+            whole = word + suffix
+            for j in range(n - longest if n > longest else 0, n):
+                token = whole[j:]
+                if token in ids:
+                    if not j:
+                        good = stands(token)
+                    elif (good := known((states[j], token))) is None:
+                        good = apart(states[j], token)
+                    if good:
+                        break
+            else:
+                raise ValueError(f"no token ends {word!r}")
+            tokens, i = [token], n + cut - len(token)
             while i:
                 token = states[i]
                 tokens.append(token)
@@ -163,26 +179,37 @@ class WordBpe:
 
     # -- texts ----------------------------------------------------------------
 
-    def learn(self, pieces: set[str]) -> None:
-        """Encode pieces without white space that are not in the cache yet."""
-        if len(self.pieces) + len(pieces) > _CACHE_PIECES:
-            self.pieces.clear()
-        new = [p for p in pieces if p not in self.pieces]
-        letters, pretokens = self.letters, self.pretokens
-        split = []
+    def learn(self, pieces: set[str]) -> list[str]:
+        """Encode pieces without white space that are not in the cache yet; those beyond its room are returned."""
+        letters, pretokens, words, known = self.letters, self.pretokens, self.words, self.pieces
+        new = [p for p in pieces if p not in known]
+        split, ask = [], set()
         for piece in new:
-            if not piece.isascii() and _BEYOND_LATIN.search(piece):
-                split.append(self.split_by_library(piece))
-                continue
-            normal = piece if piece.isascii() else unicodedata.normalize("NFC", piece)
-            found = pretokens(normal.lower())
-            split.append([w if w.isascii() and w.isprintable() else w.encode().decode("latin-1").translate(letters) for w in found])
-        coded = self.encode_words(list({w for words in split for w in words}))
-        ids = self.ids
-        for piece, words in zip(new, split):
-            tokens = [t for w in words for t in coded[w]]
-            raw = b"".join([ids[t].to_bytes(4, "little") for t in tokens])
-            self.pieces[piece] = (len(tokens), raw, " ".join(tokens))
+            if piece.isascii():
+                found = pretokens(piece.lower())
+            elif _BEYOND_LATIN.search(piece):
+                found = self.split_by_library(piece)
+            else:
+                normal = unicodedata.normalize("NFC", piece).lower()
+                found = [w if w.isascii() and w.isprintable() else w.encode().decode("latin-1").translate(letters) for w in pretokens(normal)]
+            if not all(w.isprintable() for w in found):
+                found = [w if w.isprintable() else w.encode().decode("latin-1").translate(letters) for w in found]
+            split.append(found)
+            ask.update(found)
+        room = _CACHE_PIECES - len(known)
+        fresh = [w for w in ask if w not in words]
+        for word, tokens in self.encode_words(fresh).items():
+            words[word] = (len(tokens), b"".join(map(self.four.__getitem__, tokens)), " ".join(tokens))
+        for piece, found in zip(new, split):
+            if len(found) == 1:
+                known[piece] = words[found[0]]
+            else:
+                parts = [words[w] for w in found]
+                known[piece] = (sum(p[0] for p in parts), b"".join([p[1] for p in parts]), " ".join([p[2] for p in parts]))
+        if len(words) > _CACHE_PIECES:
+            for word in fresh:
+                del words[word]
+        return new[max(0, room) :]
 
     def split_by_library(self, piece: str) -> list[str]:
         """Pre-tokens in byte letters, by the file's own normaliser: Unicode versions differ beyond Latin."""
@@ -207,7 +234,7 @@ class WordBpe:
         cut = [[(s, True) if k % 2 else (self.cut(s), False) for k, s in enumerate(self.segments(t))] for t in texts]
         pieces = {p for parts in cut for s, special in parts if not special for p in s}
         pieces.discard("")
-        self.learn(pieces)
+        beyond = self.learn(pieces)
         self.pieces[""] = (0, b"", "")
         known, out = self.pieces, []
         for parts in cut:
@@ -223,6 +250,8 @@ class WordBpe:
                     raw.append(b"".join(ids))
                     text.append(" ".join(filter(None, strings)))
             out.append((n, b"".join(raw), " ".join(filter(None, text))))
+        for piece in beyond:
+            del known[piece]
         return out
 
     def decode(self, raw: bytes) -> str:
