@@ -249,54 +249,88 @@ class _Part:
         self.begin = np.concatenate([[0], np.cumsum(self.count)])
 
 
-def _log_odds(doc: np.ndarray, bucket: np.ndarray, y: np.ndarray) -> np.ndarray:
-    """Log odds of each bucket by the documents it stands in, shrunk to 0 for rare ones."""
+def _bucket_counts(doc: np.ndarray, bucket: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """(2, BUCKETS): documents of each class that have a bucket."""
     pair = np.unique(doc.astype(np.int64) * BUCKETS + bucket)
     d, b = pair // BUCKETS, pair % BUCKETS
-    pos = np.bincount(b, weights=y[d], minlength=BUCKETS)
-    neg = np.bincount(b, weights=1 - y[d], minlength=BUCKETS)
-    rate = max(1, (1 - y).sum()) / max(1, y.sum())
-    return np.clip(np.log((pos * rate + 2) / (neg + 2)), -2, 4).astype(np.float32)
+    return np.stack([np.bincount(b, weights=w[d], minlength=BUCKETS) for w in (1 - y, y)])
+
+
+def _log_odds(counts: np.ndarray, rate: float) -> np.ndarray:
+    """Log odds of each bucket, shrunk to 0 for rare ones."""
+    return np.clip(np.log((counts[1] * rate + 2) / (counts[0] + 2)), -2, 4).astype(np.float32)
+
+
+class _Slice:
+    """Some training texts: inputs, windows and labels."""
+
+    def __init__(self, part: pa.RecordBatch) -> None:
+        words = words_of(part.column("text"))
+        self.x, self.token_doc = Inputs(words), words.docs()
+        self.doc, self.first, self.size = windows_of(words)
+        self.y = part.column("y").to_numpy(zero_copy_only=False).astype(np.float64)
+
+    def counts(self) -> tuple[np.ndarray, np.ndarray]:
+        """Bucket counts of words and of n-grams."""
+        x = self.x
+        if not len(x.word):
+            return np.zeros((2, BUCKETS)), np.zeros((2, BUCKETS))
+        seen = np.unique(self.token_doc * np.int64(len(x.word)) + x.of_token)
+        at = seen % len(x.word)
+        grams = np.zeros((2, BUCKETS))
+        for lo in range(0, len(self.y), 64):  # some documents at a time: pairs of document and n-gram are many
+            own = (seen >= lo * len(x.word)) & (seen < (lo + 64) * len(x.word))
+            part = _Part(x, at[own])
+            grams += _bucket_counts(np.repeat(seen[own] // len(x.word), part.count), part.gram, self.y)
+        return _bucket_counts(self.token_doc, x.word[x.of_token], self.y), grams
+
+    def hints(self, odds: np.ndarray, gram_odds: np.ndarray) -> np.ndarray:
+        """A first guess at each window: the largest log odds of its words."""
+        hint = (odds[self.x.word] + _mean_of(gram_odds, self.x))[self.x.of_token]
+        edges = np.minimum(np.stack([self.first, self.first + np.maximum(self.size, 1)], axis=1).ravel(), len(hint))
+        top = np.maximum.reduceat(np.append(hint, -9), edges)[::2]
+        return np.where(self.size > 0, top, -9)
+
+    def logits(self, net: Network) -> np.ndarray:
+        return net.logits(self.x, self.first, self.size)
 
 
 def train(texts: list[str | None], labels: list[int], epochs: int = 4, seed: int = 3) -> Network:
     """Fit on whole texts with 0/1 labels."""
-    y = np.array(labels, dtype=np.float64)
-    words = words_of(pa.array(texts, pa.large_string()))
-    x, net, rng = Inputs(words), Network(seed), np.random.default_rng(seed)
-    doc, first, size = windows_of(words)
-    token_doc = words.docs()
-    odds = _log_odds(token_doc, x.word[x.of_token], y)
-    seen = np.unique(token_doc * np.int64(len(x.word)) + x.of_token)
-    at = seen % len(x.word)
-    gram_doc = np.repeat(seen // len(x.word), x.count[at])
-    gram_odds = _log_odds(gram_doc, _Part(x, at).gram, y)
+    rows = pa.RecordBatch.from_arrays([pa.array(texts, pa.large_string()), pa.array(labels, pa.int64())], names=["text", "y"])
+    parts = [_Slice(p) for p in slices(rows, "text")]
+    net, rng = Network(seed), np.random.default_rng(seed)
+    y = np.concatenate([s.y for s in parts])
+    rate = max(1, (1 - y).sum()) / max(1, y.sum())
+    words, grams = (sum(c) for c in zip(*(s.counts() for s in parts)))
+    odds, gram_odds = _log_odds(words, rate), _log_odds(grams, rate)
     net.p["word"][:, 0] = odds / 2
     net.p["char"][:, 0] = gram_odds / 2
-    hint = (odds[x.word] + _mean_of(gram_odds, x))[x.of_token]
-    top = np.maximum.reduceat(np.append(hint, -9), np.minimum(np.stack([first, first + np.maximum(size, 1)], axis=1).ravel(), len(hint)))[::2]
-    value = np.where(size > 0, top, -9)
     state = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in net.p.items()}
     step = 0
     for epoch in range(epochs):
-        if epoch:
-            value = net.logits(x, first, size)
-        chosen = _choose(doc, value, y, rng)
-        rng.shuffle(chosen)
-        balance = np.where(y[doc[chosen]] > 0, 0.5 / max(1e-9, y[doc[chosen]].mean()), 0.5 / max(1e-9, 1 - y[doc[chosen]].mean()))
-        rate = 0.02 * (1 - epoch / epochs)
-        for lo in range(0, len(chosen), 256):
-            pick = chosen[lo : lo + 256]
-            _, g = net.gradients(x, first[pick], size[pick], y[doc[pick]], balance[lo : lo + 256])
-            step += 1
-            for k, v in net.p.items():
-                m, s = state[k]
-                m += 0.1 * (g[k] - m)
-                s += 0.01 * (g[k] ** 2 - s)
-                v -= rate * (m / (1 - 0.9**step)) / (np.sqrt(s / (1 - 0.99**step)) + 1e-7)
-    best = np.full(len(y), -np.inf)
-    np.maximum.at(best, doc, net.logits(x, first, size).astype(np.float64))
-    net.scale, net.shift = _calibrated(best, y)
+        pace = 0.02 * (1 - epoch / epochs)
+        for s in (parts[i] for i in rng.permutation(len(parts))):
+            chosen = _choose(s.doc, s.logits(net) if epoch else s.hints(odds, gram_odds), s.y, rng)
+            rng.shuffle(chosen)
+            label = s.y[s.doc[chosen]]
+            share = min(max(label.mean(), 0.05), 0.95)
+            balance = np.where(label > 0, 0.5 / share, 0.5 / (1 - share))
+            for lo in range(0, len(chosen), 256):
+                pick = chosen[lo : lo + 256]
+                _, g = net.gradients(s.x, s.first[pick], s.size[pick], label[lo : lo + 256], balance[lo : lo + 256])
+                step += 1
+                for k, v in net.p.items():
+                    m, q = state[k]
+                    m += 0.1 * (g[k] - m)
+                    q += 0.01 * (g[k] ** 2 - q)
+                    v -= pace * (m / (1 - 0.9**step)) / (np.sqrt(q / (1 - 0.99**step)) + 1e-7)
+    best = []
+    for s in parts:
+        top = np.full(len(s.y), -np.inf)
+        np.maximum.at(top, s.doc, s.logits(net).astype(np.float64))
+        best.append(top)
+    net.scale, net.shift = _calibrated(np.concatenate(best), y)
     return net
 
 
