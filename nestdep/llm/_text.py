@@ -12,7 +12,9 @@ cut, so a very long text makes one large slice.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+import sys
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -111,6 +113,27 @@ class Words:
         return self.raw[self.starts[k] : self.ends[k]].tobytes()
 
 
+def trim_memory() -> None:
+    """Give freed memory back to the system, where the C library can: workers outlive their tasks."""
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None) if sys.platform.startswith("linux") else None
+    if trim is not None:
+        trim(0)
+
+
+_HELD: dict[str, Callable[[], None]] = {}
+
+
+def claim(name: str, clear: Callable[[], None] | None = None) -> None:
+    """A task of operator `name` starts in this worker: what other operators have cached here goes."""
+    others = [k for k in _HELD if k != name]
+    for k in others:
+        _HELD.pop(k)()
+    if others:
+        trim_memory()
+    if clear is not None:
+        _HELD[name] = clear
+
+
 def lower_ascii(raw: np.ndarray) -> np.ndarray:
     out = raw.copy()
     out[(raw >= 65) & (raw <= 90)] += 32

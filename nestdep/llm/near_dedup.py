@@ -9,16 +9,20 @@ signature position keeps the earliest point it sees, so two signatures agree in
 a position with exactly the weighted Jaccard similarity.  Points are generated
 in time order only up to a bound that fills all positions.
 
-Bands of the signature give candidate buckets.  Members are first compared
-with one leader of their bucket; links make components; in buckets of three
-or more that still hold several components the pairs across components are
-compared by whole signatures in bounded blocks and verified.  Each candidate is
-verified by its exact multiset overlap; a class is a component of verified links.
-A pair at similarity 0.8 shares no band with probability below 1e-5.
-
-How it scales: documents with equal bags are one node from the start; no bucket
-is expanded into pairs in Spark; leaders with very many members are skewed
-joins that adaptive execution splits; texts travel only for candidates.
+Bands of the signature give candidate buckets.  In bounded blocks of a bucket
+the pairs of different components are ranked by how many positions agree, and
+only the best pair that joins two components is put forward (a maximum spanning
+forest), so a block gives fewer pairs than it has rows.  In a second pass the
+buckets that still hold several components compare all pairs across them, this
+time by the bags themselves inside the block.  Every pair put forward is
+verified by its exact multiset overlap on the texts; a class is a component of
+verified links.  A pair at similarity 0.8 shares no band, or agrees in too few
+positions, with probability below 1e-4.
+
+How it scales: documents with equal bags are one node from the start; first
+blocks split a bucket by hash; later a bucket's largest component stays where it
+is and only rows of other components visit its blocks; texts travel only for
+candidates.
 
 Defined cases: a null or blank text has no shingles and is a class of its own;
 a text of one to four words is one shingle; a null id counts as larger than any
@@ -37,16 +41,18 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ._spark import written
-from ._text import Words, fold, mix, slices, span_hash, words_of
+from ._text import Words, claim, fold, mix, slices, span_hash, trim_memory, words_of
 
 SHINGLE = 5
 SIMILARITY = 0.8
 BANDS, ROWS = 30, 5
 POSITIONS = BANDS * ROWS
-#: Signatures that agree in fewer positions belong to pairs below the similarity, but for one in 10**7.
-LEAST_AGREE = 92
-CHUNK = 1024
+#: Signatures that agree in fewer positions belong to pairs below the similarity, but for one in 10**5.
+LEAST_AGREE = 99
+CHUNK = 512
 BROADCAST_KEYS = 400_000
+#: Links up to this number are joined to components in one task; more in rounds of joins.
+LOCAL_LINKS = 1_000_000
 _LAST = 0x7FFFFFFFFFFFFFFF
 _U = np.uint64
 
@@ -127,6 +133,7 @@ def band_keys(sig: np.ndarray) -> np.ndarray:
 
 
 def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    claim("near_dedup")
     for batch in batches:
         for part in slices(batch, "text"):
             n = part.num_rows
@@ -147,6 +154,7 @@ def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 [part.column("ord"), part.column("key"), pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), pa.array(size), bands, raw],
                 names=["ord", "key", "d1", "d2", "size", "bands", "sig"],
             )
+    trim_memory()
 
 
 def overlaps(left: pa.Array, right: pa.Array) -> np.ndarray:
@@ -170,16 +178,20 @@ def _verify(similarity: float):
                 near = overlaps(part.column("left"), part.column("right"))
                 hit = pa.array(np.flatnonzero(near >= similarity))
                 yield pa.RecordBatch.from_arrays([part.column("a").take(hit), part.column("b").take(hit)], names=["a", "b"])
+        trim_memory()
 
     return run
 
 
+def _texts(base: DataFrame, keys: DataFrame) -> DataFrame:
+    """key and text of the given keys: broadcast to the scan up to a number of keys, joined beyond it."""
+    keys = written(keys, "keys")
+    return base.select("key", "text").join(F.broadcast(keys) if keys.count() <= BROADCAST_KEYS else keys, "key", "left_semi")
+
+
 def _linked(pairs: DataFrame, base: DataFrame, similarity: float) -> DataFrame:
     """Pairs (a, b) whose texts have the similarity."""
-    keys = written(pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct(), "keys")
-    text = base.select("key", "text")
-    small = keys.count() <= BROADCAST_KEYS
-    text = text.join(F.broadcast(keys) if small else keys, "key", "left_semi")
+    text = _texts(base, pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct())
     right = text.select(F.col("key").alias("b"), F.col("text").alias("right"))
     left = text.select(F.col("key").alias("a"), F.col("text").alias("left"))
     # The member's text first: the join on the leader is then skewed in bytes, which Spark can split.
@@ -187,8 +199,38 @@ def _linked(pairs: DataFrame, base: DataFrame, similarity: float) -> DataFrame:
     return written(rows.select("a", "b", "left", "right").mapInArrow(_verify(similarity), "a long, b long").distinct(), "links")
 
 
+def _joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(node, root) of all edges of one task, root being the smallest node."""
+    parts = [(b.column("a").to_numpy(), b.column("b").to_numpy()) for b in batches if b.num_rows]
+    if parts:
+        a, b = (np.concatenate(x) for x in zip(*parts))
+        nodes, at = np.unique(np.concatenate([a, b]), return_inverse=True)
+        root = minimum_labels(at[: len(a)], at[len(a) :], len(nodes))
+        for lo in range(0, len(nodes), 100_000):
+            yield pa.RecordBatch.from_arrays([pa.array(nodes[lo : lo + 100_000]), pa.array(nodes[root[lo : lo + 100_000]])], names=["node", "root"])
+
+
+def minimum_labels(a: np.ndarray, b: np.ndarray, n: int) -> np.ndarray:
+    """Smallest node of each node's component, for edges between 0 .. n - 1."""
+    root = np.arange(n)
+    while True:
+        low = np.minimum(root[a], root[b])
+        before = root.copy()
+        np.minimum.at(root, root[a], low)
+        np.minimum.at(root, root[b], low)
+        while not np.array_equal(root, root[root]):
+            root = root[root]
+        if np.array_equal(root, before):
+            return root
+
+
 def components(edges: DataFrame) -> DataFrame:
-    """(node, root) of all nodes of the edges (a, b): alternating large and small stars until nothing moves."""
+    """(node, root) of all nodes of the edges (a, b)."""
+    return star_components(edges) if edges.count() > LOCAL_LINKS else edges.select("a", "b").coalesce(1).mapInArrow(_joined, "node long, root long")
+
+
+def star_components(edges: DataFrame) -> DataFrame:
+    """The same in rounds of joins, for any number of edges: large and small stars in turn until nothing moves."""
 
     def ranked(df: DataFrame) -> DataFrame:
         return df.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a <> b").distinct()
@@ -210,66 +252,154 @@ def components(edges: DataFrame) -> DataFrame:
     return now.select(F.col("a").alias("node"), F.col("b").alias("root")).unionAll(roots)
 
 
-def _across(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Pairs across components with enough agreement, in blocks of rows sorted by (band, i, j)."""
-    held: pa.RecordBatch | None = None
-    schema = None
-
-    def pairs(block: pa.RecordBatch):
-        comp, key = block.column("comp").to_numpy(), block.column("key").to_numpy()
-        part = block.column("part").to_numpy()
-        if len(np.unique(comp)) < 2:
+def forest(score: np.ndarray, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """Indices of a maximum spanning forest of scored edges between components (rounds of best edges)."""
+    names, at = np.unique(np.concatenate([left, right]), return_inverse=True)
+    a, b = at[: len(left)], at[len(left) :]
+    order = np.lexsort((np.arange(len(score)), -score))
+    rank = np.empty(len(score), np.int64)
+    rank[order] = np.arange(len(score))
+    label, live, out = np.arange(len(names)), np.arange(len(score)), []
+    while True:
+        live = live[label[a[live]] != label[b[live]]]
+        if not len(live):
+            return np.unique(np.concatenate(out)) if out else np.zeros(0, np.int64)
+        best = np.full(len(names), len(score))
+        np.minimum.at(best, label[a[live]], rank[live])
+        np.minimum.at(best, label[b[live]], rank[live])
+        taken = order[np.unique(best[best < len(score)])]
+        out.append(taken)
+        label = minimum_labels(label[a[taken]], label[b[taken]], len(label))[label]
+
+
+class _Bags:
+    """Bags of a block's rows, as sets of hashed (shingle, occurrence), with an index from hash to rows."""
+
+    def __init__(self, bags_: list[bytes]) -> None:
+        parts = [np.frombuffer(b, np.uint32) for b in bags_]
+        self.size = np.array([len(p) for p in parts])
+        self.parts = parts
+        flat = np.concatenate(parts)
+        order = np.argsort(flat, kind="stable")
+        self.hash = flat[order]
+        self.row = np.repeat(np.arange(len(parts)), self.size)[order]
+
+    def similarity(self, r: int) -> np.ndarray:
+        """Jaccard similarity of row r to every row."""
+        own = self.parts[r]
+        lo, hi = np.searchsorted(self.hash, own, "left"), np.searchsorted(self.hash, own, "right")
+        n = hi - lo
+        at = np.arange(int(n.sum())) + np.repeat(lo - (np.cumsum(n) - n), n)
+        both = np.bincount(self.row[at], minlength=len(self.parts))
+        return both / np.maximum(self.size + self.size[r] - both, 1)
+
+
+def _put_forward(similarity: float | None):
+    """A forest of candidate pairs of each block (rows sorted by band, part, visit).
+
+    With a similarity, rows hold their bags and only pairs that reach it, by the bags, count.
+    """
+
+    def pairs(block: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+        key, comp = block.column("key").to_numpy(), block.column("comp").to_numpy()
+        if len(key) < 2 or (comp == comp[0]).all():
+            return
+        home, guest = (np.flatnonzero(block.column(c).to_numpy(zero_copy_only=False)) for c in ("home", "guest"))
+        if not len(home) or not len(guest):
             return
-        sig = np.frombuffer(b"".join(block.column("sig").to_pylist()), np.uint8).reshape(len(comp), POSITIONS)
-        i, j = block.column("i")[0].as_py(), block.column("j")[0].as_py()
-        for r in np.flatnonzero(part == i):
-            other = (comp != comp[r]) & (part == j)
-            if i == j:
-                other[: r + 1] = False
-            other = np.flatnonzero(other)
-            agree = (sig[other] == sig[r]).sum(axis=1)
-            good = other[agree >= LEAST_AGREE]
-            if len(good):
-                a, b = np.maximum(key[r], key[good]), np.minimum(key[r], key[good])
-                c, d = np.maximum(comp[r], comp[good]), np.minimum(comp[r], comp[good])
-                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (a, b, c, d, agree[agree >= LEAST_AGREE].astype(np.int64))], names=["a", "b", "ca", "cb", "agree"])
-
-    def blocks(table: pa.Table, last: bool):
-        band, i, j = (table.column(c).to_numpy() for c in ("band", "i", "j"))
-        cut = np.flatnonzero((band[1:] != band[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1])) + 1
-        ends = [*cut.tolist(), *([len(band)] if last else [])]
-        at = 0
-        whole = table.combine_chunks().to_batches()[0] if table.num_rows else None
-        for end in ends:
-            yield whole.slice(at, end - at)
-            at = end
-        nonlocal held
-        held = whole.slice(at) if whole is not None and at < len(band) else None
+        sig = np.frombuffer(b"".join(block.column("sig").to_pylist()), np.uint8).reshape(len(key), POSITIONS)
+        own, both = sig[home], np.isin(key[home], key[guest])
+        index, found = None, []
+        for r in guest.tolist():
+            ok = (comp[home] != comp[r]) & ~(both & (key[home] <= key[r]))
+            other = home[ok]
+            if not len(other):
+                continue
+            score = (own[ok] == sig[r]).sum(axis=1)
+            good = score >= LEAST_AGREE
+            if similarity is not None and good.any():
+                index = index or _Bags(block.column("bag").to_pylist())
+                score = index.similarity(r)[other]
+                good &= score >= similarity - 0.005  # 32-bit hashes may collide; texts decide
+            if good.any():
+                found.append((np.full(int(good.sum()), r), other[good], score[good]))
+        if found:
+            a, b, score = (np.concatenate(x) for x in zip(*found))
+            keep = forest(score, comp[a], comp[b])
+            a, b = a[keep], b[keep]
+            yield pa.RecordBatch.from_arrays([pa.array(np.maximum(key[a], key[b])), pa.array(np.minimum(key[a], key[b]))], names=["a", "b"])
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: pa.Table | None = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            table = pa.Table.from_batches([batch]) if held is None else pa.concat_tables([held, pa.Table.from_batches([batch])])
+            whole = table.combine_chunks().to_batches()[0]
+            band, part, visit = (whole.column(c).to_numpy() for c in ("band", "part", "visit"))
+            cut = np.flatnonzero((band[1:] != band[:-1]) | (part[1:] != part[:-1]) | (visit[1:] != visit[:-1])) + 1
+            at = 0
+            for end in cut.tolist():
+                if end - at > 1:
+                    yield from pairs(whole.slice(at, end - at))
+                at = end
+            held = pa.Table.from_batches([whole.slice(at)])
+        if held is not None:
+            yield from pairs(held.combine_chunks().to_batches()[0])
+        held = None
+        trim_memory()
+
+    return run
+
+
+_BLOCK = ["band", "part", "visit", "key", "comp", "home", "guest", "sig"]
+
+
+def _blocks(rows: DataFrame, similarity: float | None = None) -> DataFrame:
+    placed = rows.select(*_BLOCK, *(["bag"] if similarity is not None else []))
+    placed = placed.repartition("band", "part", "visit").sortWithinPartitions("band", "part", "visit")
+    return placed.mapInArrow(_put_forward(similarity), "a long, b long").distinct()
+
+
+def _first_pairs(bands: DataFrame, nodes: DataFrame) -> DataFrame:
+    """A forest of each bucket, large buckets being split by a hash that differs from band to band."""
+    size = bands.groupBy("band").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    rows = bands.join(size, "band").withColumn("part", F.pmod(F.xxhash64("key", "band"), F.ceil(F.col("n") / CHUNK)).cast("int"))
+    rows = rows.join(nodes.select("key", "sig"), "key")
+    return _blocks(rows.withColumns({"visit": F.lit(0), "comp": F.col("key"), "home": F.lit(True), "guest": F.lit(True)}))
+
+
+def _bag_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        schema = batch.schema
-        if not batch.num_rows:
-            continue
-        table = pa.Table.from_batches([held, batch] if held is not None else [batch])
-        for block in blocks(table, False):
-            yield from pairs(block)
-    if held is not None:
-        for block in blocks(pa.Table.from_batches([held], schema), True):
-            yield from pairs(block)
-
-
-def _remaining(bands: DataFrame, sigs: DataFrame, comps: DataFrame, tested: DataFrame) -> DataFrame:
-    """Untested candidate pairs across components within buckets of three or more."""
+        for part in slices(batch, "text"):
+            docs, hashes, weights = bags(words_of(part.column("text")))
+            each = np.repeat(np.arange(len(docs)), weights)
+            turn = np.arange(len(each)) - np.repeat(np.cumsum(weights) - weights, weights)
+            flat = (mix(hashes[each] + _U(0x9E3779B97F4A7C15) * turn.astype(np.uint64)) >> _U(32)).astype(np.uint32)
+            edge = np.searchsorted(docs[each], np.arange(part.num_rows + 1))
+            bag = pa.array([flat[edge[i] : edge[i + 1]].tobytes() for i in range(part.num_rows)], pa.binary())
+            yield pa.RecordBatch.from_arrays([part.column("key"), bag], names=["key", "bag"])
+
+
+def _more_pairs(bands: DataFrame, nodes: DataFrame, comps: DataFrame, base: DataFrame, similarity: float) -> DataFrame:
+    """Pairs that reach the similarity across components, in buckets of three or more that hold several."""
     named = bands.join(comps.select(F.col("node").alias("key"), "root"), "key", "left").withColumn("comp", F.coalesce("root", "key")).drop("root")
-    mixed = named.groupBy("band").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count(F.lit(1)).alias("n")).where("n > 2 and lo < hi")
-    chunks = F.ceil(F.col("n") / CHUNK).cast("int")
-    rows = named.join(mixed.select("band", chunks.alias("chunks")), "band").withColumn("part", F.pmod(F.xxhash64("key", "band"), F.col("chunks")).cast("int"))
-    other = F.explode(F.sequence(F.lit(0), F.col("chunks") - 1))
-    rows = rows.withColumn("o", other).select("band", "key", "comp", "part", F.least("part", "o").alias("i"), F.greatest("part", "o").alias("j"))
-    rows = rows.join(sigs.select("key", "sig"), "key")
-    placed = rows.repartition("band", "i", "j").sortWithinPartitions("band", "i", "j")
-    found = placed.select("band", "i", "j", "part", "key", "comp", "sig").mapInArrow(_across, "a long, b long, ca long, cb long, agree long")
-    return found.groupBy("a", "b").agg(F.max("ca").alias("ca"), F.max("cb").alias("cb"), F.max("agree").alias("agree")).join(tested, ["a", "b"], "left_anti")
+    kinds = named.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("m"))
+    mixed = kinds.groupBy("band").agg(F.sum("m").alias("n"), F.max(F.struct("m", "comp")).alias("most")).where("n > 2 and n > most.m")
+    chunks, visits = F.ceil(F.col("n") / CHUNK).cast("int"), F.ceil((F.col("n") - F.col("most.m")) / CHUNK).cast("int")
+    rows = named.join(mixed.select("band", F.col("most.comp").alias("major"), chunks.alias("chunks"), visits.alias("visits")), "band")
+    one, two = (F.pmod(F.xxhash64(F.lit(k), "key", "band"), F.col(c)).cast("int") for k, c in ((1, "chunks"), (2, "visits")))
+    minor = F.col("comp") != F.col("major")
+    rows = rows.withColumns({"own_part": one, "own_visit": two, "guest_": minor})
+    # A home row stands in its part for all visits; a guest visits all parts. Where both are one row, it is one.
+    home = F.transform(F.sequence(F.lit(0), F.col("visits") - 1), lambda v: F.struct(F.col("own_part").alias("part"), v.alias("visit")))
+    guest = F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda p: F.struct(p.alias("part"), F.col("own_visit").alias("visit")))
+    rows = rows.withColumn("at", F.explode(F.when(minor, F.array_union(home, guest)).otherwise(home)))
+    rows = rows.select("band", "key", "comp", "at.part", "at.visit", (F.col("at.part") == F.col("own_part")).alias("home"), (F.col("guest_") & (F.col("at.visit") == F.col("own_visit"))).alias("guest"))
+    rows = written(rows, "visits")
+    text = _texts(base, rows.select("key").distinct())
+    bag = text.mapInArrow(_bag_rows, "key long, bag binary").dropDuplicates(["key"])
+    return _blocks(rows.join(nodes.select("key", "sig"), "key").join(bag, "key"), similarity)
 
 
 def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = SIMILARITY) -> DataFrame:
@@ -282,24 +412,12 @@ def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     bag = signed.where("size > 0").groupBy("d1", "d2").agg(F.min("key").alias("key"), F.any_value("bands").alias("bands"), F.any_value("sig").alias("sig"))
     nodes = written(bag, "nodes")
     bands = nodes.select("key", F.explode("bands").alias("band"))
-    bucket = bands.groupBy("band").agg(F.min("key").alias("leader"), F.count(F.lit(1)).alias("n")).where("n > 1")
-    star = bands.join(bucket.select("band", "leader"), "band").where("key <> leader").select(F.greatest("key", "leader").alias("a"), F.least("key", "leader").alias("b")).distinct()
-    tested = written(star, "pairs")
-    one, two = nodes.select(F.col("key").alias("a"), F.col("sig").alias("sa")), nodes.select(F.col("key").alias("b"), F.col("sig").alias("sb"))
-    likely = tested.join(one, "a").join(two, "b").mapInArrow(_agreeing, "a long, b long")
-    links = _linked(written(likely, "likely"), base, similarity)
+    links = _linked(written(_first_pairs(bands, nodes), "pairs"), base, similarity)
     comps = written(components(links), "comps")
-    for again in range(4):
-        pairs = _remaining(bands, nodes, comps, tested)
-        if again < 3:  # a few pairs of each two components may join them; the last round takes all
-            rank = F.row_number().over(Window.partitionBy("ca", "cb").orderBy(F.desc("agree"), "a", "b"))
-            pairs = pairs.withColumn("rank", rank).where("rank <= 4")
-        pairs = written(pairs.select("a", "b"), "pairs")
-        if not pairs.take(1):
-            break
-        links = links.unionAll(_linked(pairs, base, similarity))
+    more = written(_more_pairs(bands, nodes, comps, base, similarity), "pairs")
+    if more.take(1):
+        links = links.unionAll(_linked(more, base, similarity))
         comps = written(components(links), "comps")
-        tested = tested.unionAll(pairs)
     named = nodes.select("d1", "d2", "key").join(comps, F.col("key") == F.col("node"), "left").select("d1", "d2", F.coalesce("root", "key").alias("root"))
     rows = signed.select("ord", "key", "d1", "d2", "size")
     member = rows.where("size > 0").join(named, ["d1", "d2"]).select("ord", "key", F.struct(F.lit(1).alias("kind"), "root").alias("class"))
@@ -313,14 +431,6 @@ def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     )
 
 
-def _agreeing(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        if batch.num_rows:
-            one, two = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint8).reshape(-1, POSITIONS) for c in ("sa", "sb"))
-            hit = pa.array(np.flatnonzero((one == two).sum(axis=1) >= LEAST_AGREE))
-            yield pa.RecordBatch.from_arrays([batch.column("a").take(hit), batch.column("b").take(hit)], names=["a", "b"])
-
-
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = SIMILARITY) -> DataFrame:
     """The rows, with all columns, of the smallest document of each class; of equal rows one."""
     kept = near_classes(docs, id_col, text_col, similarity).where("stays").select(F.col("key").alias("_key")).distinct()
