@@ -21,8 +21,11 @@ are bounded and only save time; other columns are ignored.
 
 from __future__ import annotations
 
+import gc
 import json
 import re
+import struct
+import sys
 import unicodedata
 from collections.abc import Iterator
 
@@ -31,6 +34,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ._text import claim
+
 _CACHE_PIECES = 400_000
 _CACHE_PAIRS = 1_000_000
 _ODD_SPACE = re.compile("[\x1c-\x1f]")
@@ -58,6 +63,7 @@ class WordBpe:
         self.text = {i: t for t, i in self.ids.items()}
         self.special = {t["content"]: t["id"] for t in spec.get("added_tokens", [])}
         self.text |= {i: t for t, i in self.special.items()}
+        self.strings = [self.text.get(i, "") for i in range(max(self.text) + 1)]
         self.cut_special = regex.compile("(" + "|".join(map(regex.escape, sorted(self.special, key=len, reverse=True))) + ")").split if self.special else None
         split = next(p for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
         self.pretokens = regex.compile(split["pattern"]["Regex"].replace(r"\s", r"\p{White_Space}")).findall
@@ -69,8 +75,8 @@ class WordBpe:
             self.made.setdefault(a + b, (r, a, b))
         self.longest = max(map(len, self.ids))
         self.apart: dict[tuple[str, str], bool] = {}
-        self.pieces: dict[str, tuple[int, bytes, str]] = {}
-        self.words: dict[str, tuple[int, bytes, str]] = {}
+        self.pieces: dict[str, bytes] = {}
+        self.words: dict[str, bytes] = {}
         self.whole: dict[str, bool] = {}
         self.four = {t: i.to_bytes(4, "little") for t, i in self.ids.items()}
 
@@ -199,13 +205,12 @@ class WordBpe:
         room = _CACHE_PIECES - len(known)
         fresh = [w for w in ask if w not in words]
         for word, tokens in self.encode_words(fresh).items():
-            words[word] = (len(tokens), b"".join(map(self.four.__getitem__, tokens)), " ".join(tokens))
+            words[word] = b"".join(map(self.four.__getitem__, tokens))
         for piece, found in zip(new, split):
             if len(found) == 1:
                 known[piece] = words[found[0]]
             else:
-                parts = [words[w] for w in found]
-                known[piece] = (sum(p[0] for p in parts), b"".join([p[1] for p in parts]), " ".join([p[2] for p in parts]))
+                known[piece] = b"".join([words[w] for w in found])
         if len(words) > _CACHE_PIECES:
             for word in fresh:
                 del words[word]
@@ -227,35 +232,36 @@ class WordBpe:
         return self.cut_special(text)
 
     def cut(self, text: str) -> list[str]:
-        return _SPACES.split(text) if _ODD_SPACE.search(text) else text.split()
+        return [p for p in _SPACES.split(text) if p] if _ODD_SPACE.search(text) else text.split()
 
     def encode_batch(self, texts: list[str]) -> list[tuple[int, bytes, str]]:
         """(number of tokens, ids as little-endian unsigned 32-bit, decoded text) of each text."""
+        collecting = gc.isenabled()
+        gc.disable()  # many small tuples and no cycles
+        try:
+            return self._encode(texts)
+        finally:
+            if collecting:
+                gc.enable()
+
+    def _encode(self, texts: list[str]) -> list[tuple[int, bytes, str]]:
         cut = [[(s, True) if k % 2 else (self.cut(s), False) for k, s in enumerate(self.segments(t))] for t in texts]
         pieces = {p for parts in cut for s, special in parts if not special for p in s}
-        pieces.discard("")
         beyond = self.learn(pieces)
-        self.pieces[""] = (0, b"", "")
         known, out = self.pieces, []
         for parts in cut:
-            n, raw, text = 0, [], []
+            raw = []
             for s, special in parts:
-                if special:
-                    n += 1
-                    raw.append(self.special[s].to_bytes(4, "little"))
-                    text.append(s)
-                elif s:
-                    counts, ids, strings = zip(*map(known.__getitem__, s))
-                    n += sum(counts)
-                    raw.append(b"".join(ids))
-                    text.append(" ".join(filter(None, strings)))
-            out.append((n, b"".join(raw), " ".join(filter(None, text))))
+                raw += [self.special[s].to_bytes(4, "little")] if special else [known[p] for p in s]
+            whole = b"".join(raw)
+            out.append((len(whole) // 4, whole, self.decode(whole)))
         for piece in beyond:
             del known[piece]
         return out
 
     def decode(self, raw: bytes) -> str:
-        return " ".join(self.text[int.from_bytes(raw[i : i + 4], "little")] for i in range(0, len(raw), 4))
+        """Vocabulary strings of ids, joined by one blank."""
+        return " ".join(map(self.strings.__getitem__, memoryview(raw).cast("I") if sys.byteorder == "little" else struct.unpack(f"<{len(raw) // 4}I", raw)))
 
 
 _LOADED: dict[str, WordBpe] = {}
@@ -283,6 +289,7 @@ def encode_texts(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_
     """One row per document: id, n_tokens, token_ids (little-endian uint32), decoded."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("bpe", _LOADED.clear)
         bpe = None
         for batch in batches:
             bpe = bpe or loaded(vocabulary)
@@ -292,6 +299,7 @@ def encode_texts(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_
                 ids = batch.column("id").slice(at, len(texts))
                 at += len(texts)
                 n, raw, text = zip(*coded)
+                del coded
                 yield pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), pa.array(raw, pa.binary()), pa.array(text, pa.string())], names=["id", "n_tokens", "token_ids", "decoded"])
 
     base = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
