@@ -1,6 +1,7 @@
 import os
 import sys
 
+import pandas as pd
 import pytest
 from pyspark.sql import SparkSession
 
@@ -41,7 +42,7 @@ def rows_of(frame):
     columns = sorted(frame.columns)
 
     def text(x):
-        if x is None or x != x:
+        if pd.isna(x):
             return "null"
         if isinstance(x, bool) or type(x).__name__ == "bool_":
             return str(bool(x))
