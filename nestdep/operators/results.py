@@ -70,6 +70,46 @@ def blowup(df: DataFrame) -> DataFrame:
     return out.select("nested_bytes", F.round("u", 0).cast("long").alias("unrolled_bytes"), F.round(F.col("u") / F.col("nested_bytes"), 3).alias("factor"))
 
 
+def strength_distribution(deps: DataFrame) -> DataFrame:
+    """Where each dependency stands among all: quarter, percent rank, cumulative share."""
+    order = Window.partitionBy("kind").orderBy("strength")
+    return deps.withColumns({"quarter": F.ntile(4).over(Window.partitionBy("kind").orderBy("strength", "lhs", "rhs")), "percent_rank": F.round(F.percent_rank().over(order), 6), "cume_dist": F.round(F.cume_dist().over(order), 6)})
+
+
+def plan_volume(df: DataFrame) -> dict[str, int]:
+    """Run a plan and add up what its operators counted: exchanges, rows and bytes shuffled, rows generated and joined."""
+    execution = df._jdf.queryExecution()
+    execution.toRdd().count()
+    total = {"exchanges": 0, "first_exchange_rows": 0, "shuffle_rows": 0, "shuffle_bytes": 0, "generated_rows": 0, "joined_rows": 0}
+
+    def value(node, name: str) -> int:
+        metrics = node.metrics()
+        return int(metrics.apply(name).value()) if metrics.contains(name) else 0
+
+    def walk(node) -> None:
+        kind = node.nodeName()
+        if kind == "AdaptiveSparkPlan":
+            return walk(node.executedPlan())
+        if kind.endswith("QueryStage"):
+            return walk(node.plan())
+        below = node.children()
+        for i in range(below.size()):
+            walk(below.apply(i))
+        if kind == "Exchange":
+            rows = value(node, "shuffleRecordsWritten")
+            total["exchanges"] += 1
+            total["first_exchange_rows"] = total["first_exchange_rows"] or rows
+            total["shuffle_rows"] += rows
+            total["shuffle_bytes"] += value(node, "shuffleBytesWritten")
+        elif kind == "Generate":
+            total["generated_rows"] += value(node, "numOutputRows")
+        elif "Join" in kind:
+            total["joined_rows"] += value(node, "numOutputRows")
+
+    walk(execution.executedPlan())
+    return total
+
+
 def time_run(make: Callable[[], DataFrame], repeat: int = 3, limit_s: float | None = None) -> dict:
     """Mean seconds of runs into a null sink; a run that fails or passes the limit is told by its status."""
     took = []
