@@ -91,7 +91,7 @@ def leaf_paths(schema: T.DataType, exclude: tuple[str, ...] = (), inner_array: s
 
 def nesting_level(path: str | PathExpr) -> int:
     """Containers around a value: a top-level scalar has 1, an element of a top-level array 2."""
-    return 1 + sum(1 for s in as_path(path).steps[1:] for _ in (s,))
+    return len(as_path(path).steps)
 
 
 def _map_over(array: Column, rest: tuple, kind: T.DataType) -> tuple[Column, bool]:

@@ -9,13 +9,15 @@ self_pairs; a missing right side is a violation unless missing_rhs="ignores"
 from __future__ import annotations
 
 from functools import reduce
+from itertools import combinations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.paths import as_path, path_type, path_values
 from ..functions.values import keys_of
 from ..plans.cells import TooLarge, resolve, unroll_dynamic, unroll_static
+from ..sources.tables import written
 from . import lattice
 from .cover import cover_strength, greedy_matching
 from .overlap import MAX_PATHS, PAIR_LIMIT, histogram, overlap_masks, presence_masks
@@ -87,7 +89,7 @@ def validate_nfd(df: DataFrame, doc_id: str, lhs: list[str], rhs: str, self_pair
 
 
 def _name(mask: int, names: list[str]) -> str:
-    return ",".join(names[i] for i in lattice._bits(mask))
+    return ",".join(names[i] for i in lattice.bits(mask))
 
 
 def _frame(df: DataFrame, found: list[tuple], names: list[str], kind: str = "nfd") -> DataFrame:
@@ -160,8 +162,6 @@ def candidate_strengths(masks: DataFrame, candidates: list[tuple[int, int]], n_d
 
 
 def _mine_approximate(df: DataFrame, doc_id: str, method: str, theta: float, max_lhs: int, paths: list[str] | None, pooling: str, order: str, limit: int) -> DataFrame:
-    from ..sources.tables import written
-
     names = [str(p) for p in resolve(df, doc_id, paths)]
     n_docs, n = df.count(), len(names)
     masks = written(overlap_masks(unroll_dynamic(df, doc_id, names), limit), "masks")
@@ -186,8 +186,6 @@ def _mine_approximate(df: DataFrame, doc_id: str, method: str, theta: float, max
 
 
 def _subsets(n: int, size: int) -> list[int]:
-    from itertools import combinations
-
     return [sum(1 << p for p in c) for c in combinations(range(n), size)]
 
 
@@ -231,7 +229,7 @@ def mine_static(df: DataFrame, method: str, max_lhs: int, paths: list[str] | Non
         need = sorted({m for x, a in tests for m in (x, x | 1 << a)} - set(distinct))
         for lo in range(0, len(need), 24):  # partitions of many column sets in one job
             part = need[lo : lo + 24]
-            sets = [F.count_distinct(F.struct(*[f"c{i}" for i in lattice._bits(m)])).alias(f"n{k}") for k, m in enumerate(part)]
+            sets = [F.count_distinct(F.struct(*[f"c{i}" for i in lattice.bits(m)])).alias(f"n{k}") for k, m in enumerate(part)]
             row = rows.agg(*sets).first()
             distinct |= {m: row[k] for k, m in enumerate(part)}
         found |= {(x, a) for x, a in tests if distinct[x] == distinct[x | 1 << a]}
@@ -274,8 +272,6 @@ def candidate_keys(df: DataFrame, doc_id: str, max_size: int = 3, paths: list[st
 
 def repair_hints(df: DataFrame, doc_id: str, lhs: str, rhs: str) -> DataFrame:
     """Minority documents of an almost valid dependency, and the value of their group's majority."""
-    from pyspark.sql import Window
-
     rows, _, _ = _tuple_rows(df, doc_id, [lhs], [rhs])
     one = rows.select(F.col("x0").alias("group"), "doc_id", F.explode("y0").alias("value")).distinct()
     counts = one.groupBy("group", "value").agg(F.count(F.lit(1)).alias("n"))
@@ -310,7 +306,7 @@ def mine_validated(df: DataFrame, doc_id: str, paths: list[str], max_lhs: int =
         rounds += 1
         failed = 0
         for x, a in sorted(lattice.levelwise(hist, n, max_lhs) - good):
-            lhs = [names[i] for i in lattice._bits(x)]
+            lhs = [names[i] for i in lattice.bits(x)]
             if validate_nfd(df, doc_id, lhs, names[a]).first()["holds"]:
                 good.add((x, a))
                 continue
@@ -322,7 +318,7 @@ def mine_validated(df: DataFrame, doc_id: str, paths: list[str], max_lhs: int =
 
 def _counterexamples(df: DataFrame, doc_id: str, names: list[str], lhs: int, rhs: int, groups: int = 5) -> set[int]:
     """Masks of some violating pairs: documents of a few failing groups compared with their group's extremes."""
-    rows, xs, _ = _tuple_rows(df, doc_id, [names[i] for i in lattice._bits(lhs)], [names[rhs]])
+    rows, xs, _ = _tuple_rows(df, doc_id, [names[i] for i in lattice.bits(lhs)], [names[rhs]])
     key = F.struct(*xs) if xs else F.lit(0)
     sets = rows.select(key.alias("g"), "doc_id", F.array_sort("y0").alias("y"))
     kinds = sets.groupBy("g").agg(F.count_distinct("y").alias("k"), F.min(F.struct("y", "doc_id")).alias("lo"), F.count_distinct("doc_id").alias("n"), F.min(F.size("y")).alias("s"))
@@ -331,7 +327,7 @@ def _counterexamples(df: DataFrame, doc_id: str, names: list[str], lhs: int, rhs
     pairs = one.alias("a").join(one.alias("b"), "g").where("a.doc_id < b.doc_id and not arrays_overlap(a.y, b.y)").select(F.col("a.doc_id").alias("d1"), F.col("b.doc_id").alias("d2")).limit(groups)
     found = pairs.collect()
     if not found:  # a rare failing group: ask for pairs themselves
-        found = nfd_violations(df, doc_id, [names[i] for i in lattice._bits(lhs)], [names[rhs]]).limit(groups).collect()
+        found = nfd_violations(df, doc_id, [names[i] for i in lattice.bits(lhs)], [names[rhs]]).limit(groups).collect()
     ids = sorted({i for r in found for i in r})
     part = overlap_masks(unroll_dynamic(df.where(F.col(doc_id).isin(ids)), doc_id, names))
     wanted = {tuple(r) for r in found}

@@ -32,7 +32,7 @@ def levelwise(hist: dict[int, int], n_paths: int, max_lhs: int = 3) -> set[tuple
             lacking = 0
             for m in covering:  # no covering mask at all: lhs is a key and determines everything
                 lacking |= ~m & every
-            for rhs in _bits(rest & ~lacking):
+            for rhs in bits(rest & ~lacking):
                 found.add((lhs, rhs))
             rest &= lacking
             if rest and size < max_lhs:
@@ -48,18 +48,18 @@ def _next_level(level: dict[int, int], n_paths: int) -> dict[int, int]:
         top = lhs.bit_length()
         for p in range(top, n_paths):
             grown = lhs | 1 << p
-            subsets = [grown & ~(1 << q) for q in _bits(grown)]
+            subsets = [grown & ~(1 << q) for q in bits(grown)]
             if all(s in level for s in subsets):
                 rest = -1
                 for s in subsets:
                     rest &= level[s]
+                # A subset without an open right side closes all of its supersets.
                 if rest & ~grown & ((1 << n_paths) - 1):
                     out[grown] = rest & ((1 << n_paths) - 1)
-            # A subset without an open right side closes all of its supersets.
     return out
 
 
-def _bits(mask: int) -> Iterable[int]:
+def bits(mask: int) -> Iterable[int]:
     while mask:
         low = mask & -mask
         yield low.bit_length() - 1
@@ -87,7 +87,7 @@ def invert(negatives: dict[int, list[int]], n_paths: int, max_lhs: int = 3) -> s
         for m in masks:
             out_of = every & ~m & ~(1 << rhs)
             hit = [c for c in covers if c & out_of]
-            grown = {c | 1 << p for c in covers if not c & out_of for p in _bits(out_of) if c.bit_count() < max_lhs}
+            grown = {c | 1 << p for c in covers if not c & out_of for p in bits(out_of) if c.bit_count() < max_lhs}
             covers = hit + [g for g in sorted(grown, key=int.bit_count) if not any(h & g == h for h in hit)]
             covers = _minimal(covers)
         found |= {(c, rhs) for c in covers}
