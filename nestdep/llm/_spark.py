@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -12,6 +13,20 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+BATCH_BYTES = 2 << 20
+
+
+def bounded_batches(spark: SparkSession) -> None:
+    """Let Arrow batches hold 2 MB at most: workers and the JVM keep several of them in memory."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    try:
+        now = int(re.sub(r"[^0-9].*", "", spark.conf.get(key)))
+    except Exception:  # a version without this setting
+        return
+    if now <= 0 or now > BATCH_BYTES:
+        spark.conf.set(key, str(BATCH_BYTES))
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder that all executors share (spark.checkpoint.dir).
 

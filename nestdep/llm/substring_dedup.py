@@ -29,10 +29,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import written
+from ._spark import bounded_batches, written
 from ._text import fold, join_words, mix, slices, span_hash, words_of
 
-_GRAM = 8
+BROADCAST_KEYS = 400_000
 _LAST = 0x7FFFFFFFFFFFFFFF
 _SECOND = np.uint64(0xD6E8FEB86659FD93)
 
@@ -50,7 +50,7 @@ def _sliding_min(values: np.ndarray, width: int) -> np.ndarray:
 def _windows(column: pa.Array, window: int):
     """Words, word sums, starts of whole windows, their document and minimiser."""
     words = words_of(column)
-    gram = min(_GRAM, window)
+    gram = max(1, window // 2)  # an edited word then spoils half of the minimisers of its windows
     total = len(words.starts)
     if total < window:
         return words, None, np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint64)
@@ -166,6 +166,7 @@ def _cut(window: int):
 
 def remove_repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window: int = 50) -> DataFrame:
     """One row per input row: id, n_words, n_removed, spans (word intervals), kept_text."""
+    bounded_batches(docs.sparkSession)
     ident = F.col(id_col).cast("long")
     base = docs.select(
         ident.alias("id"),
@@ -175,19 +176,29 @@ def remove_repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col:
     )
     # A whole copy of a smaller document goes as one: its windows need not be counted.
     narrow = written(base.select("ord", "key", F.md5("text").alias("whole")), "wholes")
-    lowest = narrow.groupBy("whole").agg(F.min(F.struct("ord", "key")).alias("one"))
+    # Smallest members are written before they are joined back: joins whose sides are both exchanges can be split where a key is hot.
+    lowest = written(narrow.groupBy("whole").agg(F.min(F.struct("ord", "key")).alias("one")), "lowest")
     copies = narrow.join(lowest, "whole").where("ord > one.ord").select("key").distinct()
     marks = written(base.mapInArrow(_minimisers(window), "mark long, ord long, key long"), "marks")
     shared = marks.groupBy("mark").agg(F.min("ord").alias("lo"), F.max("ord").alias("hi")).where("lo < hi").select("mark")
+    shared = written(shared, "shared")
     wanted = marks.select("mark", "key").join(shared, "mark").groupBy("key").agg(F.collect_set("mark").alias("marks"))
-    wanted = wanted.join(lowest.select(F.col("one.key").alias("key")), "key", "left_semi")
+    wanted = written(wanted.join(lowest.select(F.col("one.key").alias("key")), "key", "left_semi"), "wanted")
+    copies = written(copies, "copies")
+    # Texts of documents that share nothing stay where they are, if the others are few enough to be told to all tasks.
+    keys = wanted.select("key").unionAll(copies).distinct()
+    few = keys.count() <= BROADCAST_KEYS
+    some = base.join(F.broadcast(keys), "key", "left_semi") if few else base
     # Both joins with the texts ask for the same columns, so that one exchange of the texts serves both.
-    rows = base.join(wanted, "key").mapInArrow(_candidates(window), "h1 long, h2 long, ord long, key long, at int")
+    rows = some.join(wanted, "key").mapInArrow(_candidates(window), "h1 long, h2 long, ord long, key long, at int")
     first = rows.groupBy("h1", "h2").agg(F.min("ord").alias("lo"), F.max("ord").alias("hi")).where("lo < hi").select("h1", "h2", "lo")
+    first = written(first, "first")
     found = rows.join(first, ["h1", "h2"]).where("ord > lo").groupBy("key").agg(F.collect_set("at").alias("found"))
-    gone = found.select("key", "found", F.lit(False).alias("copy")).unionByName(
-        copies.select("key", F.array().cast("array<int>").alias("found"), F.lit(True).alias("copy"))
-    )
-    out = base.join(gone, "key", "left")
+    none = F.array().cast("array<int>")
+    gone = found.select("key", "found", F.lit(False).alias("copy")).unionByName(copies.select("key", none.alias("found"), F.lit(True).alias("copy")))
+    out = some.join(gone, "key", "left")
+    if few:
+        rest = base.join(F.broadcast(keys), "key", "left_anti")
+        out = out.unionByName(rest.withColumns({"found": none, "copy": F.lit(False)}))
     done = out.mapInArrow(_cut(window), "id long, n_words long, n_removed long, spans array<struct<start:int,end:int>>, kept_text string")
     return done.withColumnRenamed("id", id_col)
