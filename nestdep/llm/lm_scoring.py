@@ -12,7 +12,7 @@ How it scales: training counts (context, byte) strings, pre-aggregated in each
 task, and these grow with the corpus; each depth is one grouped sum over the
 next deeper one.  Scoring tasks hold the tree as a table of hashed nodes whose
 size doubles with the number of nodes up to `MAX_SLOTS` (six bytes a slot); when
-two nodes meet in a slot the one counted more often stays.  The table is a
+a place has room for four nodes, and of more the ones counted most often stay.  The table is a
 shared file, not a driver object.
 
 The baseline sums log10((c + 1) / (N + V + 1)) over words and one end token a
@@ -31,15 +31,16 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.parquet as pq
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ._spark import scratch, written
-from ._text import lower_ascii, mix, slices, words_of
+from ._spark import bounded_batches, scratch, written
+from ._text import claim, lower_ascii, mix, slices, words_of
 from .warc import _store
 
 DEPTH = 5
 MAX_SLOTS = 1 << 24
+WAYS = 4
 HEAD_WORDS = 1 << 19
 _END = 0xFF  # never a byte of UTF-8
 _END_TOKEN = 0x0123456789ABCDEF  # stands for the end token among hashes of words
@@ -178,7 +179,8 @@ def _entries(depth: int, slots: int):
             rank = np.clip(np.log2(n + 1.0) * 512, 0, 32767).astype(np.uint64)
             tag = (code >> np.uint64(32)) & np.uint64(0xFFFF)
             packed = rank << np.uint64(48) | tag << np.uint64(32) | one << np.uint64(16) | halt
-            yield pa.RecordBatch.from_arrays([pa.array((code & np.uint64(slots - 1)).astype(np.int64)), pa.array(packed.view(np.int64))], names=["slot", "packed"])
+            group = (code & np.uint64(slots // WAYS - 1)).astype(np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(group), pa.array(packed.view(np.int64))], names=["place", "packed"])
 
     return run
 
@@ -187,13 +189,14 @@ def write_tree(levels: list[DataFrame], max_slots: int = MAX_SLOTS) -> tuple[str
     """Write the table of hashed nodes to the shared folder: its path and number of slots."""
     spark = levels[0].sparkSession
     nodes = sum(x.count() for x in levels)
-    slots = min(max_slots, 1 << max(10, int(nodes).bit_length()))
-    parts = [x.mapInArrow(_entries(DEPTH - k, slots), "slot long, packed long") for k, x in enumerate(levels)]
+    slots = min(max_slots, 1 << max(10, int(nodes).bit_length() + 1))
+    parts = [x.mapInArrow(_entries(DEPTH - k, slots), "place long, packed long") for k, x in enumerate(levels)]
     table = parts[0]
     for p in parts[1:]:
         table = table.unionAll(p)
     path = scratch(spark, "slots")
-    table.groupBy("slot").agg(F.max("packed").alias("packed")).write.parquet(path)
+    way = F.row_number().over(Window.partitionBy("place").orderBy(F.desc("packed")))
+    table.withColumn("way", way).where(F.col("way") <= WAYS).select((F.col("place") * WAYS + F.col("way") - 1).alias("slot"), "packed").write.parquet(path)
     return path, slots
 
 
@@ -245,9 +248,14 @@ class Tree:
             for d in range(DEPTH + 1):
                 node = (context & np.uint64((1 << 8 * d) - 1)) << np.uint64(8) | prefix
                 code = _slot_code(node, d)
-                at = (code & np.uint64(self.slots - 1)).astype(np.int64)
+                tag = ((code >> np.uint64(32)) & np.uint64(0xFFFF)).astype(np.uint16)
+                place = (code & np.uint64(self.slots // WAYS - 1)).astype(np.int64) * WAYS
+                at, hit = place.copy(), np.zeros(len(place), dtype=bool)
+                for way in range(WAYS):
+                    here = (self.tag[place + way] == tag) & (self.one[place + way] > 0) & ~hit
+                    at[here] += way
+                    hit |= here
                 one = self.one[at]
-                hit = (one > 0) & (self.tag[at] == ((code >> np.uint64(32)) & np.uint64(0xFFFF)).astype(np.uint16))
                 stop = np.where(hit, self.stop[at] / 65535.0, 0.0)
                 if d == DEPTH:
                     stop = np.where(hit, 1.0, 0.0)
@@ -288,6 +296,7 @@ class Model:
 
 def train(docs: DataFrame, text_col: str = "text") -> Model:
     """Count all texts of docs and build the model."""
+    bounded_batches(docs.sparkSession)
     text = docs.select(F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     counts = written(text.mapInArrow(_count, "kind int, key long, n long").groupBy("kind", "key").agg(F.sum("n").alias("n")), "counts")
     tokens = counts.where("kind = 1").select("key", "n")
@@ -307,11 +316,13 @@ def train(docs: DataFrame, text_col: str = "text") -> Model:
 
 def score_texts(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id, held_out, n_tokens, n_known, train_tokens, base_score, score, bits_per_byte of each document."""
+    bounded_batches(docs.sparkSession)
     tree, slots, total, distinct = model.tree, model.slots, model.total, model.distinct
     shared = docs.sparkSession.sparkContext.broadcast(model.head)
     room = np.log10(total + distinct + 1.0)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("lm", _TREES.clear)
         keys, times = shared.value
         for batch in batches:
             model = loaded(tree, slots)
@@ -319,13 +330,13 @@ def score_texts(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col:
                 n = part.num_rows
                 words = words_of(part.column("text"))
                 strings, doc = strings_of(lower_ascii(words.raw), words.offsets)
-                score = np.bincount(doc, weights=model.log10_of(strings), minlength=n)
+                score = np.bincount(doc, weights=model.log10_of(strings), minlength=n).astype(float)
                 token = np.concatenate([words.hashes(lower=True), np.full(n, _END_TOKEN, np.uint64)]).view(np.int64)
                 token_doc = np.concatenate([words.docs(), np.arange(n)])
                 at = np.searchsorted(keys, token)
                 at[at == len(keys)] = 0
                 hit = keys[at] == token if len(keys) else np.zeros(len(token), bool)
-                base = np.bincount(token_doc[hit], weights=np.log10(times[at[hit]] + 1.0) - room, minlength=n) if len(keys) else np.zeros(n)
+                base = np.bincount(token_doc[hit], weights=np.log10(times[at[hit]] + 1.0) - room, minlength=n).astype(float) if len(keys) else np.zeros(n)
                 known = np.bincount(token_doc[hit], minlength=n)
                 size = np.diff(words.offsets)
                 rest = ~hit
