@@ -40,7 +40,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ._spark import written
+from ._spark import bounded_batches, written
 from ._text import Words, claim, fold, mix, slices, span_hash, trim_memory, words_of
 
 SHINGLE = 5
@@ -363,7 +363,8 @@ def _blocks(rows: DataFrame, similarity: float | None = None) -> DataFrame:
 
 def _first_pairs(bands: DataFrame, nodes: DataFrame) -> DataFrame:
     """A forest of each bucket, large buckets being split by a hash that differs from band to band."""
-    size = bands.groupBy("band").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    # Written before it is joined back, so that the join can be split where a band is hot.
+    size = written(bands.groupBy("band").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "sizes")
     rows = bands.join(size, "band").withColumn("part", F.pmod(F.xxhash64("key", "band"), F.ceil(F.col("n") / CHUNK)).cast("int"))
     rows = rows.join(nodes.select("key", "sig"), "key")
     return _blocks(rows.withColumns({"visit": F.lit(0), "comp": F.col("key"), "home": F.lit(True), "guest": F.lit(True)}))
@@ -386,6 +387,7 @@ def _more_pairs(bands: DataFrame, nodes: DataFrame, comps: DataFrame, base: Data
     named = bands.join(comps.select(F.col("node").alias("key"), "root"), "key", "left").withColumn("comp", F.coalesce("root", "key")).drop("root")
     kinds = named.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("m"))
     mixed = kinds.groupBy("band").agg(F.sum("m").alias("n"), F.max(F.struct("m", "comp")).alias("most")).where("n > 2 and n > most.m")
+    mixed = written(mixed, "mixed")
     chunks, visits = F.ceil(F.col("n") / CHUNK).cast("int"), F.ceil((F.col("n") - F.col("most.m")) / CHUNK).cast("int")
     rows = named.join(mixed.select("band", F.col("most.comp").alias("major"), chunks.alias("chunks"), visits.alias("visits")), "band")
     one, two = (F.pmod(F.xxhash64(F.lit(k), "key", "band"), F.col(c)).cast("int") for k, c in ((1, "chunks"), (2, "visits")))
@@ -404,6 +406,7 @@ def _more_pairs(bands: DataFrame, nodes: DataFrame, comps: DataFrame, base: Data
 
 def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = SIMILARITY) -> DataFrame:
     """(id, key, class_id, class_size, stays): one row per input row; `stays` marks the class's smallest document."""
+    bounded_batches(docs.sparkSession)
     ident = F.col(id_col).cast("long")
     base = docs.select(
         F.coalesce(ident, F.lit(_LAST)).alias("ord"), F.xxhash64(ident, F.col(text_col)).alias("key"), F.coalesce(F.col(text_col), F.lit("")).alias("text")
@@ -423,7 +426,7 @@ def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     member = rows.where("size > 0").join(named, ["d1", "d2"]).select("ord", "key", F.struct(F.lit(1).alias("kind"), "root").alias("class"))
     alone = rows.where("size = 0").select("ord", "key", F.struct(F.lit(0).alias("kind"), F.col("key").alias("root")).alias("class"))
     member = member.unionAll(alone)
-    least = member.groupBy("class").agg(F.min(F.struct("ord", "key")).alias("first"), F.count(F.lit(1)).alias("class_size"))
+    least = written(member.groupBy("class").agg(F.min(F.struct("ord", "key")).alias("first"), F.count(F.lit(1)).alias("class_size")), "least")
     out = member.join(least, "class")
     shown = lambda c: F.when(c < F.lit(_LAST), c)
     return out.select(
