@@ -34,10 +34,11 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._text import claim
+from ._spark import bounded_batches
+from ._text import claim, slices, trim_memory
 
-_CACHE_PIECES = 400_000
-_CACHE_PAIRS = 1_000_000
+_CACHE_PIECES = 150_000
+_CACHE_PAIRS = 200_000
 _ODD_SPACE = re.compile("[\x1c-\x1f]")
 _BEYOND_LATIN = re.compile("[^\x00-\u024f]")
 _SPACES = regex.compile(r"\p{White_Space}+")
@@ -273,34 +274,22 @@ def loaded(path: str) -> WordBpe:
     return _LOADED[path]
 
 
-def _groups(texts: list[str], limit: int) -> Iterator[list[str]]:
-    part, size = [], 0
-    for t in texts:
-        if part and size + len(t) > limit:
-            yield part
-            part, size = [], 0
-        part.append(t)
-        size += len(t)
-    if part:
-        yield part
-
-
 def encode_texts(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: id, n_tokens, token_ids (little-endian uint32), decoded."""
+    bounded_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         claim("bpe", _LOADED.clear)
         bpe = None
         for batch in batches:
             bpe = bpe or loaded(vocabulary)
-            at = 0
-            for texts in _groups(batch.column("text").to_pylist(), 4_000_000):
-                coded = bpe.encode_batch(texts)
-                ids = batch.column("id").slice(at, len(texts))
-                at += len(texts)
+            for part in slices(batch, "text", 1_000_000):
+                coded = bpe.encode_batch(part.column("text").to_pylist())
                 n, raw, text = zip(*coded)
-                del coded
-                yield pa.RecordBatch.from_arrays([ids, pa.array(n, pa.int64()), pa.array(raw, pa.binary()), pa.array(text, pa.string())], names=["id", "n_tokens", "token_ids", "decoded"])
+                out = [part.column("id"), pa.array(n, pa.int64()), pa.array(raw, pa.binary()), pa.array(text, pa.string())]
+                del coded, n, raw, text
+                yield pa.RecordBatch.from_arrays(out, names=["id", "n_tokens", "token_ids", "decoded"])
+        trim_memory()
 
     base = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     return base.mapInArrow(run, "id long, n_tokens long, token_ids binary, decoded string").withColumnRenamed("id", id_col)

@@ -31,7 +31,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -83,14 +83,15 @@ def shard_shares(spark: SparkSession, quotas: list[int], shards: int, seed: int)
     """(sidx, draw, shard): which shard gets each draw of each source."""
     counts = np.array(quotas, dtype=np.int64)
 
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
-            for shard in frame["id"]:
-                offset, have = split_path(counts, int(shard), shards, seed)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for shard in batch.column("id").to_pylist():
+                offset, have = split_path(counts, shard, shards, seed)
                 some = np.flatnonzero(have)
-                yield pd.DataFrame({"sidx": some.astype(np.int32), "lo": offset[some], "hi": offset[some] + have[some] - 1, "shard": np.int64(shard)})
+                columns = some.astype(np.int32), offset[some], offset[some] + have[some] - 1, np.full(len(some), shard, np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], names=["sidx", "lo", "hi", "shard"])
 
-    ranges = spark.range(shards).mapInPandas(run, "sidx int, lo long, hi long, shard long")
+    ranges = spark.range(shards).mapInArrow(run, "sidx int, lo long, hi long, shard long")
     return ranges.select("sidx", F.explode(F.sequence("lo", "hi")).alias("draw"), "shard")
 
 

@@ -30,6 +30,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ._spark import bounded_batches
+
 SAMPLE = 8_000
 QUERY_BLOCK = 16_384
 SLICE_ROWS = 8_192
@@ -144,6 +146,7 @@ def _matrix(column: pa.Array, dims: int) -> np.ndarray:
 
 def nearest(vectors: DataFrame, is_query: Column, k: int = 10, id_col: str = "vec_id", vector_col: str = "embedding", sample: int = SAMPLE, rerank: int = RERANK) -> DataFrame:
     """query_id, rank, vec_id, score (Euclidean distance) of the k nearest found for each query."""
+    bounded_batches(vectors.sparkSession)
     spark = vectors.sparkSession
     base = vectors.select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).cast("array<double>").alias("vector"), is_query.alias("asks"))
     base = base.where(F.col("id").isNotNull() & usable(F.col("vector")))

@@ -21,11 +21,13 @@ from __future__ import annotations
 import re
 from collections.abc import Iterator
 
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ._spark import bounded_batches
+from ._text import trim_memory
+
 BASE_KINDS = ("email", "ip", "card", "phone")
 EXTRA_KINDS = ("url", "secret", "key", "iban", "ssn")
 KINDS = BASE_KINDS + EXTRA_KINDS
@@ -145,10 +147,12 @@ def _find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             [kinds.take(pa.array(kind, pa.int32())), pa.array(start, pa.int64()), pa.array(end, pa.int64())], names=["kind", "start", "end"]
         )
         yield pa.RecordBatch.from_arrays([batch.column("id"), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), spans)], names=["id", "entities"])
+    trim_memory()
 
 
 def find_pii(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: id and entities, an array of (kind, start, end)."""
+    bounded_batches(docs.sparkSession)
     base = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     schema = "id long, entities array<struct<kind:string,start:long,end:long>>"
     return base.mapInArrow(_find, schema).withColumnRenamed("id", id_col)
@@ -173,9 +177,14 @@ def redacted(text: str | None) -> str | None:
 
 def redact_pii(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """The same rows and columns with entities replaced; null texts stay null."""
+    bounded_batches(docs.sparkSession)
+
+    at = docs.columns.index(text_col)
 
-    @F.pandas_udf("string")
-    def run(texts: pd.Series) -> pd.Series:
-        return texts.map(redacted)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            clean = pa.array([redacted(t) for t in batch.column(at).to_pylist()], batch.schema.field(at).type)
+            yield pa.RecordBatch.from_arrays([clean if i == at else c for i, c in enumerate(batch.columns)], schema=batch.schema)
+        trim_memory()
 
-    return docs.withColumn(text_col, run(F.col(text_col)))
+    return docs.mapInArrow(run, docs.schema)

@@ -25,6 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ._spark import bounded_batches
 from ._text import fold, mix, slices, span_hash, words_of
 
 MIN_TOKENS = 50
@@ -198,6 +199,7 @@ _SCHEMA = "id long, n_words long, word_chars long, n_symbols long, n_dup_lines l
 
 
 def quality_measures(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    bounded_batches(docs.sparkSession)
     base = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     return base.mapInArrow(_measure(model), _SCHEMA).withColumnRenamed("id", id_col)
 

@@ -7,7 +7,7 @@ read a window of words, attention pools their states, and a linear layer gives
 the window's score.  All overlapping windows of the whole text are scored; the
 document's score is the largest, calibrated on the training sample.
 
-The network is trained here in numpy, on the driver, on at most
+The network is trained here in numpy, in one task, on at most
 `SAMPLE_PER_CLASS` labelled documents of each class (those with the smallest
 hash of their id).  The first coordinate of each embedding starts from the log
 odds of its bucket in that sample.  Only the text is an input of a score.
@@ -21,6 +21,7 @@ empty table gives an empty result; other columns are ignored by
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,9 +29,10 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._text import Words, fold, lower_ascii, mix, slices, span_hash, words_of
+from ._spark import bounded_batches
+from ._text import Words, claim, fold, lower_ascii, mix, slices, span_hash, trim_memory, words_of
 
-SAMPLE_PER_CLASS = 2_500
+SAMPLE_PER_CLASS = 1_500
 THRESHOLD = 0.7
 WINDOW, STRIDE = 48, 24
 BUCKETS, WORD_DIMS, CHAR_DIMS, HIDDEN, ATTEND = 1 << 15, 6, 10, 8, 8
@@ -56,7 +58,8 @@ class Inputs:
         raw = lower_ascii(words.raw)
         sums = fold(raw.astype(np.uint64) + np.uint64(1))
         hashes = span_hash(sums, words.starts, words.ends)
-        _, where, self.of_token = np.unique(hashes, return_index=True, return_inverse=True)
+        _, where, back = np.unique(hashes, return_index=True, return_inverse=True)
+        self.of_token = back.astype(np.int32)
         start, end = words.starts[where], words.ends[where]
         self.word = (hashes[where] >> np.uint64(40)).astype(np.int64) % BUCKETS
         n, size = len(where), end - start
@@ -75,7 +78,7 @@ class Inputs:
                 first = end[row] - inner if after and not before else start[row] + step
                 code = span_hash(sums, first, first + inner) ^ np.uint64(before + 2 * after)
                 rows.append(row)
-                grams.append((mix(code) >> np.uint64(40)).astype(np.int64) % BUCKETS)
+                grams.append(((mix(code) >> np.uint64(40)) % np.uint64(BUCKETS)).astype(np.int32))
         row, gram = np.concatenate(rows), np.concatenate(grams)
         order = np.argsort(row, kind="stable")
         self.gram = gram[order]
@@ -117,9 +120,11 @@ class Network:
 
     def embed(self, x: Inputs) -> np.ndarray:
         sums = np.zeros((len(x.word), CHAR_DIMS), np.float32)
-        some = np.flatnonzero(x.count)
-        if len(some):
-            sums[some] = np.add.reduceat(self.p["char"][x.gram], x.begin[:-1][some], axis=0) / x.count[some, None]
+        for lo in range(0, len(x.word), 4096):  # some words at a time: their n-grams are many
+            some = lo + np.flatnonzero(x.count[lo : lo + 4096])
+            if len(some):
+                own = self.p["char"][x.gram[x.begin[some[0]] : x.begin[some[-1] + 1]]]
+                sums[some] = np.add.reduceat(own, x.begin[some] - x.begin[some[0]], axis=0) / x.count[some, None]
         return np.concatenate([self.p["word"][x.word], sums], axis=1)
 
     def gates(self, embedded: np.ndarray, side: str) -> np.ndarray:
@@ -158,7 +163,7 @@ class Network:
         context = np.einsum("tb,tbh->bh", weight, states)
         return inner, weight, context, context @ self.p["o"] + self.p["c"][0]
 
-    def logits(self, x: Inputs, first: np.ndarray, size: np.ndarray, chunk: int = 4096) -> np.ndarray:
+    def logits(self, x: Inputs, first: np.ndarray, size: np.ndarray, chunk: int = 1024) -> np.ndarray:
         embedded = self.embed(x)
         gf, gb = self.gates(embedded, "f"), self.gates(embedded, "b")
         out = np.empty(len(first), np.float32)
@@ -386,27 +391,40 @@ def held_out(id_col: Column) -> Column:
 
 def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", per_class: int = SAMPLE_PER_CLASS) -> Network | None:
     """Train on at most per_class labelled documents of each class that are not held out."""
+    bounded_batches(docs.sparkSession)
     known = labels.select(F.col(id_col).alias("l_id"), F.col(label_col).cast("int").alias("y")).where(F.col("y").isin(0, 1) & ~held_out(F.col("l_id")))
     known = known.groupBy("l_id").agg(F.max("y").alias("y"))
     parts = [known.where(F.col("y") == y).orderBy(F.xxhash64("l_id"), "l_id").limit(per_class) for y in (0, 1)]
     picked = F.broadcast(parts[0].unionAll(parts[1]))
     text = docs.select(F.col(id_col).alias("d_id"), F.col(text_col).alias("text"))
-    rows = text.join(picked, text["d_id"] == picked["l_id"]).groupBy("d_id", "y").agg(F.min("text").alias("text")).toArrow().sort_by("d_id")
-    y = rows.column("y").to_pylist()
-    if len(set(y)) < 2:
-        return None
-    return train(rows.column("text").to_pylist(), y)
+    rows = text.join(picked, text["d_id"] == picked["l_id"]).groupBy("d_id", "y").agg(F.min("text").alias("text"))
+    made = rows.select(F.struct("d_id").alias("k"), "y", "text").coalesce(1).mapInArrow(_train_task, "model binary").collect()
+    return pickle.loads(made[0][0]) if made else None
+
+
+def _train_task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Train on the rows of one task (the bounded sample) and return the network."""
+    claim("toxicity")
+    rows = [(k["d_id"], y, t) for b in batches for k, y, t in zip(*(b.column(c).to_pylist() for c in ("k", "y", "text")))]
+    rows.sort(key=lambda r: (str(r[0]), r[1]))
+    if len({r[1] for r in rows}) == 2:
+        net = train([r[2] for r in rows], [r[1] for r in rows])
+        trim_memory()
+        yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(net)], pa.binary())], names=["model"])
 
 
 def score_toxicity(docs: DataFrame, net: Network | None, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
     """One row per document: id, score, predicted."""
+    bounded_batches(docs.sparkSession)
     base = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     shared = docs.sparkSession.sparkContext.broadcast(net)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("toxicity")
         for batch in batches:
             for part in slices(batch, "text"):
                 yield pa.RecordBatch.from_arrays([part.column("id"), pa.array(document_scores(shared.value, part.column("text")))], names=["id", "score"])
+        trim_memory()
 
     kind = dict(base.dtypes)["id"]
     out = base.mapInArrow(run, f"id {kind}, score double")
@@ -415,11 +433,14 @@ def score_toxicity(docs: DataFrame, net: Network | None, id_col: str = "doc_id",
 
 def drop_toxic(docs: DataFrame, net: Network | None, text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
     """The rows, with all columns, that score below the threshold."""
+    bounded_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(net)
 
-    @F.arrow_udf("double")
-    def score(texts: pa.Array) -> pa.Array:
-        done = [document_scores(shared.value, p.column("t")) for p in slices(pa.RecordBatch.from_arrays([texts], names=["t"]), "t")]
-        return pa.array(np.concatenate(done) if done else np.zeros(0))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("toxicity")
+        for batch in batches:
+            for part in slices(batch, text_col):
+                yield part.filter(pa.array(document_scores(shared.value, part.column(text_col)) < threshold))
+        trim_memory()
 
-    return docs.where(score(F.col(text_col)) < threshold)
+    return docs.mapInArrow(run, docs.schema)

@@ -30,7 +30,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ._spark import scratch
+from ._spark import bounded_batches, scratch
 
 MIN_REVISIT = 1000
 FRAME_BYTES = 1 << 20
@@ -115,6 +115,7 @@ _MANIFEST = "record_id string, bundle string, frame int, frame_offset long, leng
 
 def write_archives(pages: DataFrame, directory: str, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", min_revisit: int = MIN_REVISIT) -> DataFrame:
     """Write bundles under `directory`; the manifest lies in `directory`/manifest and is returned."""
+    bounded_batches(pages.sparkSession)
     spark = pages.sparkSession
     payload = F.encode(F.coalesce(F.col(payload_col), F.lit("")), "UTF-8")
     base = pages.select(F.col(id_col).cast("long").alias("id"), F.col(url_col).alias("url"), payload.alias("payload"))
