@@ -10,10 +10,10 @@ never seen predicts as the one above it.
 
 How it scales: training counts (context, byte) strings, pre-aggregated in each
 task, and these grow with the corpus; each depth is one grouped sum over the
-next deeper one.  Scoring tasks hold the tree as a table of hashed nodes whose
-size doubles with the number of nodes up to `MAX_SLOTS` (six bytes a slot); when
-a place has room for four nodes, and of more the ones counted most often stay.  The table is a
-shared file, not a driver object.
+next deeper one, and then one join with the depth above.  No node is left out:
+strings counted often (at most `HEAD_STRINGS`) are looked up in the task, in a
+shared file, not a driver object; all others are joined with the complete table
+of strings, and those that were never counted with the nodes of every depth.
 
 The baseline sums log10((c + 1) / (N + V + 1)) over words and one end token a
 text.  Words counted often (at most `HEAD_WORDS`) are looked up in the task; all
@@ -31,7 +31,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.parquet as pq
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ._spark import bounded_batches, scratch, written
@@ -39,9 +39,8 @@ from ._text import claim, lower_ascii, mix, slices, words_of
 from .warc import _store
 
 DEPTH = 5
-MAX_SLOTS = 1 << 24
-WAYS = 4
 HEAD_WORDS = 1 << 19
+HEAD_STRINGS = 1 << 21
 _END = 0xFF  # never a byte of UTF-8
 _END_TOKEN = 0x0123456789ABCDEF  # stands for the end token among hashes of words
 _CACHE = 1 << 21
@@ -164,112 +163,101 @@ def tree_levels(strings: DataFrame) -> list[DataFrame]:
     return levels
 
 
-def _slot_code(node: np.ndarray, depth: int) -> np.ndarray:
-    return mix(node.astype(np.uint64) * np.uint64(DEPTH + 1) + np.uint64(depth) + np.uint64(1))
+def _cut(node: str, depth: int) -> Column:
+    """The node of the last `depth` bytes of a node's context, same bit prefix."""
+    return F.shiftleft(F.shiftrightunsigned(node, 8).bitwiseAND(F.lit((1 << 8 * depth) - 1)), 8).bitwiseOR(F.col(node).bitwiseAND(F.lit(255)))
 
 
-def _entries(depth: int, slots: int):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            node, n0, n1, stop = (batch.column(c).to_numpy(zero_copy_only=False) for c in ("node", "n0", "n1", "stop"))
-            code = _slot_code(node.view(np.uint64) if node.dtype == np.int64 else node, depth)
-            n = n0 + n1
-            one = np.clip(np.rint((n1 + 0.5) / (n + 1.0) * 65536), 1, 65535).astype(np.uint64)
-            halt = np.clip(np.rint(stop * 65535), 0, 65535).astype(np.uint64)
-            rank = np.clip(np.log2(n + 1.0) * 512, 0, 32767).astype(np.uint64)
-            tag = (code >> np.uint64(32)) & np.uint64(0xFFFF)
-            packed = rank << np.uint64(48) | tag << np.uint64(32) | one << np.uint64(16) | halt
-            group = (code & np.uint64(slots // WAYS - 1)).astype(np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(group), pa.array(packed.view(np.int64))], names=["place", "packed"])
-
-    return run
-
-
-def write_tree(levels: list[DataFrame], max_slots: int = MAX_SLOTS) -> tuple[str, int]:
-    """Write the table of hashed nodes to the shared folder: its path and number of slots."""
-    spark = levels[0].sparkSession
-    nodes = sum(x.count() for x in levels)
-    slots = min(max_slots, 1 << max(10, int(nodes).bit_length() + 1))
-    parts = [x.mapInArrow(_entries(DEPTH - k, slots), "place long, packed long") for k, x in enumerate(levels)]
-    table = parts[0]
-    for p in parts[1:]:
-        table = table.unionAll(p)
-    path = scratch(spark, "slots")
-    way = F.row_number().over(Window.partitionBy("place").orderBy(F.desc("packed")))
-    table.withColumn("way", way).where(F.col("way") <= WAYS).select((F.col("place") * WAYS + F.col("way") - 1).alias("slot"), "packed").write.parquet(path)
-    return path, slots
+def _few(nodes: DataFrame, depth: int) -> DataFrame:
+    """Depths 0 and 1 have 65,535 nodes at most, each with many children."""
+    return F.broadcast(nodes) if depth <= 1 else nodes
+
+
+def mixed_levels(levels: list[DataFrame]) -> list[DataFrame]:
+    """Nodes by depth, deepest first: node and prob, the mixed probability of a one where it is the deepest node."""
+    one = (F.col("n1") + 0.5) / (F.col("n0") + F.col("n1") + 1.0)
+    stop = F.least("stop", F.lit(1.0))
+    out: list[DataFrame] = []
+    for d, level in enumerate(reversed(levels)):
+        rows = level.select("node", one.alias("one"), stop.alias("stop"))
+        if out:
+            above = out[-1].select(F.col("node").alias("up"), F.col("acc").alias("acc0"), F.col("left").alias("left0"))
+            rows = rows.withColumn("up", _cut("node", d - 1)).join(_few(above, d - 1), "up")
+        else:
+            rows = rows.withColumns({"acc0": F.lit(0.0), "left0": F.lit(1.0)})
+        rows = rows.withColumns({"acc": F.expr("acc0 + left0 * stop * one"), "left": F.expr("left0 * (1 - stop)")})
+        out.append(written(rows.select("node", "acc", "left", F.expr("acc + left * one").alias("prob")), "mixed"))
+    return [x.select("node", "prob") for x in reversed(out)]
+
+
+def string_values(strings: DataFrame, mixed: list[DataFrame]) -> DataFrame:
+    """key and value, the log10 of the mixed probability of each (context, byte) string; keys are distinct.
+
+    Each of a string's eight nodes is looked up in the given depths, deepest first.
+    """
+    bits = F.explode(F.array(*[F.struct(F.lit(j).alias("j")) for j in range(8)]))
+    prefix = F.expr("cast(shiftright(256 | (key & 255), 8 - b.j) as bigint)")
+    node = F.shiftleft(F.shiftrightunsigned("key", 8), 8).bitwiseOR(prefix)
+    rows = strings.select("key", bits.alias("b")).select("key", node.alias("node"), F.expr("shiftright(key & 255, 7 - b.j) & 1").alias("bit"))
+    for k, level in enumerate(mixed):
+        d = DEPTH - k
+        rows = rows.withColumn("at", _cut("node", d)).join(_few(level.select(F.col("node").alias("at"), F.col("prob").alias(f"p{d}")), d), "at", "left").drop("at")
+    prob = F.coalesce(*[f"p{DEPTH - k}" for k in range(len(mixed))], F.lit(0.5))
+    return rows.groupBy("key").agg(F.sum(F.log10(F.when(F.col("bit") == 1, prob).otherwise(1 - prob))).alias("value"))
+
+
+def _least_class(counted: DataFrame, room: int) -> int:
+    """Keys of at least this count class (eighths of a power of two) are no more than room."""
+    sizes = sorted(((r[0], r[1]) for r in counted.groupBy(F.expr(_CLASS).alias("c")).count().toLocalIterator()), reverse=True)
+    least = 1 << 20
+    for c, n in sizes:
+        if n > room:
+            break
+        room, least = room - n, c
+    return least
+
+
+_CLASS = "cast(floor(log2(n) * 8) as int)"
 
 
 # -- scoring ----------------------------------------------------------------
 
 
-class Tree:
-    """The table of hashed nodes in memory, and a cache of scored (context, byte) strings."""
+class Head:
+    """The values of the strings counted most in memory, and a cache of strings looked up."""
 
-    def __init__(self, path: str, slots: int) -> None:
-        self.slots = slots
-        self.tag = np.zeros(slots, np.uint16)
-        self.one = np.zeros(slots, np.uint16)  # 0: empty
-        self.stop = np.zeros(slots, np.uint16)
+    def __init__(self, path: str) -> None:
         fs, where = _store(path)
+        keys, values = [np.zeros(0, np.uint64)], [np.zeros(0)]
         for name in sorted(f.path for f in fs.get_file_info(_selector(where)) if f.path.endswith(".parquet")):
             with fs.open_input_file(name) as file:
                 for batch in pq.ParquetFile(file).iter_batches(batch_size=1 << 18):
-                    at = batch.column("slot").to_numpy()
-                    packed = batch.column("packed").to_numpy().view(np.uint64)
-                    self.tag[at] = (packed >> np.uint64(32)).astype(np.uint16)
-                    self.one[at] = (packed >> np.uint64(16)).astype(np.uint16)
-                    self.stop[at] = packed.astype(np.uint16)
+                    keys.append(batch.column("key").to_numpy().view(np.uint64))
+                    values.append(batch.column("value").to_numpy())
+        key, value = np.concatenate(keys), np.concatenate(values)
+        order = np.argsort(key)
+        self.key, self.value = key[order], value[order]
         self.keys = np.full(_CACHE, np.uint64(0xFFFFFFFFFFFFFFFF))
-        self.known = np.zeros(_CACHE, np.float32)
+        self.known = np.zeros(_CACHE)
 
     def log10_of(self, strings: np.ndarray) -> np.ndarray:
+        """The value of each string; NaN for those that are not in the head."""
         at = (mix(strings) >> np.uint64(20)).astype(np.int64) & (_CACHE - 1)
-        out = self.known[at].astype(np.float64)
+        out = self.known[at]
         miss = np.flatnonzero(self.keys[at] != strings)
         if len(miss):
             new, back = np.unique(strings[miss], return_inverse=True)
-            value = self.evaluate(new)
+            value = np.full(len(new), np.nan)
+            if len(self.key):
+                found = np.minimum(np.searchsorted(self.key, new), len(self.key) - 1)
+                hit = self.key[found] == new
+                value[hit] = self.value[found[hit]]
             out[miss] = value[back]
             place = (mix(new) >> np.uint64(20)).astype(np.int64) & (_CACHE - 1)
             # Of strings that share a place the last one stays in both arrays.
             self.keys[place], self.known[place] = new, value
         return out
 
-    def evaluate(self, strings: np.ndarray) -> np.ndarray:
-        """log10 of the mixed probability of each string's last byte after the bytes before it."""
-        total = np.zeros(len(strings))
-        byte, context = strings & np.uint64(255), strings >> np.uint64(8)
-        for j in range(8):
-            prefix = (np.uint64(256) | byte) >> np.uint64(8 - j)
-            bit = (byte >> np.uint64(7 - j)) & np.uint64(1)
-            prob, left = np.zeros(len(strings)), np.ones(len(strings))
-            last = np.full(len(strings), 0.5)
-            for d in range(DEPTH + 1):
-                node = (context & np.uint64((1 << 8 * d) - 1)) << np.uint64(8) | prefix
-                code = _slot_code(node, d)
-                tag = ((code >> np.uint64(32)) & np.uint64(0xFFFF)).astype(np.uint16)
-                place = (code & np.uint64(self.slots // WAYS - 1)).astype(np.int64) * WAYS
-                at, hit = place.copy(), np.zeros(len(place), dtype=bool)
-                for way in range(WAYS):
-                    here = (self.tag[place + way] == tag) & (self.one[place + way] > 0) & ~hit
-                    at[here] += way
-                    hit |= here
-                one = self.one[at]
-                stop = np.where(hit, self.stop[at] / 65535.0, 0.0)
-                if d == DEPTH:
-                    stop = np.where(hit, 1.0, 0.0)
-                last = np.where(hit, one / 65536.0, last)
-                prob += left * stop * last
-                left = left * (1 - stop)
-                left_end = left * ~hit
-                prob += left_end * last
-                left = left - left_end
-            prob += left * last
-            prob = np.clip(prob, 1e-7, 1 - 1e-7)
-            total += np.log10(np.where(bit == 1, prob, 1 - prob))
-        return total
-
 
 def _selector(path: str):
     import pyarrow.fs as pafs
@@ -277,21 +265,22 @@ def _selector(path: str):
     return pafs.FileSelector(path)
 
 
-_TREES: dict[str, Tree] = {}
+_HEADS: dict[str, Head] = {}
 
 
-def loaded(path: str, slots: int) -> Tree:
-    if path not in _TREES:
-        _TREES.clear()
-        _TREES[path] = Tree(path, slots)
-    return _TREES[path]
+def loaded(path: str) -> Head:
+    if path not in _HEADS:
+        _HEADS.clear()
+        _HEADS[path] = Head(path)
+    return _HEADS[path]
 
 
 class Model:
-    """What training leaves: the tree's table, the table of token counts, its frequent part, N and V."""
+    """What training leaves: nodes by depth, strings' values, the path of the frequent ones, token counts, the frequent ones, N and V."""
 
-    def __init__(self, tree: str, slots: int, tokens: DataFrame, head: tuple[np.ndarray, np.ndarray], total: int, distinct: int) -> None:
-        self.tree, self.slots, self.tokens, self.head, self.total, self.distinct = tree, slots, tokens, head, total, distinct
+    def __init__(self, mixed: list[DataFrame], values: DataFrame, often: str, tokens: DataFrame, head: tuple[np.ndarray, np.ndarray], total: int, distinct: int) -> None:
+        self.mixed, self.values, self.often = mixed, values, often
+        self.tokens, self.head, self.total, self.distinct = tokens, head, total, distinct
 
 
 def train(docs: DataFrame, text_col: str = "text") -> Model:
@@ -300,37 +289,46 @@ def train(docs: DataFrame, text_col: str = "text") -> Model:
     text = docs.select(F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     counts = written(text.mapInArrow(_count, "kind int, key long, n long").groupBy("kind", "key").agg(F.sum("n").alias("n")), "counts")
     tokens = counts.where("kind = 1").select("key", "n")
-    tree, slots = write_tree(tree_levels(counts.where("kind = 0").select("key", "n")))
+    strings = counts.where("kind = 0").select("key", "n")
+    mixed = mixed_levels(tree_levels(strings))
+    # All nodes of a counted string are there at full depth.
+    values = written(string_values(strings, mixed[:1]), "values")
+    often = scratch(docs.sparkSession, "often")
+    frequent = strings.where(F.expr(_CLASS) >= _least_class(strings, HEAD_STRINGS)).select("key")
+    values.join(frequent, "key").write.parquet(often)
     total, distinct = tokens.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
-    # The head: all words counted at least as often as some number, the least that keeps it small enough.
-    sizes = sorted(((r[0], r[1]) for r in tokens.groupBy(F.expr("cast(floor(log2(n) * 8) as int)").alias("c")).count().toLocalIterator()), reverse=True)
-    room, least = HEAD_WORDS, None
-    for c, n in sizes:
-        if n > room:
-            break
-        room, least = room - n, c
-    head = tokens.where(F.expr("cast(floor(log2(n) * 8) as int)") >= (least if least is not None else 1 << 20)).toArrow().sort_by("key")
+    head = tokens.where(F.expr(_CLASS) >= _least_class(tokens, HEAD_WORDS)).toArrow().sort_by("key")
     keys, n = (head.column(c).to_numpy() for c in ("key", "n"))
-    return Model(tree, slots, tokens, (keys, n), int(total), int(distinct))
+    return Model(mixed, values, often, tokens, (keys, n), int(total), int(distinct))
+
+
+def _per_document(keys: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct (key, document) pairs and how often each occurs."""
+    order = np.lexsort((keys, doc))
+    keys, doc = keys[order], doc[order]
+    edge = np.flatnonzero(np.concatenate([[True], (keys[1:] != keys[:-1]) | (doc[1:] != doc[:-1])])) if len(keys) else np.zeros(0, np.int64)
+    return keys[edge], doc[edge], np.diff(np.append(edge, len(keys)))
 
 
 def score_texts(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id, held_out, n_tokens, n_known, train_tokens, base_score, score, bits_per_byte of each document."""
     bounded_batches(docs.sparkSession)
-    tree, slots, total, distinct = model.tree, model.slots, model.total, model.distinct
+    often, total, distinct = model.often, model.total, model.distinct
     shared = docs.sparkSession.sparkContext.broadcast(model.head)
     room = np.log10(total + distinct + 1.0)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        claim("lm", _TREES.clear)
+        claim("lm", _HEADS.clear)
         keys, times = shared.value
         for batch in batches:
-            model = loaded(tree, slots)
+            model = loaded(often)
             for part in slices(batch, "text"):
                 n = part.num_rows
                 words = words_of(part.column("text"))
                 strings, doc = strings_of(lower_ascii(words.raw), words.offsets)
-                score = np.bincount(doc, weights=model.log10_of(strings), minlength=n).astype(float)
+                value = model.log10_of(strings)
+                other = np.isnan(value)
+                score = np.bincount(doc, weights=np.where(other, 0.0, value), minlength=n).astype(float)
                 token = np.concatenate([words.hashes(lower=True), np.full(n, _END_TOKEN, np.uint64)]).view(np.int64)
                 token_doc = np.concatenate([words.docs(), np.arange(n)])
                 at = np.searchsorted(keys, token)
@@ -339,36 +337,38 @@ def score_texts(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col:
                 base = np.bincount(token_doc[hit], weights=np.log10(times[at[hit]] + 1.0) - room, minlength=n).astype(float) if len(keys) else np.zeros(n)
                 known = np.bincount(token_doc[hit], minlength=n)
                 size = np.diff(words.offsets)
-                rest = ~hit
-                rare, rare_doc = token[rest], token_doc[rest]
-                order = np.lexsort((rare, rare_doc))
-                rare, rare_doc = rare[order], rare_doc[order]
-                edge = np.flatnonzero(np.concatenate([[True], (rare[1:] != rare[:-1]) | (rare_doc[1:] != rare_doc[:-1])])) if len(rare) else np.zeros(0, np.int64)
-                often = np.diff(np.append(edge, len(rare)))
                 key, ids = part.column("key"), part.column("id")
-                m = len(edge)
                 none = lambda kind, k: pa.nulls(k, kind)
                 yield pa.RecordBatch.from_arrays(
-                    [ids, key, pa.array(words.counts + 1), pa.array(known.astype(np.int64)), pa.array(base), pa.array(score), pa.array(size.astype(np.int64)), none(pa.int64(), n), none(pa.int64(), n)],
+                    [ids, key, pa.array(words.counts + 1), pa.array(known.astype(np.int64)), pa.array(base), pa.array(score), pa.array(size.astype(np.int64)), *[none(t, n) for t in (pa.int32(), pa.int64(), pa.int64())]],
                     names=_NAMES,
                 )
-                if m:
-                    yield pa.RecordBatch.from_arrays(
-                        [none(ids.type, m), key.take(pa.array(rare_doc[edge])), *[none(t, m) for t in (pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.int64())], pa.array(rare[edge]), pa.array(often)],
-                        names=_NAMES,
-                    )
+                for kind, rare, rare_doc in ((0, strings[other].view(np.int64), doc[other]), (1, token[~hit], token_doc[~hit])):
+                    rare, rare_doc, occurs = _per_document(rare, rare_doc)
+                    if m := len(rare):
+                        yield pa.RecordBatch.from_arrays(
+                            [none(ids.type, m), key.take(pa.array(rare_doc)), *[none(t, m) for t in (pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.int64())], pa.array(np.full(m, kind, np.int32)), pa.array(rare), pa.array(occurs)],
+                            names=_NAMES,
+                        )
 
     base = docs.select(F.col(id_col).cast("long").alias("id"), F.xxhash64(F.col(id_col), F.col(text_col)).alias("key"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    schema = "id long, key long, n_tokens long, known long, base double, score double, bytes long, token long, times long"
+    schema = "id long, key long, n_tokens long, known long, base double, score double, bytes long, kind int, token long, times long"
     out = written(base.mapInArrow(run, schema), "scores")
-    rows = out.where("n_tokens is not null").drop("token", "times")
+    rows = out.where("n_tokens is not null").drop("kind", "token", "times")
     copies = rows.groupBy("key").agg(F.count(F.lit(1)).alias("copies"))
-    rare = out.where("token is not null").select("key", "token", "times")
+    rare = out.where("kind = 1").select("key", "token", "times")
     met = rare.join(model.tokens.select(F.col("key").alias("token"), "n"), "token", "left")
     value = F.log10(F.coalesce("n", F.lit(0)) + 1.0) - F.lit(float(room))
     sums = met.groupBy("key").agg(F.sum(F.col("times") * value).alias("r_base"), F.sum(F.when(F.col("n").isNotNull(), F.col("times")).otherwise(0)).alias("r_known"))
-    # Rows that repeat id and text share a key, and each gave its rare tokens.
+    # Rows that repeat id and text share a key, and each gave its rare tokens and strings.
     sums = sums.join(copies, "key").select("key", (F.col("r_base") / F.col("copies")).alias("r_base"), (F.col("r_known") / F.col("copies")).cast("long").alias("r_known"))
+    other = out.where("kind = 0").select("key", "token", "times")
+    met = written(other.select("token").distinct().join(model.values.withColumnRenamed("key", "token"), "token", "left"), "met")
+    new = string_values(met.where("value is null").select(F.col("token").alias("key")), model.mixed)
+    priced = met.where("value is not null").unionByName(new.withColumnRenamed("key", "token"))
+    scores = other.join(priced, "token").groupBy("key").agg(F.sum(F.col("times") * F.col("value")).alias("r_score"))
+    scores = scores.join(copies, "key").select("key", (F.col("r_score") / F.col("copies")).alias("r_score"))
+    rows = rows.join(scores, "key", "left").withColumn("score", F.col("score") + F.coalesce("r_score", F.lit(0.0)))
     done = rows.join(sums, "key", "left").select(
         F.col("id").alias(id_col),
         held_out(F.col("id")).alias("held_out"),
@@ -382,4 +382,4 @@ def score_texts(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col:
     return done
 
 
-_NAMES = ["id", "key", "n_tokens", "known", "base", "score", "bytes", "token", "times"]
+_NAMES = ["id", "key", "n_tokens", "known", "base", "score", "bytes", "kind", "token", "times"]

@@ -300,3 +300,53 @@ def test_context_tree_equals_a_plain_one(spark):
             total += math.log10(prob)
     got = lm_scoring.score_texts(spark.createDataFrame([(1, text)], "doc_id long, text string"), model).first()["score"]
     assert abs(got - total) < 0.01 * abs(total)
+
+
+def test_op7_keeps_every_node(spark, monkeypatch):
+    """Whatever the head holds, scores of seen and unseen texts are those of the complete tree."""
+    rng = np.random.default_rng(5)
+    letters = np.array(list("abcdefgh étuv"))
+    texts = ["".join(rng.choice(letters, 400)) for _ in range(40)]
+    seen, fresh = texts[:30], [*texts[30:], "zzz never counted 漢字", ""]
+    streams = lambda text: bytes([255] * lm_scoring.DEPTH) + text.encode() + bytes([255])
+    counts: dict = {}
+    for text in seen:
+        data = streams(text)
+        for i in range(lm_scoring.DEPTH, len(data)):
+            for j in range(8):
+                for d in range(lm_scoring.DEPTH + 1):
+                    n = counts.setdefault((data[i - d : i], (256 | data[i]) >> (8 - j)), [0, 0])
+                    n[data[i] >> (7 - j) & 1] += 1
+    below: dict = {}
+    for context, prefix in counts:
+        if context:
+            below.setdefault((context[1:], prefix), []).append((context, prefix))
+    kt, weighted, stop = {k: float(lm_scoring.kt_log(np.array([n[0] * 1.0]), np.array([n[1] * 1.0]))[0]) for k, n in counts.items()}, {}, {}
+    for node in sorted(counts, key=lambda k: -len(k[0])):
+        weighted[node], stop[node] = kt[node], 1.0
+        if len(node[0]) < lm_scoring.DEPTH:
+            weighted[node] = float(np.logaddexp(kt[node], sum(weighted[c] for c in below[node]))) - math.log(2)
+            stop[node] = math.exp(kt[node] - math.log(2) - weighted[node])
+
+    def score(text):
+        data, total = streams(text), 0.0
+        for i in range(lm_scoring.DEPTH, len(data)):
+            for j in range(8):
+                prob, left, last = 0.0, 1.0, 0.5
+                for d in range(lm_scoring.DEPTH + 1):
+                    node = (data[i - d : i], (256 | data[i]) >> (8 - j))
+                    if node not in counts:
+                        break
+                    last = (counts[node][1] + 0.5) / (sum(counts[node]) + 1.0)
+                    prob, left = prob + left * stop[node] * last, left * (1 - stop[node])
+                prob += left * last
+                total += math.log10(prob if data[i] >> (7 - j) & 1 else 1 - prob)
+        return total
+
+    docs = spark.createDataFrame(list(enumerate(seen + fresh)), "doc_id long, text string")
+    for head in (1 << 21, 300):
+        monkeypatch.setattr(lm_scoring, "HEAD_STRINGS", head, raising=False)
+        model = lm_scoring.train(docs.where(docs.doc_id < len(seen)))
+        got = {r["doc_id"]: r["score"] for r in lm_scoring.score_texts(docs, model).collect()}
+        for i, text in enumerate(seen + fresh):
+            assert got[i] == pytest.approx(score(text), rel=1e-9)
