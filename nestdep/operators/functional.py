@@ -162,18 +162,22 @@ def candidate_strengths(masks: DataFrame, candidates: list[tuple[int, int]], n_d
 
 
 def _mine_approximate(df: DataFrame, doc_id: str, method: str, theta: float, max_lhs: int, paths: list[str] | None, pooling: str, order: str, limit: int) -> DataFrame:
+    """Pooled strengths are searched level by level whatever the method: negative_cover has its own search per mask only."""
     names = [str(p) for p in resolve(df, doc_id, paths)]
     n_docs, n = df.count(), len(names)
-    masks = written(overlap_masks(unroll_dynamic(df, doc_id, names), limit), "masks")
+    cells = unroll_dynamic(df, doc_id, names)
+    masks = written(overlap_masks(cells, limit), "masks")
+    hist = histogram(masks, n_docs)
+    ids = df.select(F.col(doc_id).alias("doc_id"))
+    empty, alone = _empty_strengths(ids, cells, masks, hist, n_docs, n, theta, order, limit)
     if method == "negative_cover" and pooling == "per_mask":
         # Each negative dependency counts alone: it stays only if its own pairs need too many documents.
-        hist = histogram(masks, n_docs)
         kept = _heavy_masks(masks, [m for m in hist if m], n_docs, theta, order)
-        hist = {m: c for m, c in hist.items() if m in kept or not m}
+        hist = {m: c for m, c in hist.items() if m in kept or not m and alone < theta}
         found = lattice.invert(lattice.negative_cover(hist, n), n, max_lhs)
         strength = candidate_strengths(masks, sorted(c for c in found if c[0]), n_docs, order)
-        return _frame(df, [(x, a, round(strength.get((x, a), 1.0), 6), True) for x, a in found], names)
-    found: dict[tuple[int, int], float] = {}
+        return _frame(df, [(x, a, round(strength[x, a] if x else empty[a], 6), True) for x, a in found], names)
+    found: dict[tuple[int, int], float] = {(0, a): s for a, s in empty.items() if s >= theta}
     for size in range(1, max_lhs + 1):
         level = []
         for x in _subsets(n, size):
@@ -185,6 +189,38 @@ def _mine_approximate(df: DataFrame, doc_id: str, method: str, theta: float, max
     return _frame(df, [(x, a, round(s, 6), True) for (x, a), s in found.items()], names)
 
 
+def _empty_strengths(ids: DataFrame, cells: DataFrame, masks: DataFrame, hist: dict[int, int], n_docs: int, n_paths: int, theta: float, order: str, limit: int) -> tuple[dict[int, float], float]:
+    """Strength of {} -> A for each path A, and that of the pairs that share nothing anywhere.
+
+    The pairs that violate {} -> A are those that do not overlap on A.  Without
+    the documents that lack A's most frequent value none is left, and no cover is
+    smaller where documents have one value at most.  Elsewhere pairs are made
+    only if neither this cover nor their number decides, and are counted first.
+    """
+    one = cells.select("doc_id", "path_id", "value").distinct()
+    most = {r["path_id"]: r["f"] for r in one.groupBy("path_id", "value").agg(F.count(F.lit(1)).alias("f")).groupBy("path_id").agg(F.max("f").alias("f")).toLocalIterator()}
+    width = {r["path_id"]: r["w"] for r in one.groupBy("doc_id", "path_id").agg(F.count(F.lit(1)).alias("w")).groupBy("path_id").agg(F.max("w").alias("w")).toLocalIterator()}
+
+    def strength(bad: int, shared: int, atomic: bool, overlapping: DataFrame) -> float:
+        if not bad:
+            return 1.0
+        simple = 1 - (n_docs - max(1, shared)) / n_docs
+        if atomic or simple >= theta or 1 - bad / (n_docs - 1) / n_docs < theta:  # a document is in n - 1 pairs at most
+            return simple
+        if bad > limit:
+            raise TooLarge(f"{bad} pairs of documents do not overlap; the limit is {limit}: choose paths")
+        pairs = ids.select(F.col("doc_id").alias("d1")).join(ids.select(F.col("doc_id").alias("d2"))).where("d1 < d2")
+        m = greedy_matching(pairs.join(overlapping.select("d1", "d2"), ["d1", "d2"], "left_anti"), order).count()
+        return max(simple, 1 - 2 * m / n_docs)
+
+    total = n_docs * (n_docs - 1) // 2
+    empty = {}
+    for a in range(n_paths):
+        bad = total - sum(c for m, c in hist.items() if m >> a & 1)
+        empty[a] = strength(bad, most.get(a, 0), width.get(a, 0) <= 1, masks.where(F.col("mask").bitwiseAND(F.lit(1 << a)) != 0))
+    return empty, strength(hist.get(0, 0), max(most.values(), default=0), False, masks)
+
+
 def _subsets(n: int, size: int) -> list[int]:
     return [sum(1 << p for p in c) for c in combinations(range(n), size)]
 

@@ -162,3 +162,16 @@ def test_sampled_theory_is_implied_by_fewer_pairs(spark):
     full = [(frozenset(r["lhs"].split(",")) - {""}, r["rhs"]) for r in functional.mine_functional(df, "id", paths=paths).collect()]
     some = [(frozenset(r["lhs"].split(",")) - {""}, r["rhs"]) for r in functional.mine_functional_sampled(df, "id", 2, 0.3, paths=paths).collect()]
     assert all(lattice.implies(some, d) for d in full)
+
+
+def test_approximate_miners_test_empty_left_sides(spark):
+    rows = [(i, "x" if i else "y", [i, i + 1], [[1, 2], [2, 3], [1, 3]][i % 3]) for i in range(20)]
+    df = spark.createDataFrame(rows, "id long, a string, b array<int>, c array<int>")
+    exact = {("", "$.c[*]")}
+    want = {("", "$.c[*]"): 1.0, ("", "$.a"): 0.95}
+    deps = lambda **o: {(r["lhs"].strip("{}"), r["rhs"]): r["strength"] for r in functional.mine_functional(df, "id", paths=["$.a", "$.b[*]", "$.c[*]"], **o).collect()}
+    assert exact <= set(deps())
+    for options in ({}, {"method": "negative_cover", "pooling": "per_mask"}):
+        got = deps(theta=0.85, **options)
+        assert {k: v for k, v in got.items() if k[1] != "$.b[*]"} == want
+        assert ("", "$.b[*]") not in got
