@@ -16,11 +16,13 @@ _PATHS = {
 STATIC_ROWS = 2e6
 
 
-def inclusion_runtime(spark: SparkSession, sf_dir: str, theta: float = 0.99, repeat: int = 1, cap: int = 10) -> DataFrame:
-    """Three collections by two miners by two unrollings."""
+def inclusion_runtime(spark: SparkSession, sf_dir: str, theta: float = 0.99, repeat: int = 3, cap: int = 10) -> DataFrame:
+    """Three whole collections by two miners by two unrollings, and product documents with arrays of at most cap as a row of its own."""
     rows = []
-    for name, (paths, key) in _PATHS.items():
-        docs = build_collection(name, spark, sf_dir, cap).select(*dict.fromkeys(p.split(".")[1].split("[")[0] for p in paths)).cache()
+    runs = [(name, name, None) for name in _PATHS] + [(f"product_docs cap {cap}", "product_docs", cap)]
+    for label, name, most in runs:
+        paths, key = _PATHS[name]
+        docs = build_collection(name, spark, sf_dir, most).select(*dict.fromkeys(p.split(".")[1].split("[")[0] for p in paths)).cache()
         n, factor = docs.count(), expansion_factor(docs).first()["expansion"]
         for method in ("sorted", "inverted"):
             if not rows:  # one untimed run, so that the first measured one does not pay for compilation
@@ -30,7 +32,7 @@ def inclusion_runtime(spark: SparkSession, sf_dir: str, theta: float = 0.99, rep
                 run = lambda m=method, u=unrolling: inclusion.mine_inclusion(docs, key, m, theta, u, paths, row_limit=STATIC_ROWS)
                 got = results.time_run(run, repeat)
                 seconds[unrolling] = got["seconds"]
-                rows.append((name, n, float(factor), method, unrolling, got["status"], got["seconds"], results.improvement(seconds)))
+                rows.append((label, n, float(factor), method, unrolling, got["status"], got["seconds"], results.improvement(seconds)))
         docs.unpersist()
     return spark.createDataFrame(rows, "collection string, documents long, expansion double, method string, unrolling string, status string, seconds double, improvement double")
 

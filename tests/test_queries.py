@@ -23,3 +23,19 @@ def test_entry_and_names():
     import __spark_entry__ as entry
 
     assert set(SQL) <= set(entry.queries()) and set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_blowup_and_runtime_take_whole_collections(spark, sf_dir, monkeypatch):
+    from nestdep import workloads
+    from nestdep.operators import results
+    from nestdep.sources.collections import build_collection
+
+    whole = build_collection("product_docs", spark, sf_dir)
+    assert QUERIES["w_blowup"](spark, sf_dir).collect() == results.blowup(whole).collect()
+    assert QUERIES["w_blowup"](spark, sf_dir).collect() != results.blowup(build_collection("product_docs", spark, sf_dir, cap=10)).collect()
+    timed = []
+    monkeypatch.setattr(results, "time_run", lambda make, repeat=3, limit_s=None: timed.append(repeat) or {"status": "ok", "seconds": 1.0})
+    rows = QUERIES["w_inclusion_runtime"](spark, sf_dir).collect()
+    related = whole.select(*[p.split(".")[1].split("[")[0] for p in ("$.partkey", "$.brand", "$.related", "$.suppliers[*]")])
+    assert {r["expansion"] for r in rows if r["collection"] == "product_docs"} == {float(workloads.expansion_factor(related).first()["expansion"])}
+    assert {r["collection"] for r in rows} == {"order_docs", "customer_docs", "product_docs", "product_docs cap 10"} and set(timed[1:]) == {3}
