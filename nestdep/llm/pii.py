@@ -41,7 +41,7 @@ _PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]").match
 _DIGITS = re.compile(r"[^0-9]").sub
 _URL = re.compile(r"://[^\s/?#@\"'<>]+@[^\s\"'<>]+").match
 _SCHEME = re.compile(r"[A-Za-z][A-Za-z0-9+.-]{0,15}$")
-_SECRET = re.compile(r"\s{0,2}[=:]\s{0,2}\"?([A-Za-z0-9_+/=-]{8,512})").match
+_SECRET = re.compile(r"\s{0,2}[=:]\s{0,2}\"?([A-Za-z0-9_+/=-]{8,})").match
 _KEY = re.compile(r"AKIA[0-9A-Z]{16}(?![0-9A-Z])").match
 _IBAN = re.compile(r"[\s:]{0,3}([A-Z]{2}[0-9]{2}(?: ?[0-9A-Z]{4}){2,7}(?: ?[0-9A-Z]{1,3})?)(?![0-9A-Za-z])").match
 _SSN = re.compile(r"[\s:#]{0,3}([0-9]{3}-[0-9]{2}-[0-9]{4})(?![0-9-])").match

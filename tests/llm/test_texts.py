@@ -350,3 +350,9 @@ def test_op7_keeps_every_node(spark, monkeypatch):
         got = {r["doc_id"]: r["score"] for r in lm_scoring.score_texts(docs, model).collect()}
         for i, text in enumerate(seen + fresh):
             assert got[i] == pytest.approx(score(text), rel=1e-9)
+
+
+def test_pii_secret_of_any_length():
+    long = "Ab9/" * 500
+    assert pii.redacted(f"token: {long} end") == "token: [SECRET] end"
+    assert pii.entities("token=" * 100_000)[0][1:] == (6, 600_000)
