@@ -1,7 +1,9 @@
 """Paths into nested documents: parsing, leaf catalog and generated expressions.
 
 A path starts at `$`; `.key` enters an object, `[*]` all elements of an array,
-`[i]` one of them (from 0), `{key}` and `{value}` the entries of a map.
+`[i]` one of them (from 0), `{key}` and `{value}` the entries of a map.  A key
+that is not made of ASCII letters, digits, `_` and `-` is quoted: `['first name']`,
+with a backslash before a quote or a backslash.
 Evaluation is a generated nested expression; there is no user-defined function.
 """
 
@@ -14,22 +16,35 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-_STEP = re.compile(r"\.([A-Za-z0-9_\-]+)|\[(\*|\d+)\]|\{(key|value)\}")
+_PLAIN = r"[A-Za-z0-9_\-]+"
+_STEP = re.compile(rf"\.({_PLAIN})|\[(\*|\d+)\]|\{{(key|value)\}}|\['((?:[^'\\]|\\.)*)'\]", re.DOTALL)
+
+
+class Mark(str):
+    """A step that is no object key."""
+
+
+EACH, KEY, VALUE = Mark("[*]"), Mark("{key}"), Mark("{value}")
+
+
+def key_text(key: str) -> str:
+    """How an object key stands in a path."""
+    return f".{key}" if re.fullmatch(_PLAIN, key) else "['" + re.sub(r"(['\\])", r"\\\1", key) + "']"
 
 
 @dataclass(frozen=True)
 class PathExpr:
-    """Steps: a name (object key), "[*]", an int (position), "{key}" or "{value}"."""
+    """Steps: a name (object key), EACH, an int (position), KEY or VALUE."""
 
     steps: tuple
 
     def __str__(self) -> str:
-        return "$" + "".join(f"[{s}]" if isinstance(s, int) else s if s[0] in "[{" else f".{s}" for s in self.steps)
+        return "$" + "".join(f"[{s}]" if isinstance(s, int) else str(s) if isinstance(s, Mark) else key_text(s) for s in self.steps)
 
     @property
     def repeated(self) -> bool:
         """Does one document have a set of values here rather than at most one?"""
-        return any(not isinstance(s, int) and s[0] in "[{" for s in self.steps)
+        return any(isinstance(s, Mark) for s in self.steps)
 
 
 def parse_path(text: str) -> PathExpr:
@@ -40,12 +55,20 @@ def parse_path(text: str) -> PathExpr:
         m = _STEP.match(text, at)
         if not m:
             raise ValueError(f"no step at {text[at:]!r} in {text!r}")
-        name, index, entry = m.groups()
-        steps.append(name if name else f"{{{entry}}}" if entry else "[*]" if index == "*" else int(index))
+        name, index, entry, quoted = m.groups()
+        if quoted is not None:
+            steps.append(re.sub(r"\\(.)", r"\1", quoted, flags=re.DOTALL))
+        else:
+            steps.append(name if name else Mark(f"{{{entry}}}") if entry else EACH if index == "*" else int(index))
         at = m.end()
     return PathExpr(tuple(steps))
 
 
+def named(column: str) -> Column:
+    """A top-level column of any name."""
+    return F.col("`" + column.replace("`", "``") + "`")
+
+
 def as_path(path: str | PathExpr) -> PathExpr:
     return parse_path(path) if isinstance(path, str) else path
 
@@ -54,12 +77,14 @@ def path_type(schema: T.DataType, path: str | PathExpr) -> T.DataType:
     """Data type of the values at a path."""
     kind = schema
     for step in as_path(path).steps:
-        if step == "[*]" or isinstance(step, int):
+        if step == EACH and isinstance(step, Mark) or isinstance(step, int):
             if not isinstance(kind, T.ArrayType):
                 raise ValueError(f"{path}: {step} on {kind.simpleString()}")
             kind = kind.elementType
-        elif step in ("{key}", "{value}"):
-            kind = kind.keyType if step == "{key}" else kind.valueType
+        elif isinstance(step, Mark):
+            if not isinstance(kind, T.MapType):
+                raise ValueError(f"{path}: {step} on {kind.simpleString()}")
+            kind = kind.keyType if step == KEY else kind.valueType
         elif isinstance(kind, T.StructType):
             kind = kind[step].dataType
         else:
@@ -76,12 +101,12 @@ def leaf_paths(schema: T.DataType, exclude: tuple[str, ...] = (), inner_array: s
             for f in kind.fields:
                 walk(f.dataType, (*steps, f.name), False)
         elif isinstance(kind, T.ArrayType):
-            each = range(width) if in_array and inner_array == "positional" else ["[*]"]
+            each = range(width) if in_array and inner_array == "positional" else [EACH]
             for step in each:
                 walk(kind.elementType, (*steps, step), True)
         elif isinstance(kind, T.MapType):
-            walk(kind.keyType, (*steps, "{key}"), False)
-            walk(kind.valueType, (*steps, "{value}"), False)
+            walk(kind.keyType, (*steps, KEY), False)
+            walk(kind.valueType, (*steps, VALUE), False)
         else:
             out.append(PathExpr(steps))
 
@@ -113,11 +138,14 @@ def _walk(value: Column, steps: tuple, kind: T.DataType) -> tuple[Column, bool]:
     step, rest = steps[0], steps[1:]
     if isinstance(step, int):
         return _walk(F.get(value, F.lit(step)), rest, kind.elementType)
-    if step == "[*]":
+    if step == EACH and isinstance(step, Mark):
+        if rest and isinstance(kind.elementType, T.StructType) and len(rest) == 1:
+            # The field of every element is one expression, which the scan can prune by.
+            return value.getField(rest[0]), True
         return (value, True) if not rest else _map_over(value, rest, kind.elementType)
-    if step == "{key}":
+    if step == KEY and isinstance(step, Mark):
         return F.map_keys(value), True
-    if step == "{value}":
+    if step == VALUE and isinstance(step, Mark):
         return (F.map_values(value), True) if not rest else _map_over(F.map_values(value), rest, kind.valueType)
     return _walk(value.getField(step), rest, kind[step].dataType)
 
@@ -127,7 +155,7 @@ def path_values(df: DataFrame, path: str | PathExpr) -> Column:
     path = as_path(path)
     path_type(df.schema, path)  # a clear error for a wrong path
     first, rest = path.steps[0], path.steps[1:]
-    value, many = _walk(F.col(f"`{first}`"), rest, df.schema[first].dataType)
+    value, many = _walk(named(first), rest, df.schema[first].dataType)
     array = value if many else F.array(value)
     return F.coalesce(F.filter(array, lambda x: x.isNotNull()), F.array().cast(T.ArrayType(path_type(df.schema, path))))
 

@@ -10,7 +10,7 @@ FUNCTIONS = {
     "nest_overlap(a ARRAY<STRING>, b ARRAY<STRING>) RETURNS BOOLEAN": "arrays_overlap(a, b)",
     "nest_contained(a ARRAY<STRING>, b ARRAY<STRING>) RETURNS BOOLEAN": "size(array_except(a, b)) = 0",
     "nest_mask_has(mask BIGINT, wanted BIGINT) RETURNS BOOLEAN": "(mask & wanted) = wanted",
-    "nest_number_key(x DOUBLE) RETURNS STRING": "CASE WHEN NOT isnan(x) THEN concat('n', CASE WHEN x = floor(x) AND abs(x) < 9007199254740992D THEN CAST(CAST(x AS BIGINT) AS STRING) ELSE CAST(x AS STRING) END) END",
+    "nest_number_key(x DOUBLE) RETURNS STRING": "CASE WHEN NOT isnan(x) THEN concat('n', CASE WHEN x = floor(x) AND abs(x) < 9223372036854775808D THEN CAST(CAST(x AS BIGINT) AS STRING) ELSE CAST(x AS STRING) END) END",
 }
 
 
@@ -21,10 +21,12 @@ class JsonPathCells:
     def eval(self, text: str):  # noqa: ANN201
         import json
 
+        from nestdep.functions.paths import key_text
+
         def walk(x, path):  # noqa: ANN001, ANN202
             if isinstance(x, dict):
                 for k, v in x.items():
-                    yield from walk(v, f"{path}.{k}")
+                    yield from walk(v, path + key_text(k))
             elif isinstance(x, list):
                 for v in x:
                     yield from walk(v, f"{path}[*]")

@@ -8,13 +8,14 @@ self_pairs; a missing right side is a violation unless missing_rhs="ignores"
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import reduce
 from itertools import combinations
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.paths import as_path, path_type, path_values
+from ..functions.paths import as_path, named, path_type, path_values
 from ..functions.values import keys_of
 from ..plans.cells import TooLarge, resolve, unroll_dynamic, unroll_static
 from ..sources.tables import written
@@ -28,7 +29,7 @@ DEPS = "kind string, lhs string, rhs string, strength double, valid boolean"
 def _sets(df: DataFrame, doc_id: str, paths: dict[str, str]) -> DataFrame:
     """doc_id and the set of value keys at each named path."""
     return df.select(
-        F.col(doc_id).alias("doc_id"), *[F.array_distinct(keys_of(path_values(df, p), path_type(df.schema, p))).alias(n) for n, p in paths.items()]
+        named(doc_id).alias("doc_id"), *[F.array_distinct(keys_of(path_values(df, p), path_type(df.schema, p))).alias(n) for n, p in paths.items()]
     )
 
 
@@ -64,12 +65,14 @@ def nfd_violations(df: DataFrame, doc_id: str, lhs: list[str], rhs: list[str], s
     return both.where(reduce(lambda a, b: a | b, apart)).select("d1", "d2").distinct()
 
 
-def validate_nfd(df: DataFrame, doc_id: str, lhs: list[str], rhs: str, self_pairs: bool = False) -> DataFrame:
+def validate_nfd(df: DataFrame, doc_id: str, lhs: list[str], rhs: str, self_pairs: bool = False, limit: int = PAIR_LIMIT) -> DataFrame:
     """One row (groups, failing_groups, holds) without pairs of documents wherever semantics allow.
 
     Documents overlap on all of X iff they share a tuple of values, so each group
     of a tuple is tested: it passes if some right value is held by all of its
-    documents; other groups compare their distinct right sets.
+    documents; if none is, it fails if a document has no value or one only.  What
+    is left compares distinct right sets, one of which lacks the group's most
+    frequent value in any disjoint pair; these pairs are counted first.
     """
     rows, xs, _ = _tuple_rows(df, doc_id, lhs, [rhs])
     group = F.struct(*xs) if xs else F.lit(0)
@@ -79,12 +82,17 @@ def validate_nfd(df: DataFrame, doc_id: str, lhs: list[str], rhs: str, self_pair
     if not as_path(rhs).repeated:
         bad = open_groups.where((F.col("lo") != F.col("hi")) | (F.col("least") == 0)).select("g")
     else:
-        held = rows.select("g", F.explode("y").alias("v")).groupBy("g", "v").agg(F.count(F.lit(1)).alias("n")).groupBy("g").agg(F.max("n").alias("most"))
-        unsure = open_groups.join(held, "g", "left").where(F.coalesce("most", F.lit(0)) < F.col("docs")).select("g", "docs", "least")
-        empty = unsure.where((F.col("least") == 0)).select("g")
-        sets = rows.join(unsure.where("least > 0").select("g"), "g").select("g", "y").distinct()
-        clash = sets.alias("a").join(sets.alias("b"), "g").where("a.y < b.y and not arrays_overlap(a.y, b.y)").select("g").distinct()
-        bad = empty.unionAll(clash)
+        rows = written(rows, "groups")
+        held = rows.select("g", F.explode("y").alias("v")).groupBy("g", "v").agg(F.count(F.lit(1)).alias("n")).groupBy("g").agg(F.max(F.struct("n", "v")).alias("most"))
+        unsure = written(open_groups.join(held, "g", "left").where(F.coalesce("most.n", F.lit(0)) < F.col("docs")).select("g", "least", "most.v"), "unsure")
+        bad = unsure.where("least <= 1").select("g")
+        sets = rows.join(unsure.where("least > 1").select("g", "v"), "g").groupBy("g", "y").agg(F.any_value("v").alias("v"))
+        sets = written(sets.select("g", "y", (~F.array_contains("y", F.col("v"))).alias("lacks")), "sets")
+        made = sets.groupBy("g").agg(F.count(F.lit(1)).alias("n"), F.count_if("lacks").alias("m")).agg(F.coalesce(F.sum(F.col("n") * F.col("m")), F.lit(0))).first()[0]
+        if made > limit:
+            raise TooLarge(f"{made} pairs of right sides to compare; the limit is {limit}: choose another left side")
+        clash = sets.where("lacks").alias("a").join(sets.alias("b"), "g").where("not arrays_overlap(a.y, b.y)").select("g").distinct()
+        bad = bad.unionAll(clash)
     return size.agg(F.count(F.lit(1)).alias("groups")).join(bad.agg(F.count(F.lit(1)).alias("failing_groups"))).withColumn("holds", F.col("failing_groups") == 0)
 
 
@@ -148,17 +156,33 @@ def search(hist: dict[int, int], n_paths: int, method: str, max_lhs: int) -> set
     raise ValueError(f"unknown method {method!r}")
 
 
-def candidate_strengths(masks: DataFrame, candidates: list[tuple[int, int]], n_docs: int, order: str = "hashed") -> dict[tuple[int, int], float]:
-    """Strength 1 - cover / n of each (lhs mask, rhs), all candidates in one set of rounds."""
-    if not candidates:
-        return {}
-    tests = F.array(
-        *[F.when((F.col("mask").bitwiseAND(F.lit(x)) == F.lit(x)) & (F.col("mask").bitwiseAND(F.lit(1 << a)) == 0), F.lit(i)) for i, (x, a) in enumerate(candidates)]
-    )
-    edges = masks.select("d1", "d2", F.explode(F.filter(tests, lambda c: c.isNotNull())).alias("cand"))
+def candidate_strengths(masks: DataFrame, candidates: list[tuple[int, int]], n_docs: int, order: str = "hashed", hist: dict[int, int] | None = None, theta: float = 0.0) -> dict[tuple[int, int], float]:
+    """Strength 1 - cover / n of each (lhs mask, rhs), all candidates in one set of rounds.
+
+    The histogram decides some at once: no violating pair means 1, and as a
+    document is in n - 1 pairs at most, too many of them mean less than theta;
+    for those an upper bound is returned.  Edges are made for the others only.
+    """
+    if hist is None:
+        hist = {r["mask"]: r["n"] for r in masks.groupBy("mask").agg(F.count(F.lit(1)).alias("n")).toLocalIterator()}
+    out: dict[tuple[int, int], float] = {}
+    tests: dict[int, list[int]] = {}
+    for i, (x, a) in enumerate(candidates):
+        broken = [m for m in hist if m and m & x == x and not m >> a & 1]
+        bad = sum(hist[m] for m in broken)
+        most = 1 - bad / max(1, n_docs - 1) / n_docs
+        if not bad or most < theta:
+            out[x, a] = most
+            continue
+        for m in broken:
+            tests.setdefault(m, []).append(i)
+    if not tests:
+        return out
+    table = masks.sparkSession.createDataFrame(sorted(tests.items()), "mask long, cands array<int>")
+    edges = masks.join(F.broadcast(table), "mask").select("d1", "d2", F.explode("cands").alias("cand"))
     taken = greedy_matching(edges, order, by=("cand",)).groupBy("cand").agg(F.count(F.lit(1)).alias("m"))
     size = {r["cand"]: 2 * r["m"] for r in taken.toLocalIterator()}
-    return {c: 1 - size.get(i, 0) / n_docs for i, c in enumerate(candidates)}
+    return out | {c: 1 - size.get(i, 0) / n_docs for i, c in enumerate(candidates) if c not in out}
 
 
 def _mine_approximate(df: DataFrame, doc_id: str, method: str, theta: float, max_lhs: int, paths: list[str] | None, pooling: str, order: str, limit: int) -> DataFrame:
@@ -168,14 +192,14 @@ def _mine_approximate(df: DataFrame, doc_id: str, method: str, theta: float, max
     cells = unroll_dynamic(df, doc_id, names)
     masks = written(overlap_masks(cells, limit), "masks")
     hist = histogram(masks, n_docs)
-    ids = df.select(F.col(doc_id).alias("doc_id"))
+    ids = df.select(named(doc_id).alias("doc_id"))
     empty, alone = _empty_strengths(ids, cells, masks, hist, n_docs, n, theta, order, limit)
     if method == "negative_cover" and pooling == "per_mask":
         # Each negative dependency counts alone: it stays only if its own pairs need too many documents.
         kept = _heavy_masks(masks, [m for m in hist if m], n_docs, theta, order)
-        hist = {m: c for m, c in hist.items() if m in kept or not m and alone < theta}
+        full, hist = hist, {m: c for m, c in hist.items() if m in kept or not m and alone < theta}
         found = lattice.invert(lattice.negative_cover(hist, n), n, max_lhs)
-        strength = candidate_strengths(masks, sorted(c for c in found if c[0]), n_docs, order)
+        strength = candidate_strengths(masks, sorted(c for c in found if c[0]), n_docs, order, full)
         return _frame(df, [(x, a, round(strength[x, a] if x else empty[a], 6), True) for x, a in found], names)
     found: dict[tuple[int, int], float] = {(0, a): s for a, s in empty.items() if s >= theta}
     for size in range(1, max_lhs + 1):
@@ -184,7 +208,7 @@ def _mine_approximate(df: DataFrame, doc_id: str, method: str, theta: float, max
             for a in range(n):
                 if not x >> a & 1 and not any(f & x == f and r == a for f, r in found):
                     level.append((x, a))
-        strengths = candidate_strengths(masks, level, n_docs, order)
+        strengths = candidate_strengths(masks, level, n_docs, order, hist, theta)
         found |= {c: s for c, s in strengths.items() if s >= theta}
     return _frame(df, [(x, a, round(s, 6), True) for (x, a), s in found.items()], names)
 
@@ -230,7 +254,7 @@ def _heavy_masks(masks: DataFrame, values: list[int], n_docs: int, theta: float,
     return {r["cand"] for r in taken.toLocalIterator() if 2 * r["m"] > (1 - theta) * n_docs} & set(values)
 
 
-def nfd_strength(df: DataFrame, doc_id: str, lhs: list[str], rhs: list[str], order: str = "lex", theta: float = 1.0) -> DataFrame:
+def nfd_strength(df: DataFrame, doc_id: str, lhs: list[str], rhs: list[str], order: str = "hashed", theta: float = 1.0) -> DataFrame:
     return cover_strength(nfd_violations(df, doc_id, lhs, rhs), df.count(), order, theta)
 
 
@@ -239,10 +263,10 @@ def nfd_strength(df: DataFrame, doc_id: str, lhs: list[str], rhs: list[str], ord
 
 def agree_masks(flat: DataFrame, names: list[str], row_limit: float = 3000) -> dict[int, int]:
     """Histogram of columns on which two rows agree (null agrees with null)."""
-    rows = flat.select(*[F.col(f"`{n}`") for n in names]).distinct()
+    rows = flat.select(*[named(n) for n in names]).distinct()
     if (n := rows.count()) > row_limit:
         raise TooLarge(f"{n} rows to compare pairwise; the limit is {row_limit:.0f}")
-    keyed = rows.select(F.xxhash64(*[F.col(f"`{n}`") for n in names], *[F.col(f"`{n}`").isNull() for n in names]).alias("row"), *[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(names)])
+    keyed = rows.select(F.xxhash64(*[named(n) for n in names], *[named(n).isNull() for n in names]).alias("row"), *[named(c).alias(f"c{i}") for i, c in enumerate(names)])
     one, two = keyed.alias("a"), keyed.alias("b")
     mask = reduce(lambda m, i: m.bitwiseOR(F.when(F.col(f"a.c{i}").eqNullSafe(F.col(f"b.c{i}")), F.lit(1 << i)).otherwise(F.lit(0)).cast("long")), range(len(names)), F.lit(0).cast("long"))
     pairs = one.join(F.broadcast(two), F.col("a.row") < F.col("b.row")).select(mask.alias("mask"))
@@ -256,7 +280,7 @@ def mine_static(df: DataFrame, method: str, max_lhs: int, paths: list[str] | Non
     if method == "negative_cover":
         found = lattice.invert(lattice.negative_cover(agree_masks(flat, names, min(row_limit, 5000)), len(names)), len(names), max_lhs)
         return _frame(df, [(x, a, 1.0, True) for x, a in found], names, "fd")
-    rows = flat.select(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(names)]).cache()
+    rows = flat.select(*[named(c).alias(f"c{i}") for i, c in enumerate(names)]).cache()
     distinct: dict[int, int] = {0: 1}
     found: set[tuple[int, int]] = set()
     for size in range(max_lhs + 1):
@@ -315,12 +339,20 @@ def repair_hints(df: DataFrame, doc_id: str, lhs: str, rhs: str) -> DataFrame:
     return one.join(best.select("group", F.col("value").alias("majority"), F.col("n").alias("votes")), "group").where("value <> majority").select("doc_id", "group", "value", "majority", "votes")
 
 
-def mine_functional_sampled(df: DataFrame, doc_id: str, samples: int = 3, fraction: float = 0.2, seed: int = 11, max_lhs: int = 3, paths: list[str] | None = None, limit: int = PAIR_LIMIT) -> DataFrame:
-    """Mine the union of the masks of several hash samples once: what all samples support."""
+def hash_sample(doc_id: str, seed: int = 11) -> Callable[[int, float], Column]:
+    """Chooses about a fraction of the documents for sample k by a hash of their id."""
+    return lambda k, fraction: F.pmod(F.xxhash64(F.lit(seed + k), named(doc_id)), F.lit(1_000_000)) < int(fraction * 1_000_000)
+
+
+def mine_functional_sampled(
+    df: DataFrame, doc_id: str, samples: int = 3, fraction: float = 0.2, max_lhs: int = 3, paths: list[str] | None = None, limit: int = PAIR_LIMIT, choose: Callable[[int, float], Column] | None = None
+) -> DataFrame:
+    """Mine the union of the masks of several samples once: what all samples support."""
     names = [str(p) for p in resolve(df, doc_id, paths)]
+    choose = choose or hash_sample(doc_id)
     hist: dict[int, int] = {}
     for k in range(samples):
-        chosen = df.where(F.pmod(F.xxhash64(F.lit(seed + k), F.col(doc_id)), F.lit(1_000_000)) < int(fraction * 1_000_000))
+        chosen = df.where(choose(k, fraction))
         for m, n in histogram(overlap_masks(unroll_dynamic(chosen, doc_id, names), limit), chosen.count()).items():
             hist[m] = hist.get(m, 0) + n
     return _frame(df, [(x, a, 1.0, True) for x, a in lattice.levelwise(hist, len(names), max_lhs)], names)
@@ -334,7 +366,7 @@ def mine_validated(df: DataFrame, doc_id: str, paths: list[str], max_lhs: int =
     """
     names = [str(as_path(p)) for p in paths]
     n = len(names)
-    chosen = df.where(F.pmod(F.xxhash64(F.lit(seed), F.col(doc_id)), F.lit(1_000_000)) < int(sample * 1_000_000))
+    chosen = df.where(hash_sample(doc_id, seed)(0, sample))
     hist = dict.fromkeys(histogram(overlap_masks(unroll_dynamic(chosen, doc_id, names), limit), chosen.count()), 1)
     good: set[tuple[int, int]] = set()
     rounds = 0
@@ -359,9 +391,10 @@ def _counterexamples(df: DataFrame, doc_id: str, names: list[str], lhs: int, rhs
     sets = rows.select(key.alias("g"), "doc_id", F.array_sort("y0").alias("y"))
     kinds = sets.groupBy("g").agg(F.count_distinct("y").alias("k"), F.min(F.struct("y", "doc_id")).alias("lo"), F.count_distinct("doc_id").alias("n"), F.min(F.size("y")).alias("s"))
     some = kinds.where("n > 1 and (k > 1 or s = 0)").orderBy("g").limit(50 * groups).select("g")
-    one = sets.join(F.broadcast(some), "g")
-    pairs = one.alias("a").join(one.alias("b"), "g").where("a.doc_id < b.doc_id and not arrays_overlap(a.y, b.y)").select(F.col("a.doc_id").alias("d1"), F.col("b.doc_id").alias("d2")).limit(groups)
-    found = pairs.collect()
+    # A group's documents meet those of its least and its largest right set only, so a hot group gives few rows.
+    ends = sets.join(F.broadcast(some), "g").groupBy("g").agg(F.min(F.struct("y", "doc_id")).alias("lo"), F.max(F.struct("y", "doc_id")).alias("hi"))
+    met = sets.join(F.broadcast(ends), "g").select("doc_id", "y", F.explode(F.array("lo", "hi")).alias("e")).where("doc_id <> e.doc_id and not arrays_overlap(y, e.y)")
+    found = met.select(F.least("doc_id", "e.doc_id").alias("d1"), F.greatest("doc_id", "e.doc_id").alias("d2")).limit(groups).collect()
     if not found:  # a rare failing group: ask for pairs themselves
         found = nfd_violations(df, doc_id, [names[i] for i in lattice.bits(lhs)], [names[rhs]]).limit(groups).collect()
     ids = sorted({i for r in found for i in r})

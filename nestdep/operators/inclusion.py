@@ -4,48 +4,57 @@ P1 is included in P2 if every value found at P1 anywhere in the collection is
 found at P2.  Everything reduces to the mask of paths that hold each value:
 
 * the inverted miner groups values once and sums over distinct masks;
-* the sorted miner range-partitions and sorts values in hash-sliced rounds and
-  drops candidates as soon as their missing values pass the budget.
+* the sorted miner sorts values and merges runs of equal ones in one pass over
+  each partition, in rounds of hash slices, and drops candidates as soon as
+  their missing values pass the budget.
 
 Masks are 62-bit words, as many as the paths need.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterable
-from itertools import permutations
+from collections.abc import Iterable, Iterator
+from itertools import combinations, permutations
+from math import comb, perm
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.paths import as_path, path_type, path_values
+from ..functions.paths import EACH, Mark, PathExpr, as_path, named, path_type, path_values
 from ..functions.values import keys_of, value_key
-from ..plans.cells import cells_of_flat, resolve, unroll_dynamic, unroll_static
+from ..plans.cells import TooLarge, cells_of_flat, register_metadata, resolve, unroll_dynamic, unroll_static
+from ..sources.tables import forget, scratch, written
 
 _BITS = 62
+#: Shares of the values that the sorted miner reads round by round.
+ROUNDS = (2, 18, 80)
 DEPS = "kind string, lhs string, rhs string, support long, included long, strength double, valid boolean"
 
 
-def _words(n_paths: int) -> int:
+def mask_words(n_paths: int) -> int:
     return max(1, -(-n_paths // _BITS))
 
 
-def _mask_columns(n_paths: int) -> list[Column]:
+def mask_columns(n_paths: int) -> list[Column]:
     """bit_or aggregates: one word of the path mask each."""
     return [
         F.bit_or(F.when(F.floor(F.col("path_id") / _BITS) == w, F.expr(f"shiftleft(1L, cast(path_id % {_BITS} as int))")).otherwise(F.lit(0).cast("long"))).alias(f"m{w}")
-        for w in range(_words(n_paths))
+        for w in range(mask_words(n_paths))
     ]
 
 
+@register_metadata("values")
 def value_masks(cells: DataFrame, n_paths: int) -> DataFrame:
     """value and the mask of paths that hold it; repeats are combined before the shuffle."""
-    return cells.groupBy("value").agg(*_mask_columns(n_paths))
+    return cells.groupBy("value").agg(*mask_columns(n_paths))
 
 
 def signatures(masks: DataFrame, n_paths: int) -> DataFrame:
     """Distinct masks with the number of values that have them."""
-    return masks.groupBy(*[f"m{w}" for w in range(_words(n_paths))]).agg(F.count(F.lit(1)).alias("n_values"))
+    return masks.groupBy(*[f"m{w}" for w in range(mask_words(n_paths))]).agg(F.count(F.lit(1)).alias("n_values"))
 
 
 def _paths_of(n_paths: int) -> Column:
@@ -87,7 +96,7 @@ def _cells(df: DataFrame, doc_id: str, paths: list[str] | None, unrolling: str,
         return unroll_dynamic(df, doc_id, paths, array_mode), list(names)
     flat = unroll_static(df, row_limit=row_limit)
     names = [str(as_path(p)) for p in paths] if paths is not None else flat.columns
-    return cells_of_flat(flat.select(*[F.col(f"`{n}`") for n in names]), names), names
+    return cells_of_flat(flat.select(*map(named, names)), names), names
 
 
 def mine_inclusion(
@@ -100,7 +109,7 @@ def mine_inclusion(
     array_mode: str = "elements",
     weight: str = "distinct",
     row_limit: float | None = None,
-    rounds: tuple[int, ...] = (1, 9, 30, 60),
+    rounds: tuple[int, ...] = ROUNDS,
 ) -> DataFrame:
     """All unary inclusion dependencies with support, included, strength and validity.
 
@@ -130,28 +139,104 @@ def _document_weighted(cells: DataFrame, names: list[str], theta: float) -> Data
     """Share of documents with values at lhs all of whose values rhs holds."""
     n = len(names)
     masks = value_masks(cells, n)
-    common = [F.bit_and(f"m{w}").alias(f"m{w}") for w in range(_words(n))]
+    common = [F.bit_and(f"m{w}").alias(f"m{w}") for w in range(mask_words(n))]
     per_doc = cells.select("doc_id", F.col("path_id").alias("lhs"), "value").join(masks, "value").groupBy("doc_id", "lhs").agg(*common)
     pairs = per_doc.select("lhs", F.explode(_paths_of(n)).alias("rhs")).groupBy("lhs", "rhs").agg(F.count(F.lit(1)).alias("included"))
     return name_dependencies(pairs, names, theta)
 
 
-def sorted_rounds(cells: DataFrame, names: list[str], theta: float, rounds: tuple[int, ...] = (1, 9, 30, 60)) -> tuple[DataFrame, list[dict]]:
-    """The sorted miner and what each round saw (candidates alive, signatures)."""
+def _combined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Distinct (path_id, value) of each stretch of a task's cells: a hot value leaves its task a few times only."""
+    held: list[pa.Table] = []
+    rows = 0
+    for batch in batches:
+        held.append(pa.Table.from_batches([batch]).group_by(["path_id", "value"]).aggregate([]))
+        rows += held[-1].num_rows
+        if rows > 500_000:
+            table = pa.concat_tables(held).combine_chunks().group_by(["path_id", "value"]).aggregate([])
+            held, rows = [table], table.num_rows
+            if rows > 250_000:
+                yield from table.to_batches(max_chunksize=50_000)
+                held, rows = [], 0
+    if held:
+        yield from pa.concat_tables(held).combine_chunks().group_by(["path_id", "value"]).aggregate([]).to_batches(max_chunksize=50_000)
+
+
+def _merge(n_words: int):
+    """Merge the runs of a sorted partition: path masks of its values, counted as they end."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        counts: dict[tuple[int, ...], int] = {}
+        last, mask = None, np.zeros(n_words, np.int64)
+
+        def close(masks: np.ndarray) -> None:
+            for words, k in zip(*np.unique(masks, axis=0, return_counts=True)):
+                key = tuple(words.tolist())
+                counts[key] = counts.get(key, 0) + int(k)
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            value, path = batch.column("value"), batch.column("path_id").to_numpy()
+            other = pc.not_equal(value.slice(1), value.slice(0, len(value) - 1)).to_numpy(zero_copy_only=False)
+            begin = np.concatenate([[0], np.flatnonzero(other) + 1])
+            bit = np.left_shift(np.int64(1), path.astype(np.int64) % _BITS)
+            words = np.stack([np.bitwise_or.reduceat(np.where(path // _BITS == w, bit, 0), begin) for w in range(n_words)], axis=1)
+            if value[0].as_py() == last:
+                words[0] |= mask
+            elif last is not None:
+                close(mask[None])
+            close(words[:-1])
+            last, mask = value[-1].as_py(), words[-1].copy()
+        if last is not None:
+            close(mask[None])
+        if counts:
+            found = np.array(list(counts), dtype=np.int64).reshape(len(counts), n_words)
+            columns = [pa.array(found[:, w]) for w in range(n_words)]
+            yield pa.RecordBatch.from_arrays([*columns, pa.array(list(counts.values()), pa.int64())], names=[*(f"m{w}" for w in range(n_words)), "n_values"])
+
+    return run
+
+
+def merged_signatures(cells: DataFrame, n_paths: int) -> DataFrame:
+    """Signatures by sort and merge: one exchange by value, one sort, one pass over the runs."""
+    words = mask_words(n_paths)
+    runs = cells.select("value", "path_id").repartition("value").sortWithinPartitions("value")
+    schema = ", ".join([*(f"m{w} long" for w in range(words)), "n_values long"])
+    return runs.mapInArrow(_merge(words), schema).groupBy(*[f"m{w}" for w in range(words)]).agg(F.sum("n_values").alias("n_values"))
+
+
+def sorted_rounds(cells: DataFrame, names: list[str], theta: float, rounds: tuple[int, ...] = ROUNDS) -> tuple[DataFrame, list[dict]]:
+    """The sorted miner and what each round saw (candidates alive, cells left, signatures).
+
+    Cells are written once, equal ones of a task combined, in a folder for each
+    round's slice of the values.  A round exchanges and merges only its slice of
+    the paths that some candidate still needs.  The values of a path are at most
+    the distinct ones that are known and the combined cells that are left; a
+    candidate goes when it misses more of them than the threshold forgives.
+    """
     spark, n = cells.sparkSession, len(names)
-    bound = {r["path_id"]: r["n"] for r in cells.groupBy("path_id").agg(F.count(F.lit(1)).alias("n")).toLocalIterator()}
-    alive = {(a, b) for a, b in permutations(bound, 2)}
+    ends = [sum(rounds[: k + 1]) for k in range(len(rounds))]
+    place = F.pmod(F.xxhash64("value"), F.lit(ends[-1]))
+    turn = F.when(F.lit(False), 0)
+    for k, end in enumerate(ends):
+        turn = turn.when(place < end, k)
+    path = scratch(spark, "cells")
+    combined = cells.select("path_id", "value").mapInArrow(_combined, "path_id int, value string")
+    combined.withColumn("turn", turn).write.partitionBy("turn").parquet(path)
+    stored = spark.read.schema("path_id int, value string, turn int").parquet(path)
+    left = {(r["turn"], r["path_id"]): r["n"] for r in stored.groupBy("turn", "path_id").agg(F.count(F.lit(1)).alias("n")).toLocalIterator()}
+    known = sorted({p for _, p in left})
+    alive = set(permutations(known, 2))
     missing = dict.fromkeys(alive, 0)
-    support = dict.fromkeys(bound, 0)
-    slice_of, low, seen = F.pmod(F.xxhash64("value"), F.lit(sum(rounds))), 0, []
-    for share in rounds:
+    support = dict.fromkeys(known, 0)
+    seen = []
+    for k, share in enumerate(rounds):
         used = sorted({p for pair in alive for p in pair})
         if not used:
             break
-        part = cells.where((slice_of >= low) & (slice_of < low + share) & F.col("path_id").isin(used)).select("value", "path_id")
-        low += share
-        runs = part.distinct().repartitionByRange("value").sortWithinPartitions("value", "path_id")
-        found = [(r[:-1], r[-1]) for r in signatures(value_masks(runs, n), n).toLocalIterator()]
+        part = stored.where((F.col("turn") == k) & F.col("path_id").isin(used))
+        found = [(r[:-1], r[-1]) for r in merged_signatures(part, n).toLocalIterator()]
         for words, count in found:
             mask = sum(w << (_BITS * i) for i, w in enumerate(words))
             holders = {p for p in used if mask >> p & 1}
@@ -160,10 +245,11 @@ def sorted_rounds(cells: DataFrame, names: list[str], theta: float, rounds: tupl
             for a, b in alive:
                 if a in holders and b not in holders:
                     missing[a, b] += count
-        seen.append({"share": share, "candidates": len(alive), "signatures": len(found)})
-        # The number of values is not known before the end: refute by the bound of all cells.
-        last = low >= sum(rounds)
-        alive = {(a, b) for a, b in alive if last or missing[a, b] <= (1 - theta) * bound[a]}
+        seen.append({"share": share, "candidates": len(alive), "cells": sum(left.get((k, p), 0) for p in used), "signatures": len(found)})
+        bound = {p: support[p] + sum(left.get((later, p), 0) for later in range(k + 1, len(rounds))) for p in used}
+        # In integers, as the decision below: what is included at most against the least support.
+        alive = {(a, b) for a, b in alive if bound[a] - missing[a, b] >= theta * bound[a]}
+    forget(spark, path)
     rows = []
     for a, b in sorted(alive):
         if support[a] and support[b]:
@@ -185,7 +271,7 @@ def holds_nind(df: DataFrame, lhs: str, rhs: str, other: DataFrame | None = None
 
 def nind_verdicts(df: DataFrame, doc_id: str, lhs: str, rhs: str) -> DataFrame:
     """For each document with values at lhs: does rhs, anywhere, hold them all?"""
-    left = df.select(F.col(doc_id).alias("doc_id"), F.explode(keys_of(path_values(df, lhs), path_type(df.schema, lhs))).alias("value"))
+    left = df.select(named(doc_id).alias("doc_id"), F.explode(keys_of(path_values(df, lhs), path_type(df.schema, lhs))).alias("value"))
     right = df.select(F.explode(keys_of(path_values(df, rhs), path_type(df.schema, rhs))).alias("value"), F.lit(1).alias("there")).distinct()
     return left.join(right, "value", "left").groupBy("doc_id").agg((F.count(F.lit(1)) == F.count("there")).alias("holds"))
 
@@ -210,52 +296,93 @@ def mine_inclusion_across(collections: dict[str, tuple[DataFrame, str]], theta:
     return name_dependencies(pair_counts(signatures(value_masks(cells, n), n), n), names, theta)
 
 
-def _tuples(df: DataFrame, paths: tuple[str, ...], alignment: str) -> DataFrame:
+def _tuple_rows(df: DataFrame, paths: list[str], alignment: str) -> DataFrame:
+    """Columns c0, c1, ... : keys of one element's fields ("element") or arrays of a document's keys ("product")."""
+    if alignment == "product":
+        return df.select(*[F.array_distinct(keys_of(path_values(df, p), path_type(df.schema, p))).alias(f"c{i}") for i, p in enumerate(paths)])
+    if alignment != "element":
+        raise ValueError(f"unknown alignment {alignment!r}")
+    # Paths below one array are paired by the element they come from.
+    steps = [as_path(p).steps for p in paths]
+    cut = max(i + 1 for i, s in enumerate(steps[0]) if isinstance(s, Mark) and s == EACH)
+    if any(s[:cut] != steps[0][:cut] or len(s) != cut + 1 for s in steps):
+        raise ValueError("element alignment needs fields of the same array")
+    array = PathExpr(steps[0][:cut])
+    kind = path_type(df.schema, array)
+    rows = df.select(F.explode(path_values(df, array)).alias("e"))
+    return rows.select(*[value_key(F.col("e").getField(s[cut]), kind[s[cut]].dataType).alias(f"c{i}") for i, s in enumerate(steps)])
+
+
+def _sequence_cells(rows: DataFrame, sequences: list[tuple[int, ...]], alignment: str) -> DataFrame:
+    """(path_id, value): number of a sequence of paths, and a tuple of keys that stands there."""
     if alignment == "element":
-        # Paths below one array are paired by the element they come from.
-        steps = [as_path(p).steps for p in paths]
-        cut = next(i for i in range(len(steps[0]), 0, -1) if steps[0][i - 1] == "[*]")
-        if any(s[:cut] != steps[0][:cut] or len(s) != cut + 1 for s in steps):
-            raise ValueError("element alignment needs fields of the same array")
-        array = "$" + "".join(s if s == "[*]" else f".{s}" for s in steps[0][:cut])
-        kind = path_type(df.schema, array)
-        rows = df.select(F.explode(path_values(df, array)).alias("e"))
-        return rows.select(F.struct(*[value_key(F.col("e")[s[cut]], kind[s[cut]].dataType).alias(f"c{i}") for i, s in enumerate(steps)]).alias("t")).where(
-            " and ".join(f"t.c{i} is not null" for i in range(len(paths)))
-        )
-    rows = df.select(*[F.array_distinct(keys_of(path_values(df, p), path_type(df.schema, p))).alias(f"c{i}") for i, p in enumerate(paths)])
-    for i in range(len(paths)):
-        rows = rows.withColumn(f"c{i}", F.explode(f"c{i}"))
-    return rows.select(F.struct(*[f"c{i}" for i in range(len(paths))]).alias("t"))
-
-
-def mine_inclusion_nary(df: DataFrame, doc_id: str, max_arity: int = 2, theta: float = 1.0, paths: list[str] | None = None, alignment: str = "product", unary: DataFrame | None = None) -> DataFrame:
-    """Dependencies between sequences of paths, from valid ones of the next smaller arity."""
+        each = [F.when(_all_given(x), F.struct(F.lit(i).alias("path_id"), F.array(*[F.col(f"c{p}") for p in x]).alias("value"))) for i, x in enumerate(sequences)]
+        return rows.select(F.explode(F.filter(F.array(*each), lambda c: c.isNotNull())).alias("cell")).select("cell.path_id", "cell.value")
+    out = None
+    for chosen in sorted({tuple(sorted(x)) for x in sequences}):
+        part = rows.select(*[f"c{p}" for p in chosen])
+        for p in chosen:
+            part = part.withColumn(f"c{p}", F.explode(f"c{p}"))
+        each = [F.struct(F.lit(i).alias("path_id"), F.array(*[F.col(f"c{p}") for p in x]).alias("value")) for i, x in enumerate(sequences) if tuple(sorted(x)) == chosen]
+        part = part.select(F.explode(F.array(*each)).alias("cell")).select("cell.path_id", "cell.value")
+        out = part if out is None else out.unionAll(part)
+    return out
+
+
+def _all_given(sequence: tuple[int, ...]) -> Column:
+    out = F.lit(True)
+    for p in sequence:
+        out = out & F.col(f"c{p}").isNotNull()
+    return out
+
+
+def mine_inclusion_nary(df: DataFrame, doc_id: str, max_arity: int = 2, theta: float = 1.0, paths: list[str] | None = None, alignment: str = "product", limit: int = 20_000) -> DataFrame:
+    """Dependencies between sequences of distinct paths of 2 to max_arity, left ones in path order.
+
+    A tuple stands at a sequence if one element ("element") or one document
+    ("product") has a value at each of its paths.  All pairs of sequences are
+    tested, one job an arity, except where a projection proves a pair wrong: at
+    theta 1, and only if no value is missing anywhere, a valid pair stays valid
+    when a position is left out, a sequence being included in itself.  At lower
+    thresholds, or with missing values, a part of a valid pair may well be weak.
+    """
     spark = df.sparkSession
     names = [str(p) for p in resolve(df, doc_id, paths)]
-    found = (unary if unary is not None else mine_inclusion(df, doc_id, theta=theta, paths=names)).where("valid").select("lhs", "rhs").collect()
-    single = {(r[0], r[1]) for r in found} | {(n, n) for n in names}
-    level = {((a,), (b,)) for a, b in single}
-    rows = []
-    for _ in range(2, max_arity + 1):
-        grown = set()
-        for left, right in level:
-            for a, b in single:
-                if names.index(a) > names.index(left[-1]) and b not in right:
-                    pair = (*left, a), (*right, b)
-                    if pair[0] != pair[1]:
-                        grown.add(pair)
-        valid = set()
-        for left, right in sorted(grown):
-            mine = _tuples(df, left, alignment).distinct()
-            lost = mine.join(_tuples(df, right, alignment).distinct(), "t", "left_anti")
-            support, missing = mine.count(), lost.count()
-            held = support - missing
+    every = range(len(names))
+    base = written(_tuple_rows(df, names, alignment), "tuples")
+    absent = (lambda c: F.size(c) == 0) if alignment == "product" else (lambda c: F.col(c).isNull())
+    gap = F.lit(False)
+    for i in every:
+        gap = gap | absent(f"c{i}")
+    prune = theta == 1.0 and not base.where(gap).take(1)
+    last: set[tuple[tuple[int, ...], tuple[int, ...]]] = set()
+    single, rows = {(p, p) for p in every}, []
+    for arity in range(1 if prune else 2, max_arity + 1):
+        if prune and arity > 1:
+            whole = {(x, x) for x in combinations(every, arity - 1)} | last
+            grown = {((*x, a), (*y, b)) for x, y in whole for a, b in single if a > x[-1] and b not in y}
+            without = lambda x, i: x[:i] + x[i + 1 :]
+            pairs = [(x, y) for x, y in sorted(grown) if x != y and all((without(x, i), without(y, i)) in whole for i in range(arity))]
+        else:
+            pairs = [(x, y) for x in combinations(every, arity) for y in permutations(every, arity) if x != y] if comb(len(names), arity) * perm(len(names), arity) <= 50 * limit else None
+        if pairs is None or len(pairs) > limit:
+            raise TooLarge(f"too many pairs of {arity} paths; the limit is {limit}: choose fewer paths")
+        if not pairs:
+            last = set()
+            continue
+        sequences = sorted({s for pair in pairs for s in pair})
+        n, number = len(sequences), {s: i for i, s in enumerate(sequences)}
+        masks, last = value_masks(_sequence_cells(base, sequences, alignment), n), set()
+        counts = {(r["lhs"], r["rhs"]): r["included"] for r in pair_counts(signatures(masks, n), n).toLocalIterator()}
+        for x, y in pairs:
+            support, held = counts.get((number[x], number[x]), 0), counts.get((number[x], number[y]), 0)
             good = support > 0 and held >= theta * support
-            rows.append(("nary", ",".join(left), ",".join(right), support, held, round(held / support, 6) if support else None, good))
+            if arity > 1 and support:
+                rows.append(("nary", ",".join(names[i] for i in x), ",".join(names[i] for i in y), support, held, round(held / support, 6), good))
             if good:
-                valid.add((left, right))
-        level = valid | {(x, x) for x, _ in valid}
+                last.add((x, y))
+        if arity == 1:
+            single |= {(x[0], y[0]) for x, y in last}
     return spark.createDataFrame(rows, DEPS)
 
 

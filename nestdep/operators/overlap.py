@@ -12,27 +12,56 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.cells import TooLarge
+from ..plans.cells import TooLarge, register_metadata
+from ..sources.tables import written
 
 PAIR_LIMIT = 50_000_000
+HOT, SALTS = 1_000, 16
 MAX_PATHS = 62
 
 
+def _frequencies(cells: DataFrame) -> DataFrame:
+    return cells.groupBy("path_id", "value").agg(F.count(F.lit(1)).alias("f"))
+
+
+def _made(frequencies: DataFrame) -> int:
+    return int(frequencies.agg(F.coalesce(F.sum(F.expr("f * (f - 1) div 2")), F.lit(0))).first()[0])
+
+
 def pair_estimate(cells: DataFrame) -> int:
     """Joined rows that overlap_masks would make: the sum over values of f * (f - 1) / 2."""
-    f = cells.distinct().groupBy("path_id", "value").agg(F.count(F.lit(1)).alias("f"))
-    return int(f.agg(F.coalesce(F.sum(F.expr("f * (f - 1) div 2")), F.lit(0))).first()[0])
+    return _made(_frequencies(cells.select("doc_id", "path_id", "value").distinct()))
+
+
+def _met(cells: DataFrame, limit: int) -> DataFrame:
+    """(path_id, d1, d2), d1 < d2: documents that share a value, once for each value.
+
+    The distinct cells are written once.  Where the pairs are within the limit,
+    fewer than 2 * limit / HOT ** 2 values stand in more than HOT documents; that
+    list is broadcast, and the documents of such a value are spread over SALTS
+    tasks on one side and copied to all of them on the other.
+    """
+    one = written(cells.select("doc_id", "path_id", "value").distinct(), "distinct-cells")
+    frequencies = _frequencies(one)
+    if (made := _made(frequencies)) > limit:
+        raise TooLarge(f"{made} pairs of documents share a value; the limit is {limit}: sample, choose paths, or validate linearly")
+    hot = F.broadcast(frequencies.where(F.col("f") > HOT).select("path_id", "value", F.lit(True).alias("hot")))
+    one = one.join(hot, ["path_id", "value"], "left") if limit <= 10 * PAIR_LIMIT else one.withColumn("hot", F.lit(None).cast("boolean"))
+    salt = F.when(F.col("hot"), F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int")).otherwise(0)
+    left = one.select(F.col("doc_id").alias("d1"), "path_id", "value", salt.alias("salt"))
+    copies = F.when(F.col("hot"), F.sequence(F.lit(0), F.lit(SALTS - 1))).otherwise(F.array(F.lit(0)))
+    right = one.select(F.col("doc_id").alias("d2"), "path_id", "value", F.explode(copies).alias("salt"))
+    return left.join(right, ["path_id", "value", "salt"]).where("d1 < d2").select("path_id", "d1", "d2")
+
+
+@register_metadata("overlaps")
+def _overlap_metadata(cells: DataFrame, n_paths: int) -> DataFrame:
+    return overlap_masks(cells)
 
 
 def overlap_masks(cells: DataFrame, limit: int = PAIR_LIMIT) -> DataFrame:
     """(d1, d2, mask), d1 < d2, of all pairs that share a value somewhere."""
-    if (made := pair_estimate(cells)) > limit:
-        raise TooLarge(f"{made} pairs of documents share a value; the limit is {limit}: sample, choose paths, or validate linearly")
-    one = cells.select("doc_id", "path_id", "value").distinct()
-    left = one.select(F.col("doc_id").alias("d1"), "path_id", "value")
-    right = one.select(F.col("doc_id").alias("d2"), "path_id", "value")
-    both = left.join(right, ["path_id", "value"]).where("d1 < d2")
-    return both.groupBy("d1", "d2").agg(F.bit_or(F.expr("shiftleft(1L, path_id)")).alias("mask"))
+    return _met(cells, limit).groupBy("d1", "d2").agg(F.bit_or(F.expr("shiftleft(1L, path_id)")).alias("mask"))
 
 
 def presence_masks(cells: DataFrame) -> DataFrame:
@@ -52,12 +81,15 @@ def mask_has(mask: Column, paths: list[int]) -> Column:
     return mask.bitwiseAND(F.lit(wanted)) == F.lit(wanted)
 
 
-def adjacency_bitmaps(cells: DataFrame) -> DataFrame:
+@register_metadata("bitmaps")
+def _bitmap_metadata(cells: DataFrame, n_paths: int) -> DataFrame:
+    return adjacency_bitmaps(cells)
+
+
+def adjacency_bitmaps(cells: DataFrame, limit: int = PAIR_LIMIT) -> DataFrame:
     """(path_id, d1, bucket, bitmap): for each document the compressed set of documents that overlap it on a path."""
-    one = cells.select("doc_id", "path_id", "value").distinct()
-    left = one.select(F.col("doc_id").cast("long").alias("d1"), "path_id", "value")
-    right = one.select(F.col("doc_id").cast("long").alias("d2"), "path_id", "value")
-    both = left.join(right, ["path_id", "value"]).where("d1 <> d2").select("path_id", "d1", "d2").distinct()
+    half = _met(cells.withColumn("doc_id", F.col("doc_id").cast("long")), limit).distinct()
+    both = half.unionAll(half.select("path_id", F.col("d2").alias("d1"), F.col("d1").alias("d2")))
     bucket = F.bitmap_bucket_number("d2").alias("bucket")
     return both.groupBy("path_id", "d1", bucket).agg(F.bitmap_construct_agg(F.bitmap_bit_position("d2")).alias("bitmap"))
 

@@ -8,20 +8,33 @@ out into flat rows; it is the baseline, guarded by its closed-form size.
 
 from __future__ import annotations
 
-from typing import Protocol
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..functions.paths import PathExpr, as_path, leaf_paths, path_type, path_values
+from ..functions.paths import EACH, KEY, VALUE, PathExpr, as_path, leaf_paths, named, path_type, path_values
 from ..functions.values import keys_of, value_key
 
 
-class MetadataPlan(Protocol):
-    """What a miner builds from the stream of cells."""
+#: What a miner builds from cells and the number of paths, by name: see `register_metadata` and `build_metadata`.
+METADATA: dict[str, Callable[[DataFrame, int], DataFrame]] = {}
 
-    def build(self, cells: DataFrame) -> DataFrame: ...
+
+def register_metadata(name: str) -> Callable:
+    """Make a miner's metadata known: a function of cells(doc_id, path_id, value) and the number of paths."""
+
+    def add(build: Callable[[DataFrame, int], DataFrame]) -> Callable[[DataFrame, int], DataFrame]:
+        METADATA[name] = build
+        return build
+
+    return add
+
+
+def build_metadata(name: str, df: DataFrame, doc_id: str, paths: list[str] | None = None) -> DataFrame:
+    """One dynamic unrolling into the metadata of a miner."""
+    return METADATA[name](unroll_dynamic(df, doc_id, paths), len(resolve(df, doc_id, paths)))
 
 
 def resolve(df: DataFrame, doc_id: str, paths: list[str] | None) -> list[PathExpr]:
@@ -41,7 +54,7 @@ def unroll_dynamic(df: DataFrame, doc_id: str, paths: list[str] | None = None, a
         names = paths or df.columns
         kinds = {f.name: f.dataType for f in df.schema}
         made = [
-            F.array(F.concat(F.lit("a"), F.to_json(F.col(n))) if isinstance(kinds[n], (T.ArrayType, T.StructType, T.MapType)) else value_key(F.col(n), kinds[n]))
+            F.array(F.concat(F.lit("a"), F.to_json(named(n))) if isinstance(kinds[n], (T.ArrayType, T.StructType, T.MapType)) else value_key(named(n), kinds[n]))
             for n in names
         ]
         each = [F.filter(x, lambda v: v.isNotNull()) for x in made]
@@ -49,7 +62,7 @@ def unroll_dynamic(df: DataFrame, doc_id: str, paths: list[str] | None = None, a
         chosen = resolve(df, doc_id, paths)
         each = [keys_of(path_values(df, p), path_type(df.schema, p)) for p in chosen]
     tagged = F.flatten(F.array(*[_tagged(v, i) for i, v in enumerate(each)]))
-    return df.select(F.col(doc_id).alias("doc_id"), F.explode(tagged).alias("cell")).select("doc_id", "cell.path_id", "cell.value")
+    return df.select(named(doc_id).alias("doc_id"), F.explode(tagged).alias("cell")).select("doc_id", "cell.path_id", "cell.value")
 
 
 def profiles(df: DataFrame, doc_id: str, paths: list[str] | None = None) -> DataFrame:
@@ -86,7 +99,7 @@ def expansion(df: DataFrame) -> Column:
     out = F.lit(1.0)
     for f in df.schema.fields:
         if isinstance(f.dataType, (T.StructType, T.ArrayType, T.MapType)):
-            out = out * of(F.col(f"`{f.name}`"), f.dataType)
+            out = out * of(named(f.name), f.dataType)
     return out
 
 
@@ -124,7 +137,7 @@ def unroll_static(df: DataFrame, placeholder: str | None = None, map_mode: str =
         elif isinstance(kind, T.ArrayType):
             name = f"_e{next(serial)}"
             now = now.select("*", F.explode_outer(value).alias(name))
-            now = visit(now, F.col(name), kind.elementType, PathExpr((*path.steps, "[*]")), True)
+            now = visit(now, F.col(name), kind.elementType, PathExpr((*path.steps, EACH)), True)
         elif isinstance(kind, T.MapType) and map_mode == "keys":
             keys = sorted(r[0] for r in now.select(F.explode(F.map_keys(value))).distinct().limit(1001).toLocalIterator())
             if len(keys) > 1000:
@@ -134,8 +147,8 @@ def unroll_static(df: DataFrame, placeholder: str | None = None, map_mode: str =
         elif isinstance(kind, T.MapType):
             name = f"_e{next(serial)}"
             now = now.select("*", F.explode_outer(F.map_entries(value)).alias(name))
-            now = visit(now, F.col(name)["key"], kind.keyType, PathExpr((*path.steps, "{key}")), False)
-            now = visit(now, F.col(name)["value"], kind.valueType, PathExpr((*path.steps, "{value}")), False)
+            now = visit(now, F.col(name)["key"], kind.keyType, PathExpr((*path.steps, KEY)), False)
+            now = visit(now, F.col(name)["value"], kind.valueType, PathExpr((*path.steps, VALUE)), False)
         else:
             filled = value if placeholder is None else F.coalesce(value.cast("string"), F.lit(placeholder))
             out.append(filled.alias(str(path)))
@@ -143,17 +156,22 @@ def unroll_static(df: DataFrame, placeholder: str | None = None, map_mode: str =
 
     now = df
     for f in df.schema.fields:
-        now = visit(now, F.col(f"`{f.name}`"), f.dataType, PathExpr((f.name,)), False)
+        now = visit(now, named(f.name), f.dataType, PathExpr((f.name,)), False)
     return now.select(*out)
 
 
 def cells_of_flat(flat: DataFrame, names: list[str] | None = None) -> DataFrame:
     """Unpivot flat rows to (path_id, value): the input of miners over static rows."""
     kinds = {f.name: f.dataType for f in flat.schema}
-    each = [F.struct(F.lit(i).alias("path_id"), value_key(F.col(f"`{n}`"), kinds[n]).alias("value")) for i, n in enumerate(names or flat.columns)]
+    each = [F.struct(F.lit(i).alias("path_id"), value_key(named(n), kinds[n]).alias("value")) for i, n in enumerate(names or flat.columns)]
     return flat.select(F.explode(F.array(*each)).alias("cell")).select("cell.path_id", "cell.value").where(F.col("value").isNotNull())
 
 
+def _key_step(key: Column) -> Column:
+    quoted = F.concat(F.lit("['"), F.regexp_replace(key, r"(['\\])", r"\\$1"), F.lit("']"))
+    return F.when(key.rlike(r"^[A-Za-z0-9_\-]+$"), F.concat(F.lit("."), key)).otherwise(quoted)
+
+
 def unroll_variant(df: DataFrame, column: str, max_depth: int = 4) -> DataFrame:
     """(doc_id, path, value) of JSON texts without a schema, level by level through variants."""
     spark = df.sparkSession
@@ -168,7 +186,7 @@ def unroll_variant(df: DataFrame, column: str, max_depth: int = 4) -> DataFrame:
         found = leaves if found is None else found.unionAll(leaves)
         below = now.where(inner).alias("t")
         grown = below.lateralJoin(spark.tvf.variant_explode(F.col("t.v").outer())).select(
-            "doc_id", F.when(F.col("key").isNull(), F.concat("path", F.lit("[*]"))).otherwise(F.concat("path", F.lit("."), "key")).alias("path"), F.col("value").alias("v")
+            "doc_id", F.when(F.col("key").isNull(), F.concat("path", F.lit("[*]"))).otherwise(F.concat("path", _key_step(F.col("key")))).alias("path"), F.col("value").alias("v")
         )
         now = grown
     return found

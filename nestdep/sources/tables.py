@@ -18,14 +18,26 @@ def load(spark: SparkSession, sf_dir: str, name: str, columns: list[str] | None
 
 
 def scratch(spark: SparkSession, what: str) -> str:
-    """A fresh path in the folder that all executors share; made on this machine only where none is set."""
+    """A fresh path in the folder that all executors share (spark.checkpoint.dir).
+
+    Where the session names none, a folder of this machine does for a local
+    master only; on a cluster it would lose data, so that is an error.
+    """
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="nestdep-")
         spark.sparkContext.setCheckpointDir(base)
     return f"{base.rstrip('/')}/{what}-{uuid.uuid4().hex}"
 
 
+def forget(spark: SparkSession, path: str) -> None:
+    """Delete scratch files that nothing reads any more."""
+    place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
+
+
 def written(df: DataFrame, what: str) -> DataFrame:
     """Cut the lineage of an iterative result: write it to the shared folder and read it again."""
     path = scratch(df.sparkSession, what)

@@ -7,11 +7,14 @@ dependency is only ever broken: once refuted it stays so.
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql.streaming import StreamingQuery
 
-from ..operators.inclusion import name_dependencies, pair_counts, signatures
+from ..operators.inclusion import mask_columns, mask_words, name_dependencies, pair_counts, signatures, value_masks
 from ..sources.tables import scratch
 
 
@@ -38,42 +41,88 @@ def sessions(events: DataFrame, ts: str, key: str, gap: str = "1 day", late: str
     return out.select(key, F.col("w.start").alias("start"), F.col("w.end").alias("end"), "n")
 
 
-def stream_masks(cells: DataFrame, ts: str, size: str, late: str) -> DataFrame:
-    """value -> path mask per window, from a stream of cells with a time."""
+def stream_masks(cells: DataFrame, ts: str, size: str, late: str, n_paths: int = 62) -> DataFrame:
+    """value -> path mask (words m0, m1, ...) per window, from a stream of cells with a time."""
     w = F.window(ts, size).alias("w")
-    return cells.withWatermark(ts, late).groupBy(w, "value").agg(F.bit_or(F.expr("shiftleft(1L, path_id)")).alias("m0"))
+    return cells.withWatermark(ts, late).groupBy(w, "value").agg(*mask_columns(n_paths))
 
 
-class MetadataState:
-    """Masks of all values seen so far, merged batch by batch in the shared folder."""
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that the watermark dropped, over all batches whose progress the query still holds."""
+    return sum(op.numRowsDroppedByWatermark for p in query.recentProgress for op in p.stateOperators)
 
-    def __init__(self, spark: SparkSession, names: list[str]) -> None:
-        self.spark, self.names, self.path, self.batch = spark, names, None, -1
-        self.root = scratch(spark, "masks")
+
+class MetadataState:
+    """Masks of all values seen so far, in a folder that outlives the application.
+
+    Each batch adds the masks of its own values as one folder named by its
+    number, so a batch that comes again replaces itself and its cost does not
+    grow with the state.  Every `compact_every` folders are merged into one that
+    names the range it covers; folders it covers are deleted afterwards, and
+    ignored if a stop left them there.  A new state on the same folder goes on
+    where the last one ended.
+    """
+
+    def __init__(self, spark: SparkSession, names: list[str], root: str | None = None, compact_every: int = 16) -> None:
+        self.spark, self.names, self.compact_every = spark, names, compact_every
+        self.root = root or scratch(spark, "masks")
+        where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(self.root)
+        self.files = where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+    def _path(self, name: str):
+        return self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{self.root}/{name}")
+
+    def parts(self) -> list[tuple[int, int, str]]:
+        """(first, last, folder) of the committed folders that no other one covers."""
+        if not self.files.exists(self._path("")):
+            return []
+        found = []
+        for status in self.files.listStatus(self._path("")):
+            name = status.getPath().getName()
+            m = re.fullmatch(r"masks-(\d+)-(\d+)", name)
+            if m and self.files.exists(self._path(f"{name}/_SUCCESS")):
+                found.append((int(m[1]), int(m[2]), name))
+        return sorted(p for p in found if not any(o[0] <= p[0] and p[1] <= o[1] and o[2] != p[2] for o in found))
 
     def merge(self, cells: DataFrame, batch_id: int) -> None:
-        """For foreachBatch; a batch that comes again replaces nothing new."""
-        if batch_id <= self.batch:
-            return
-        fresh = cells.groupBy("value").agg(F.bit_or(F.expr("shiftleft(1L, path_id)")).alias("m0"))
-        both = fresh if self.path is None else fresh.unionByName(self.masks())
-        path = f"{self.root}/{batch_id}"
-        both.groupBy("value").agg(F.bit_or("m0").alias("m0")).write.mode("overwrite").parquet(path)
-        self.path, self.batch = path, batch_id
+        """For foreachBatch."""
+        parts = self.parts()
+        if any(lo <= batch_id <= hi and lo < hi for lo, hi, _ in parts):
+            return  # merged long ago
+        value_masks(cells, len(self.names)).write.mode("overwrite").parquet(f"{self.root}/masks-{batch_id:09d}-{batch_id:09d}")
+        parts = self.parts()
+        if len(parts) >= self.compact_every:
+            self.compact(parts)
+
+    def compact(self, parts: list[tuple[int, int, str]] | None = None) -> None:
+        parts = parts or self.parts()
+        if len(parts) > 1:
+            self.masks().write.mode("overwrite").parquet(f"{self.root}/masks-{parts[0][0]:09d}-{parts[-1][1]:09d}")
+            for _, _, name in parts:
+                self.files.delete(self._path(name), True)
 
     def masks(self) -> DataFrame:
-        return self.spark.read.parquet(self.path)
+        parts = self.parts()
+        words = [f"m{w}" for w in range(mask_words(len(self.names)))]
+        schema = ", ".join(["value string", *(f"{w} long" for w in words)])
+        if not parts:
+            return self.spark.createDataFrame([], schema)
+        rows = self.spark.read.schema(schema).parquet(*[f"{self.root}/{name}" for _, _, name in parts])
+        return rows.groupBy("value").agg(*[F.bit_or(w).alias(w) for w in words])
 
     def dependencies(self, theta: float = 1.0) -> DataFrame:
         n = len(self.names)
         return name_dependencies(pair_counts(signatures(self.masks(), n), n), self.names, theta)
 
 
-def mine_stream(spark: SparkSession, path: str, schema: T.StructType, to_cells, names: list[str], kind: str = "parquet") -> MetadataState:
-    """Read all files of a folder as a stream and return the state after the last batch."""
-    state = MetadataState(spark, names)
+def mine_stream(spark: SparkSession, path: str, schema: T.StructType, to_cells, names: list[str], kind: str = "parquet", root: str | None = None, checkpoint: str | None = None) -> MetadataState:
+    """Read all files of a folder as a stream and return the state after the last batch.
+
+    With the same root and checkpoint a later call reads only what is new.
+    """
+    state = MetadataState(spark, names, root)
     query = (
-        stream_documents(spark, path, schema, kind).writeStream.trigger(availableNow=True).option("checkpointLocation", scratch(spark, "stream"))
+        stream_documents(spark, path, schema, kind).writeStream.trigger(availableNow=True).option("checkpointLocation", checkpoint or scratch(spark, "stream"))
         .foreachBatch(lambda batch, i: state.merge(to_cells(batch), i)).start()
     )
     query.awaitTermination()
