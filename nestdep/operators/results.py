@@ -108,12 +108,12 @@ def plan_volume(df: DataFrame) -> dict[str, int]:
     return total
 
 
-def time_run(make: Callable[[], DataFrame], repeat: int = 3, limit_s: float | None = None, errors: str = "status") -> dict:
+def time_run(make: Callable[[], DataFrame], repeat: int = 3, limit_s: float | None = None) -> dict:
     """Mean seconds of runs into a null sink, and a status: ok, refused (TooLarge) or time-out.
 
     A run that passes the limit is ended: its jobs are cancelled by their tag.
-    Any other failure is no result of an experiment: its status is "error" with
-    its kind, or with errors="raise" (as the workloads ask) it is raised.
+    Any other failure is no result of an experiment: its status tells the error,
+    and `settled`, which all workloads ask, raises it.
     """
     context = SparkContext.getOrCreate()
     took = []
@@ -137,9 +137,7 @@ def time_run(make: Callable[[], DataFrame], repeat: int = 3, limit_s: float | No
             return {"status": "refused", "seconds": None}
         except Exception as e:
             if not late.is_set():
-                if errors == "raise":
-                    raise
-                return {"status": f"error: {type(e).__name__}", "seconds": None}
+                return {"status": f"error: {type(e).__name__}", "seconds": None, "error": e}
         finally:
             done.set()
             if clock:
@@ -151,6 +149,13 @@ def time_run(make: Callable[[], DataFrame], repeat: int = 3, limit_s: float | No
     return {"status": "ok", "seconds": sum(took) / len(took)}
 
 
+def settled(run: dict) -> dict:
+    """The run, unless a miner failed."""
+    if run.get("error") is not None:
+        raise run["error"]
+    return run
+
+
 def improvement(seconds: dict[str, float | None]) -> float | None:
     """Static over dynamic seconds."""
     static, dynamic = seconds.get("static"), seconds.get("dynamic")

@@ -32,10 +32,15 @@ VALUES: dict[str, dict[str, str]] = {
         "$.orderkey": f"SELECT o_orderkey d, {n('o_orderkey')} v FROM orders",
         "$.custkey": f"SELECT o_orderkey d, {n('o_custkey')} v FROM orders",
         "$.status": f"SELECT o_orderkey d, {s('o_orderstatus')} v FROM orders",
+        "$.priority": f"SELECT o_orderkey d, {s('o_orderpriority')} v FROM orders",
+        "$.totalprice": f"SELECT o_orderkey d, {n('o_totalprice')} v FROM orders",
+        "$.orderdate": f"SELECT o_orderkey d, {t('o_orderdate')} v FROM orders",
         "$.items[*].linenumber": f"SELECT o_orderkey d, {n('l_linenumber')} v FROM {_ITEMS}",
         "$.items[*].partkey": f"SELECT o_orderkey d, {n('l_partkey')} v FROM {_ITEMS}",
         "$.items[*].suppkey": f"SELECT o_orderkey d, {n('l_suppkey')} v FROM {_ITEMS}",
+        "$.items[*].quantity": f"SELECT o_orderkey d, {n('l_quantity')} v FROM {_ITEMS}",
         "$.items[*].returnflag": f"SELECT o_orderkey d, {s('l_returnflag')} v FROM {_ITEMS}",
+        "$.items[*].linestatus": f"SELECT o_orderkey d, {s('l_linestatus')} v FROM {_ITEMS}",
         "$.flags[*]": f"SELECT DISTINCT o_orderkey d, {s('l_returnflag')} v FROM {_ITEMS}",
         "$.flag_or_status[*]": f"SELECT DISTINCT o_orderkey d, {s('l_returnflag')} v FROM {_ITEMS} UNION SELECT o_orderkey, {s('o_orderstatus')} FROM orders",
     },
@@ -98,9 +103,39 @@ VALUES: dict[str, dict[str, str]] = {
 }
 
 
+#: The same of a flat table, which is no nested collection of its own.
+FLAT: dict[str, dict[str, str]] = {
+    "nation": {
+        "$.n_nationkey": f"SELECT n_nationkey d, {n('n_nationkey')} v FROM nation",
+        "$.n_name": f"SELECT n_nationkey d, {s('n_name')} v FROM nation",
+        "$.n_regionkey": f"SELECT n_nationkey d, {n('n_regionkey')} v FROM nation",
+    }
+}
+
+#: Flat rows of each document by static unrolling: SELECT of (d, r).
+EXPANSION: dict[str, str] = {
+    "order_docs": """SELECT o_orderkey d, greatest(count(l_orderkey), 1) * greatest(count(DISTINCT l_returnflag), 1)
+        * (count(DISTINCT l_returnflag) + CASE WHEN bool_or(coalesce(l_returnflag = o_orderstatus, FALSE)) THEN 0 ELSE 1 END) AS r
+        FROM orders LEFT JOIN lineitem ON l_orderkey = o_orderkey GROUP BY o_orderkey""",
+    "customer_docs": """SELECT c_custkey d, greatest(coalesce(sum(k), 0), 1) AS r FROM customer
+        LEFT JOIN (SELECT o_custkey, greatest(count(l_orderkey), 1) AS k FROM orders LEFT JOIN lineitem ON l_orderkey = o_orderkey GROUP BY o_custkey, o_orderkey) ON o_custkey = c_custkey GROUP BY c_custkey""",
+    "product_docs": f"""SELECT p_partkey d, 2 * greatest(coalesce(a, 0), 1) * greatest(coalesce(b, 0), 1) * greatest(coalesce(k, 0), 1) AS r FROM part
+        LEFT JOIN (SELECT d, count(DISTINCT o) AS a FROM ({_WITH}) GROUP BY d) x ON x.d = p_partkey
+        LEFT JOIN (SELECT d, count(DISTINCT o) AS b FROM ({_WITH} AND a.l_returnflag = 'R' AND b.l_returnflag = 'R') GROUP BY d) y ON y.d = p_partkey
+        LEFT JOIN (SELECT l_partkey, count(DISTINCT l_suppkey) AS k FROM lineitem GROUP BY l_partkey) z ON l_partkey = p_partkey""",
+    "event_docs": "SELECT event_id d, 1 AS r FROM events",
+    "user_day_docs": f"SELECT {_UDAY} d, count(*) AS r FROM events GROUP BY ALL",
+    "conversation_docs": "SELECT conv_id d, count(*) * greatest(count(DISTINCT role), 1) AS r FROM conversations GROUP BY conv_id",
+    "geo_docs": """SELECT r_regionkey d, greatest(coalesce(sum(greatest(coalesce(s, 0), 1) * greatest(coalesce(c, 0), 1)), 0), 1) AS r FROM region LEFT JOIN nation ON n_regionkey = r_regionkey
+        LEFT JOIN (SELECT s_nationkey, count(*) AS s FROM supplier GROUP BY ALL) ON s_nationkey = n_nationkey
+        LEFT JOIN (SELECT c_nationkey, sum(greatest(coalesce(k, 0), 1)) AS c FROM customer LEFT JOIN (SELECT o_custkey, count(DISTINCT o_orderkey) AS k FROM orders GROUP BY ALL) ON o_custkey = c_custkey GROUP BY c_nationkey)
+        ON c_nationkey = n_nationkey GROUP BY r_regionkey""",
+}
+
+
 def cells(collection: str, paths: list[str] | None = None) -> str:
     """SELECT of (path, d, v) of a collection."""
-    found = VALUES[collection]
+    found = VALUES[collection] if collection in VALUES else FLAT[collection]
     return " UNION ALL ".join(f"SELECT '{p}' AS path, CAST(d AS VARCHAR) AS d, v FROM ({found[p]})" for p in (paths or found))
 
 
@@ -119,13 +154,13 @@ def ninds(collection: str, paths: list[str] | None = None, theta: float = 1.0, v
         FROM p LEFT JOIN inc USING (lhs, rhs) {only}"""
 
 
-def mask_pairs(collection: str, paths: list[str]) -> str:
+def mask_pairs(collection: str, paths: list[str], only: str = "TRUE") -> str:
     """SELECT of (d1, d2, mask) of pairs that share a value; bit i is paths[i]."""
     bit = " ".join(f"WHEN path = '{p}' THEN {1 << i}" for i, p in enumerate(paths))
     return f"""
         SELECT a.d AS d1, b.d AS d2, bit_or(a.b) AS mask
-        FROM (SELECT DISTINCT path, d, v, CAST(CASE {bit} END AS BIGINT) AS b FROM ({cells(collection, paths)})) a
-        JOIN (SELECT DISTINCT path, d, v FROM ({cells(collection, paths)})) b ON a.path = b.path AND a.v = b.v AND a.d < b.d GROUP BY a.d, b.d"""
+        FROM (SELECT DISTINCT path, d, v, CAST(CASE {bit} END AS BIGINT) AS b FROM ({cells(collection, paths)}) WHERE {only}) a
+        JOIN (SELECT DISTINCT path, d, v FROM ({cells(collection, paths)}) WHERE {only}) b ON a.path = b.path AND a.v = b.v AND a.d < b.d GROUP BY a.d, b.d"""
 
 
 def mask_histogram(collection: str, paths: list[str], documents: str) -> str:
@@ -135,14 +170,65 @@ def mask_histogram(collection: str, paths: list[str], documents: str) -> str:
         SELECT CAST(mask AS BIGINT) AS mask, CAST(pairs AS BIGINT) AS pairs FROM h UNION ALL SELECT CAST(mask AS BIGINT), CAST(pairs AS BIGINT) FROM z WHERE pairs > 0"""
 
 
-def nfds(collection: str, paths: list[str], documents: str, max_lhs: int = 3) -> str:
+def _side(x: str, paths: list[str]) -> str:
+    return "concat_ws(',', " + ", ".join(f"CASE WHEN {x} & {1 << i} > 0 THEN '{p}' END" for i, p in enumerate(paths)) + ")"
+
+
+def _one(a: str, paths: list[str]) -> str:
+    return f"CASE {a} " + " ".join(f"WHEN {i} THEN '{p}'" for i, p in enumerate(paths)) + " END"
+
+
+def nfds(collection: str, paths: list[str], documents: str, max_lhs: int = 3, hist: str | None = None, kind: str = "nfd") -> str:
     """Minimal dependencies by enumerating all left sides against the histogram."""
     k = len(paths)
-    name = "concat_ws(',', " + ", ".join(f"CASE WHEN x & {1 << i} > 0 THEN '{p}' END" for i, p in enumerate(paths)) + ")"
-    rhs = "CASE a " + " ".join(f"WHEN {i} THEN '{p}'" for i, p in enumerate(paths)) + " END"
     return f"""
-        WITH h AS ({mask_histogram(collection, paths, documents)}),
+        WITH h AS ({hist or mask_histogram(collection, paths, documents)}),
         c AS (SELECT x, a FROM range({1 << k}) r(x), range({k}) q(a) WHERE x & (1 << a) = 0 AND bit_count(x) <= {max_lhs}),
         ok AS (SELECT x, a FROM c WHERE NOT EXISTS (SELECT 1 FROM h WHERE h.mask & x = x AND h.mask & (1 << a) = 0)),
         m AS (SELECT x, a FROM ok o WHERE NOT EXISTS (SELECT 1 FROM ok i WHERE i.a = o.a AND i.x <> o.x AND i.x & o.x = i.x))
-        SELECT 'nfd' AS kind, {name} AS lhs, {rhs} AS rhs, CAST(1.0 AS DOUBLE) AS strength, TRUE AS valid FROM m"""
+        SELECT '{kind}' AS kind, {_side("x", paths)} AS lhs, {_one("a", paths)} AS rhs, CAST(1.0 AS DOUBLE) AS strength, TRUE AS valid FROM m"""
+
+
+def keys(collection: str, paths: list[str], documents: str, max_size: int = 3) -> str:
+    """Minimal sets of paths that no pair of documents overlaps on."""
+    return f"""
+        WITH h AS ({mask_histogram(collection, paths, documents)}),
+        ok AS (SELECT x FROM range(1, {1 << len(paths)}) r(x) WHERE bit_count(x) <= {max_size} AND NOT EXISTS (SELECT 1 FROM h WHERE h.mask & x = x))
+        SELECT {_side("x", paths)} AS paths, CAST(bit_count(x) AS INTEGER) AS size FROM ok o WHERE NOT EXISTS (SELECT 1 FROM ok i WHERE i.x <> o.x AND i.x & o.x = i.x)"""
+
+
+def cover_strengths(collection: str, paths: list[str], documents: str, max_lhs: int) -> str:
+    """SELECT of (x, a, strength) by the greedy scan itself, in the affine order of integer ids; one row per left side of at least one path."""
+    k = len(paths)
+    return f"""
+        SELECT c.x, c.a, 1 - coalesce(len(list_reduce(list([d1, d2] ORDER BY (d1 * 7919 + d2 * 104729 + 7) % 1009, d1, d2) FILTER (d1 IS NOT NULL),
+                 lambda taken, e: CASE WHEN list_has_any(taken, e) THEN taken ELSE taken || e END, []::BIGINT[])), 0) / (SELECT count(*) FROM ({documents})) AS strength
+        FROM (SELECT x, a FROM range({1 << k}) r(x), range({k}) q(a) WHERE x & (1 << a) = 0 AND bit_count(x) BETWEEN 1 AND {max_lhs}) c
+        LEFT JOIN (SELECT least(CAST(d1 AS BIGINT), CAST(d2 AS BIGINT)) AS d1, greatest(CAST(d1 AS BIGINT), CAST(d2 AS BIGINT)) AS d2, mask FROM ({mask_pairs(collection, paths)})) m
+        ON m.mask & c.x = c.x AND m.mask & (1 << c.a) = 0 GROUP BY c.x, c.a"""
+
+
+def approximate_nfds(collection: str, paths: list[str], documents: str, theta: float, max_lhs: int = 3) -> str:
+    """Minimal dependencies of at least a strength.
+
+    An empty left side is judged by the documents without the most frequent value
+    of the right one, which is exact where documents have one value at most; others
+    are taken here only if that alone decides.
+    """
+    k = len(paths)
+    number = "CASE path " + " ".join(f"WHEN '{p}' THEN {i}" for i, p in enumerate(paths)) + " END"
+    return f"""
+        WITH n AS (SELECT count(*) AS n FROM ({documents})), one AS (SELECT DISTINCT path, d, v FROM ({cells(collection, paths)})),
+        p AS (SELECT mask FROM ({mask_pairs(collection, paths)})),
+        most AS (SELECT a, max(f) AS f FROM (SELECT {number} AS a, v, count(*) AS f FROM one GROUP BY ALL) GROUP BY a),
+        bad AS (SELECT a, (SELECT n * (n - 1) // 2 FROM n) - (SELECT count(*) FROM p WHERE mask & (1 << a) > 0) AS bad FROM range({k}) q(a)),
+        e AS (SELECT 0 AS x, a, CASE WHEN bad = 0 THEN 1.0 ELSE 1 - (n - greatest(1, coalesce(f, 0))) / n END AS strength FROM bad LEFT JOIN most USING (a), n),
+        c AS (SELECT CAST(x AS BIGINT) AS x, CAST(a AS BIGINT) AS a, strength FROM e UNION ALL SELECT x, a, strength FROM ({cover_strengths(collection, paths, documents, max_lhs)})),
+        ok AS (SELECT * FROM c WHERE strength >= {theta})
+        SELECT 'nfd' AS kind, {_side("x", paths)} AS lhs, {_one("a", paths)} AS rhs, round(CAST(strength AS DOUBLE), 6) AS strength, TRUE AS valid
+        FROM ok o WHERE NOT EXISTS (SELECT 1 FROM ok i WHERE i.a = o.a AND i.x <> o.x AND i.x & o.x = i.x)"""
+
+
+def whole_numbers(sql: str) -> str:
+    """The same with numbers printed as integers, as the engine's keys are."""
+    return sql.replace(" AS DOUBLE) AS VARCHAR)", " AS BIGINT) AS VARCHAR)")

@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .tables import load
+from ..functions.paths import PathExpr, pruned_schema
+from .tables import load, scratch
 
 
 def order_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -105,6 +106,7 @@ def vector_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def geo_docs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Five documents that hold all customers and orders: the deepest nesting, for small tables only."""
     keys = load(spark, sf_dir, "orders").groupBy(F.col("o_custkey").alias("c_custkey")).agg(F.sort_array(F.collect_set("o_orderkey")).alias("orderkeys"))
     people = load(spark, sf_dir, "customer", ["c_custkey", "c_nationkey"]).join(keys, "c_custkey", "left")
     people = people.groupBy(F.col("c_nationkey").alias("n_nationkey")).agg(
@@ -144,6 +146,27 @@ def build_collection(name: str, spark: SparkSession, sf_dir: str, cap: int | Non
     return make(spark, sf_dir, cap) if name == "product_docs" else make(spark, sf_dir)
 
 
+_STORED: dict[tuple, str] = {}
+
+
+def stored_collection(name: str, spark: SparkSession, sf_dir: str, paths: list[str] | None = None, cap: int | None = None) -> DataFrame:
+    """The collection as nested Parquet in the shared folder, read with the leaves that the paths need only.
+
+    It is built once an application for the same tables (which must not change
+    meanwhile); miners then read documents, as they would where documents are
+    what is given, and not the joins that made them.
+    """
+    place = spark.sparkContext.applicationId, name, sf_dir, cap
+    if place not in _STORED:
+        path = scratch(spark, f"collection-{name}")
+        build_collection(name, spark, sf_dir, cap).write.parquet(path)
+        _STORED[place] = path
+    schema = spark.read.parquet(_STORED[place]).schema
+    if paths is not None:
+        schema = pruned_schema(schema, [*paths, str(PathExpr((COLLECTIONS[name][1],)))])
+    return spark.read.schema(schema).parquet(_STORED[place])
+
+
 def prefix_by_time(df: DataFrame, column: str, n: int, key: str) -> DataFrame:
     """The first n documents in time order."""
     return df.orderBy(column, key).limit(n)
