@@ -1,5 +1,5 @@
 import random
-from itertools import combinations, product
+from itertools import combinations, permutations, product
 
 import pytest
 from hypothesis import given, settings
@@ -175,3 +175,123 @@ def test_approximate_miners_test_empty_left_sides(spark):
         got = deps(theta=0.85, **options)
         assert {k: v for k, v in got.items() if k[1] != "$.b[*]"} == want
         assert ("", "$.b[*]") not in got
+
+
+def plain_nary(rows, arity, theta):
+    """All pairs of sequences of columns, straight from the definition; rows hold sets."""
+    width, out = len(rows[0]), {}
+    at = lambda x: {t for r in rows for t in product(*(r[p] for p in x))}
+    for x in combinations(range(width), arity):
+        for y in permutations(range(width), arity):
+            left, right = at(x), at(y)
+            if x != y and left:
+                out[x, y] = (len(left), len(left & right), len(left & right) >= theta * len(left))
+    return out
+
+
+@pytest.mark.parametrize("alignment", ["product", "element"])
+@pytest.mark.parametrize("seed", range(4))
+def test_nary_against_the_definition(spark, alignment, seed):
+    rng = random.Random(seed)
+    missing = seed % 2  # pruning is used only where nothing is missing
+    pick = lambda: rng.choice([None, "p", "q", "r"]) if missing else rng.choice("pqr")
+    names = "abcd"
+    if alignment == "element":
+        items = [[tuple(pick() for _ in names) for _ in range(rng.randint(1, 3))] for _ in range(5)]
+        df = spark.createDataFrame([(i, x) for i, x in enumerate(items)], "id long, it array<struct<a:string,b:string,c:string,d:string>>")
+        paths, plain = [f"$.it[*].{n}" for n in names], [[{v} - {None} for v in e] for x in items for e in x]
+    else:
+        sets = [[[v for v in (pick() for _ in range(rng.randint(1, 2))) if v] for _ in names] for _ in range(5)]
+        df = spark.createDataFrame([(i, *x) for i, x in enumerate(sets)], "id long, a array<string>, b array<string>, c array<string>, d array<string>")
+        paths, plain = [f"$.{n}[*]" for n in names], [[set(v) for v in x] for x in sets]
+    number = {p: i for i, p in enumerate(paths)}
+    side = lambda t: tuple(number[p] for p in t.split(","))
+    for theta in (1.0, 0.8):
+        got = {(side(r["lhs"]), side(r["rhs"])): (r["support"], r["included"], r["valid"]) for r in inclusion.mine_inclusion_nary(df, "id", 3, theta, paths, alignment).collect()}
+        for arity in (2, 3):
+            want = plain_nary(plain, arity, theta)
+            mine = {k: v for k, v in got.items() if len(k[0]) == arity}
+            assert all(want[k] == v for k, v in mine.items())
+            assert {k for k, v in mine.items() if v[2]} == {k for k, v in want.items() if v[2]}
+            if theta < 1 or missing:
+                assert mine == want
+
+
+def test_nary_keeps_identical_prefixes(spark):
+    """(a, b, c) in (a, b, d) where a and b are unique and c equals d."""
+    df = spark.createDataFrame([(i, f"a{i}", f"b{i}", f"c{i % 3}", f"c{i % 3}") for i in range(9)], "id long, a string, b string, c string, d string")
+    got = {(r["lhs"], r["rhs"]) for r in inclusion.mine_inclusion_nary(df, "id", 3, 1.0, ["$.a", "$.b", "$.c", "$.d"]).where("valid").collect()}
+    assert ("$.a,$.b,$.c", "$.a,$.b,$.d") in got
+
+
+def test_nary_at_a_threshold_needs_no_strong_part(spark):
+    rows = [(i, f"x{i}", "k") if i < 10 else (i, "y0", f"z{i}") for i in range(100)]
+    more = [(100 + i, f"w{i}", f"z{i}") for i in range(10, 100)]
+    df = spark.createDataFrame([(*r, r[1] if r[1] == "y0" else f"n{r[0]}", r[2]) for r in rows] + [(*r, "y0", r[2]) for r in more], "id long, a string, b string, c string, d string")
+    got = {(r["lhs"], r["rhs"]): r for r in inclusion.mine_inclusion_nary(df, "id", 2, 0.4, ["$.a", "$.b", "$.c", "$.d"]).collect()}
+    one = got["$.a,$.b", "$.c,$.d"]
+    assert (one["support"], one["included"], one["valid"]) == (190, 90, True)
+
+
+@pytest.mark.parametrize("theta", [1.0, 0.7, 0.3])
+def test_sorted_miner_equals_the_inverted_one(spark, theta):
+    rng = random.Random(int(theta * 10))
+    rows = [(i, *([rng.randint(0, 5 * (k + 1)) for _ in range(rng.randint(0, 3))] for k in range(4))) for i in range(60)]
+    df = spark.createDataFrame(rows, "id long, a array<int>, b array<int>, c array<int>, d array<int>")
+    paths = [f"$.{n}[*]" for n in "abcd"]
+    cells = plans.unroll_dynamic(df, "id", paths)
+    for rounds in ((1,), (2, 18, 80), (1, 1, 1, 1)):
+        found, seen = inclusion.sorted_rounds(cells, paths, theta, rounds)
+        want = inclusion.mine_inclusion(df, "id", theta=theta, paths=paths).where("valid")
+        assert sorted(map(tuple, found.collect())) == sorted(map(tuple, want.collect()))
+        assert all(x["candidates"] >= y["candidates"] for x, y in zip(seen, seen[1:]))
+
+
+def test_merge_counts_runs_across_batches_and_words(spark):
+    """More than 62 paths, runs that cross Arrow batches."""
+    rows = [(p, f"n{v}") for v in range(300) for p in range(70) if (v + p) % 3]
+    cells = spark.createDataFrame(rows, "path_id int, value string")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "7")
+    try:
+        key = lambda df: sorted(map(tuple, df.select("m0", "m1", "n_values").collect()))
+        assert key(inclusion.merged_signatures(cells, 70)) == key(inclusion.signatures(inclusion.value_masks(cells, 70), 70))
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+
+
+def test_registered_metadata(spark):
+    df, _ = random_docs(spark, 3)
+    paths = ["$.a", "$.b[*]", "$.c[*]"]
+    assert {"values", "overlaps", "bitmaps"} <= set(plans.METADATA)
+    masks = plans.build_metadata("values", df, "id", paths)
+    assert sorted(map(tuple, masks.collect())) == sorted(map(tuple, inclusion.value_masks(plans.unroll_dynamic(df, "id", paths), 3).collect()))
+
+
+def test_hot_values_are_salted(spark, monkeypatch):
+    df, _ = random_docs(spark, 7, 40)
+    cells = plans.unroll_dynamic(df, "id", ["$.a", "$.b[*]", "$.c[*]"])
+    plain = sorted(map(tuple, overlap.overlap_masks(cells).collect()))
+    monkeypatch.setattr(overlap, "HOT", 2)
+    assert sorted(map(tuple, overlap.overlap_masks(cells).collect())) == plain and plain
+    with pytest.raises(plans.TooLarge):
+        overlap.adjacency_bitmaps(cells, limit=3)
+
+
+@given(st.lists(st.tuples(st.integers(0, 1), st.sets(st.integers(0, 4), max_size=3)), min_size=1, max_size=7))
+@settings(max_examples=15, deadline=None)
+def test_linear_validation_against_the_definition(spark, docs):
+    df = spark.createDataFrame([(i, x, sorted(y)) for i, (x, y) in enumerate(docs)], "id long, x int, y array<int>")
+    want = not any(a[0] == b[0] and not a[1] & b[1] for a, b in combinations(docs, 2))
+    assert functional.validate_nfd(df, "id", ["$.x"], "$.y[*]").first()["holds"] == want
+
+
+def test_strengths_known_from_the_histogram_make_no_edges(spark):
+    df, rows = random_docs(spark, 9, 14)
+    paths = ["$.a", "$.b[*]", "$.c[*]"]
+    masks = overlap.overlap_masks(plans.unroll_dynamic(df, "id", paths))
+    every = [(x, a) for x in range(1, 8) for a in range(3) if not x >> a & 1]
+    found = functional.candidate_strengths(masks, every, len(rows), "lex")
+    pairs = [tuple(r) for r in masks.orderBy("d1", "d2").collect()]
+    for x, a in every:
+        edges = [(i, j) for i, j, m in pairs if m & x == x and not m >> a & 1]
+        assert found[x, a] == pytest.approx(1 - len(cover.sequential_cover(edges)) / len(rows))

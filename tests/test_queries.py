@@ -16,7 +16,8 @@ def test_query_matches_sql(spark, sf_dir, duck, name):
 
 @pytest.mark.parametrize("name", sorted(set(QUERIES) - set(SQL) - {"w_inclusion_runtime", "w_inclusion_scale", "w_functional_scale", "w_complexity_sweep"}))
 def test_query_without_sql_runs(spark, sf_dir, name):
-    assert QUERIES[name](spark, sf_dir).columns
+    rows = QUERIES[name](spark, sf_dir).collect()
+    assert rows and any(any(v is not None for v in r) for r in rows)
 
 
 def test_entry_and_names():

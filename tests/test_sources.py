@@ -1,3 +1,5 @@
+import os
+
 from pyspark.sql import functions as F
 
 from nestdep.operators import results
@@ -75,3 +77,81 @@ def test_profile_and_timing(spark, sf_dir):
     assert row["documents"] == df.count() and row["max_nesting"] >= 3 and row["mean_bytes"] > 0
     assert results.time_run(lambda: df, 1)["status"] == "ok"
     assert results.time_run(lambda: df.select(F.raise_error(F.lit("x"))), 1)["seconds"] is None
+
+
+def test_state_outlives_the_application(spark, tmp_path):
+    """A second state on the same folder goes on; compaction changes nothing; any number of paths."""
+    names = [f"$.p{i}" for i in range(130)]
+    root = f"file://{tmp_path}/state"
+    batches = [spark.createDataFrame([(p, f"n{(v * 7 + b) % 50}") for v in range(20) for p in ((v + b) % 130, 65 + b % 60, 129)], "path_id int, value string") for b in range(9)]
+    first = stream.MetadataState(spark, names, root, compact_every=4)
+    for i in range(5):
+        first.merge(batches[i], i)
+    second = stream.MetadataState(spark, names, root, compact_every=4)
+    for i in range(3, 9):  # batches 3 and 4 come again
+        second.merge(batches[i], i)
+    assert len(second.parts()) <= 4
+    from functools import reduce
+
+    from nestdep.operators import inclusion
+
+    cells = reduce(lambda a, b: a.unionAll(b), batches)
+    want = inclusion.value_masks(cells, len(names))
+    key = lambda df: sorted(map(tuple, df.select("value", "m0", "m1", "m2").collect()))
+    assert key(second.masks()) == key(want)
+    assert second.dependencies().where("valid and lhs = '$.p70' and rhs = '$.p129'").count() == 1
+
+
+def test_uncommitted_batch_is_not_read(spark, tmp_path):
+    state = stream.MetadataState(spark, ["$.a"], f"file://{tmp_path}/state")
+    assert state.masks().count() == 0
+    state.merge(spark.createDataFrame([(0, "n1")], "path_id int, value string"), 0)
+    (tmp_path / "state" / "masks-000000001-000000001").mkdir()
+    assert [p[0] for p in state.parts()] == [0] and state.masks().count() == 1
+
+
+def test_stream_goes_on_after_a_restart(spark, tmp_path):
+    source, root, checkpoint = tmp_path / "in", f"file://{tmp_path}/state", f"file://{tmp_path}/checkpoint"
+    rows = lambda lo, hi: spark.range(lo, hi).selectExpr("id", "id % 5 as a", "id % 7 as b")
+    rows(0, 10).coalesce(1).write.parquet(f"file://{source}")
+    to_cells = lambda df: plans.unroll_dynamic(df, "id", ["$.a", "$.b"])
+    schema = rows(0, 1).schema
+    run = lambda: stream.mine_stream(spark, str(source), schema, to_cells, ["$.a", "$.b"], root=root, checkpoint=checkpoint)
+    assert run().masks().count() == 7
+    rows(100, 101).selectExpr("id", "cast(99 as bigint) as a", "b").coalesce(1).write.mode("append").parquet(f"file://{source}")
+    again = run()
+    assert again.masks().count() == 8 and len(again.parts()) == 2
+
+
+def test_late_rows_are_counted(spark, tmp_path):
+    source = tmp_path / "in"
+    source.mkdir()
+    for k, day in enumerate(("2024-01-01", "2024-03-01", "2024-03-02", "2024-01-02")):  # a batch drops by the watermark of the one before
+        part = spark.sql(f"select timestamp'{day} 00:00:00' ts, 'k' key, {k} value")
+        (source / f"{k}.json").write_text(f'{{"ts": "{day} 00:00:00", "key": "k", "value": {k}}}\n')
+        os.utime(source / f"{k}.json", (1_700_000_000 + 60 * k,) * 2)  # files are read in the order of their times
+    out = stream.profile_stream(stream.stream_documents(spark, str(source), part.schema, "json"), "ts", "key")
+    query = out.writeStream.outputMode("append").format("memory").queryName("late").start()
+    query.processAllAvailable()
+    dropped = stream.late_rows(query)
+    query.stop()
+    assert dropped == 1
+
+
+def test_timed_runs_end_at_their_limit(spark):
+    slow = lambda: spark.range(0, 4, 1, 2).select(F.expr("reflect('java.lang.Thread', 'sleep', cast(60000 as bigint))"))
+    import time
+
+    began = time.time()
+    got = results.time_run(slow, 1, limit_s=1.0)
+    assert got == {"status": "time-out", "seconds": None} and time.time() - began < 30
+
+    def refused():
+        raise plans.TooLarge("x")
+
+    assert results.time_run(refused, 1) == {"status": "refused", "seconds": None}
+    import pytest
+
+    with pytest.raises(Exception):
+        results.settled(results.time_run(lambda: spark.range(1).select(F.raise_error(F.lit("x"))), 1))
+    assert results.settled(results.time_run(lambda: spark.range(1), 1, 60.0))["status"] == "ok"
