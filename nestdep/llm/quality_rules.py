@@ -1,19 +1,27 @@
 """Quality rules with tokeniser fertility bands.
 
 Rules count words, symbols, repeated lines and repeated three-word windows.
-Fertility measures come from a public byte-fallback vocabulary: characters per
-token, share of byte-fallback tokens and entropy of the document's tokens.
-Each measure has a rejection band per script (the script with most letters in
-the document); bands are parameters, chosen wide so that only texts unlike
-written language in that script fall outside.
-
-Words are tokenised one distinct word at a time: pieces of this vocabulary
-never span white space, so counts of a text are sums over its words.
+Fertility measures come from public vocabularies: characters per token, share of
+byte-fallback tokens and entropy of the document's tokens by a byte-fallback
+vocabulary, and characters per token by a byte-level one.
+
+Bands are those of a language (of a script, where the language is null or the
+table has none) and a size class, as short texts spread wider and entropy grows
+with length: the median of all documents of that language and class that pass
+the base rule, less and plus `WIDTH` spreads, a spread being the distance of
+the quartile on that side in standard deviations of a normal law.  Quartiles are
+exact on a fixed grid (`percentile` over counted grid cells), so reruns agree and
+what a group keeps in memory is bounded by the grid.  A group of fewer than
+`LEAST_GROUP` documents has no quartiles worth the name; there, and as outer
+limits everywhere, the wide bands of the script hold.
+
+Words are tokenised one distinct word at a time: pieces of these vocabularies
+never span white space here, so counts of a text are sums over its words.
 
 Defined cases: a null or blank text has no words and fails the base rule;
 documents with fewer tokens than `MIN_TOKENS` are not judged by bands (measures
 of so few tokens say nothing); an empty table gives an empty result; repeated
-rows get equal results; other columns are ignored.
+rows get equal results; other columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -25,10 +33,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import bounded_batches
+from ._spark import bounded_batches, written
 from ._text import fold, mix, slices, span_hash, words_of
 
 MIN_TOKENS = 50
+LEAST_GROUP = 60
+WIDTH = 4.5
+#: Grid step and least spread of the measures that have bands of their own.
+GRID = {"chars_per_token": (0.002, 0.02), "byte_chars_per_token": (0.002, 0.02), "token_entropy": (0.005, 0.05)}
+_QUARTILE = 0.6745  # standard deviations from the median to a quartile of a normal law
 # Lowest and highest characters per token, highest byte-fallback
 # share, lowest and highest token entropy in bits, by script.
 BANDS = {
@@ -48,10 +61,20 @@ _CACHE_WORDS = 400_000
 class _Pieces:
     """Token ids of words by hash; a bounded cache that only saves time."""
 
-    def __init__(self, model: str) -> None:
+    def __init__(self, model: str, ranks: str | None) -> None:
+        import base64
+
         import sentencepiece
 
         self.model = sentencepiece.SentencePieceProcessor(model_file=model)
+        self.other = None
+        if ranks is not None:
+            import tiktoken
+
+            with open(ranks, "rb") as file:
+                table = {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, file)}
+            # A word is one pre-token; its bytes are merged within it.
+            self.other = tiktoken.Encoding("bytes", pat_str=r"\S+|\s+", mergeable_ranks=table, special_tokens={})
         self.byte = np.array([self.model.is_byte(i) for i in range(self.model.vocab_size())])
         self.clear()
 
@@ -59,10 +82,11 @@ class _Pieces:
         self.keys = np.zeros(0, dtype=np.uint64)
         self.begin = np.zeros(0, dtype=np.int64)
         self.size = np.zeros(0, dtype=np.int64)
+        self.bytes_size = np.zeros(0, dtype=np.int64)
         self.pool = np.zeros(0, dtype=np.int32)
 
-    def of(self, words, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """For each word: where its ids begin in the pool, and how many they are."""
+    def of(self, words, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """For each word: where its ids begin in the pool, how many they are, and how many the byte-level vocabulary has."""
         keys, where, back = np.unique(hashes, return_index=True, return_inverse=True)
         at = np.searchsorted(self.keys, keys)
         at[at == len(self.keys)] = 0
@@ -76,6 +100,7 @@ class _Pieces:
             texts = [raw[s:e].decode("utf-8", "replace") for s, e in zip(words.starts[where[new]].tolist(), words.ends[where[new]].tolist())]
             ids = self.model.encode(texts, num_threads=1)
             size = np.fromiter(map(len, ids), dtype=np.int64, count=len(ids))
+            more = np.fromiter((len(self.other.encode_ordinary(t)) if self.other else 0 for t in texts), dtype=np.int64, count=len(texts))
             flat = np.fromiter((i for x in ids for i in x), dtype=np.int32, count=int(size.sum()))
             begin = np.concatenate([[0], np.cumsum(size)[:-1]]) + len(self.pool)
             self.pool = np.concatenate([self.pool, flat])
@@ -83,8 +108,9 @@ class _Pieces:
             self.keys = merged[order]
             self.begin = np.concatenate([self.begin, begin])[order]
             self.size = np.concatenate([self.size, size])[order]
+            self.bytes_size = np.concatenate([self.bytes_size, more])[order]
             at = np.searchsorted(self.keys, keys)
-        return self.begin[at][back], self.size[at][back]
+        return self.begin[at][back], self.size[at][back], self.bytes_size[at][back]
 
 
 def _gather(begin: np.ndarray, size: np.ndarray) -> np.ndarray:
@@ -116,12 +142,12 @@ def _scripts(raw: np.ndarray, per_byte_doc: np.ndarray, n: int) -> np.ndarray:
     return np.where(counts.sum(axis=1) == 0, 4, counts.argmax(axis=1))
 
 
-def _measure(model: str):
+def _measure(model: str, ranks: str | None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pieces = None
         for batch in batches:
             for part in slices(batch, "text"):
-                pieces = pieces or _Pieces(model)
+                pieces = pieces or _Pieces(model, ranks)
                 yield _rows(part, pieces)
 
     return run
@@ -165,12 +191,14 @@ def _rows(part: pa.RecordBatch, pieces: _Pieces) -> pa.RecordBatch:
             for shift in range(3):
                 covered[shift : len(hashes) - 2 + shift] |= often
             repeat_words = np.bincount(docs[covered], minlength=n)
-        where, size = pieces.of(words, hashes)
+        where, size, more = pieces.of(words, hashes)
+        byte_tokens = np.bincount(docs, weights=more, minlength=n)
         ids = pieces.pool[_gather(where, size)]
         token_doc = np.repeat(docs, size)
     else:
         dup_lines = repeat_words = np.zeros(n, dtype=np.int64)
         ids = token_doc = np.zeros(0, dtype=np.int64)
+        byte_tokens = np.zeros(n)
     tokens = np.bincount(token_doc, minlength=n)
     fallback = np.bincount(token_doc, weights=pieces.byte[ids], minlength=n)
     pair = np.sort(token_doc.astype(np.int64) << 32 | ids)
@@ -181,6 +209,7 @@ def _rows(part: pa.RecordBatch, pieces: _Pieces) -> pa.RecordBatch:
     entropy[tokens == 0] = 0
     columns = {
         "id": part.column("id"),
+        "lang": part.column("lang"),
         "n_words": pa.array(words.counts),
         "word_chars": pa.array(word_chars),
         "n_symbols": pa.array(symbols.astype(np.int64)),
@@ -188,6 +217,7 @@ def _rows(part: pa.RecordBatch, pieces: _Pieces) -> pa.RecordBatch:
         "n_repeat_words": pa.array(repeat_words.astype(np.int64)),
         "n_tokens": pa.array(tokens.astype(np.int64)),
         "chars_per_token": pa.array(word_chars / total),
+        "byte_chars_per_token": pa.array(word_chars / np.maximum(byte_tokens, 1)) if pieces.other else pa.nulls(n, pa.float64()),
         "byte_share": pa.array(fallback / total),
         "token_entropy": pa.array(entropy),
         "script": pa.array(np.array(SCRIPTS)[_scripts(raw, byte_doc, n)]),
@@ -195,22 +225,54 @@ def _rows(part: pa.RecordBatch, pieces: _Pieces) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays(list(columns.values()), names=list(columns))
 
 
-_SCHEMA = "id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_tokens long, chars_per_token double, byte_share double, token_entropy double, script string"
+_SCHEMA = "lang string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_tokens long, chars_per_token double, byte_chars_per_token double, byte_share double, token_entropy double, script string"
 
 
-def quality_measures(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def quality_measures(docs: DataFrame, model: str, id_col: str = "doc_id", text_col: str = "text", lang_col: str | None = "lang", ranks: str | None = None) -> DataFrame:
+    """One row per document; `model` is the byte-fallback vocabulary, `ranks` the byte-level one (without it that measure is null and never judged)."""
     bounded_batches(docs.sparkSession)
-    base = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    return base.mapInArrow(_measure(model), _SCHEMA).withColumnRenamed("id", id_col)
-
-
-def quality_verdict(measures: DataFrame, bands: dict[str, tuple] = BANDS) -> DataFrame:
-    """Adds base_failed, the three band failures and kept."""
+    lang = F.col(lang_col).cast("string") if lang_col in docs.columns else F.lit(None).cast("string")
+    base = docs.select(F.col(id_col).alias("id"), lang.alias("lang"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    kind = dict(base.dtypes)["id"]
+    out = base.mapInArrow(_measure(model, ranks), f"id {kind}, {_SCHEMA}")
+    return out.withColumns(
+        {
+            "base_failed": (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words")),
+            "judged": F.col("n_tokens") >= MIN_TOKENS,
+            "kind": F.coalesce("lang", F.concat(F.lit("script "), "script")),
+            "size_class": F.floor(F.log2(F.greatest("n_tokens", F.lit(1)))).cast("int"),
+        }
+    ).withColumnRenamed("id", id_col)
+
+
+def quality_bands(measures: DataFrame, width: float = WIDTH) -> DataFrame:
+    """(kind, size_class, <measure>_low, <measure>_high ...) from all judged documents that pass the base rule."""
+    rows = measures.where(F.col("judged") & ~F.col("base_failed"))
+    cells = F.explode(F.array(*[F.struct(F.lit(m).alias("measure"), F.round(F.col(m) / step).cast("long").alias("cell")) for m, (step, _) in GRID.items()]))
+    counted = rows.select("kind", "size_class", cells.alias("c")).where("c.cell is not null").groupBy("kind", "size_class", "c.measure", "c.cell").agg(F.count(F.lit(1)).alias("n"))
+    at = counted.groupBy("kind", "size_class", "measure").agg(F.expr("percentile(cell, array(0.25, 0.5, 0.75), n)").alias("q"), F.sum("n").alias("documents"))
+    at = at.where(F.col("documents") >= LEAST_GROUP)
+    of = lambda m: F.max(F.when(F.col("measure") == m, F.col("q")))
+    wide = at.groupBy("kind", "size_class").agg(*[of(m).alias(m) for m in GRID])
+    columns = []
+    for m, (step, least) in GRID.items():
+        low, mid, high = (F.col(m)[i] * step for i in range(3))
+        columns.append((mid - width * F.greatest((mid - low) / _QUARTILE, F.lit(least))).alias(f"{m}_low"))
+        columns.append((mid + width * F.greatest((high - mid) / _QUARTILE, F.lit(least))).alias(f"{m}_high"))
+    return wide.select("kind", "size_class", *columns)
+
+
+def quality_verdict(measures: DataFrame, bands: dict[str, tuple] = BANDS, width: float = WIDTH) -> DataFrame:
+    """Adds the three band failures and kept; the measures are written once, as their quartiles come first."""
+    measures = written(measures, "measures")
     keys = F.create_map(*[x for k, v in bands.items() for x in (F.lit(k), F.array(*[F.lit(float(y)) for y in v]))])
     band = F.element_at(keys, F.col("script"))
-    judged = F.col("n_tokens") >= MIN_TOKENS
-    out = measures.withColumn("base_failed", (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words")))
-    out = out.withColumn("fertility_failed", judged & ((F.col("chars_per_token") < band[0]) | (F.col("chars_per_token") > band[1])))
-    out = out.withColumn("fallback_failed", judged & (F.col("byte_share") > band[2]))
-    out = out.withColumn("entropy_failed", judged & ((F.col("token_entropy") < band[3]) | (F.col("token_entropy") > band[4])))
-    return out.withColumn("kept", ~(F.col("base_failed") | F.col("fertility_failed") | F.col("fallback_failed") | F.col("entropy_failed")))
+    # No hint: the bands are few where languages are few, and are joined by key where they are not.
+    out = measures.join(quality_bands(measures, width), ["kind", "size_class"], "left")
+    outside = lambda m: F.coalesce((F.col(m) < F.col(f"{m}_low")) | (F.col(m) > F.col(f"{m}_high")), F.lit(False))
+    fertility = (F.col("chars_per_token") < band[0]) | (F.col("chars_per_token") > band[1]) | outside("chars_per_token") | outside("byte_chars_per_token")
+    entropy = (F.col("token_entropy") < band[3]) | (F.col("token_entropy") > band[4]) | outside("token_entropy")
+    failed = {"fertility_failed": fertility, "fallback_failed": F.col("byte_share") > band[2], "entropy_failed": entropy}
+    out = out.withColumns({name: F.col("judged") & test for name, test in failed.items()})
+    out = out.withColumn("kept", ~(F.col("base_failed") | F.col("fertility_failed") | F.col("fallback_failed") | F.col("entropy_failed")))
+    return out.drop(*[f"{m}_{side}" for m in GRID for side in ("low", "high")])

@@ -81,7 +81,7 @@ def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .quality_rules import quality_measures, quality_verdict
 
-    return quality_verdict(quality_measures(table(spark, sf_dir, "documents"), vocabulary("piece_bpe_32k.model")))
+    return quality_verdict(quality_measures(table(spark, sf_dir, "documents"), vocabulary("piece_bpe_32k.model"), ranks=vocabulary("byte_bpe_50k.tiktoken")))
 
 
 def op10_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -356,3 +356,55 @@ def test_pii_secret_of_any_length():
     long = "Ab9/" * 500
     assert pii.redacted(f"token: {long} end") == "token: [SECRET] end"
     assert pii.entities("token=" * 100_000)[0][1:] == (6, 600_000)
+
+
+def plain_verdicts(rows, width):
+    """kept of each measured row, from the rules as they are stated: quartiles of a language and size class on a grid."""
+    groups = collections.defaultdict(list)
+    kind = lambda r: (r["lang"] or "script " + r["script"], int(math.floor(math.log2(max(1, r["n_tokens"])))))
+    for r in rows:
+        if r["n_tokens"] >= 50 and not r["base_failed"]:
+            groups[kind(r)].append(r)
+    out = {}
+    for r in rows:
+        low, high, share, least, most = quality_rules.BANDS[r["script"]]
+        good = not r["base_failed"]
+        if r["n_tokens"] >= 50:
+            good &= low <= r["chars_per_token"] <= high and r["byte_share"] <= share and least <= r["token_entropy"] <= most
+            group = groups.get(kind(r), [])
+            if len(group) >= quality_rules.LEAST_GROUP:
+                for m, (step, floor) in ((m, g) for m, g in quality_rules.GRID.items() if r[m] is not None):
+                    q = np.percentile([math.floor(abs(x[m] / step) + 0.5) for x in group], [25, 50, 75]) * step
+                    good &= q[1] - width * max((q[1] - q[0]) / 0.6745, floor) <= r[m] <= q[1] + width * max((q[2] - q[1]) / 0.6745, floor)
+        out[r["doc_id"]] = bool(good)
+    return out
+
+
+def test_quality_verdict_against_a_plain_one(spark, sf_dir):
+    base = sf_dir.replace("sf0.001", "sf0.01")
+    rows = [r.asDict() for r in queries.op9_quality(spark, base).collect()]
+    want = plain_verdicts(rows, quality_rules.WIDTH)
+    assert {r["doc_id"]: r["kept"] for r in rows} == want
+    only = [r for r in rows if not r["base_failed"] and not r["kept"]]
+    labels = {r["doc_id"]: r["quality"] for r in spark.read.parquet(f"{base}/labels.parquet").collect()}
+    assert len(only) >= 10 and sum(labels.get(r["doc_id"]) == 0 for r in only) > 5 * sum(labels.get(r["doc_id"]) == 1 for r in only)
+
+
+def test_quality_bands_tell_noise_from_language(spark, docs, odd_docs, no_docs, sf_dir):
+    import base64
+    import random
+
+    rng = random.Random(3)
+    clean = spark.read.parquet(f"{sf_dir.replace('sf0.001', 'sf0.01')}/documents.parquet").select("doc_id", "text", "lang")
+    letters = " ".join("".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(rng.randint(2, 9))) for _ in range(200))
+    coded = " ".join(base64.b64encode(rng.randbytes(24)).decode() for _ in range(60))
+    noise = spark.createDataFrame([(-1, letters, "en"), (-2, coded, "en")], clean.schema)
+    paths = queries.vocabulary("piece_bpe_32k.model"), queries.vocabulary("byte_bpe_50k.tiktoken")
+    got = {r["doc_id"]: r for r in quality_rules.quality_verdict(quality_rules.quality_measures(clean.unionAll(noise), paths[0], ranks=paths[1])).collect()}
+    assert not got[-1]["base_failed"] and got[-1]["fertility_failed"] and not got[-1]["kept"] and got[-2]["fertility_failed"]
+    # Documents of few are judged by the wide bands of their script only, whatever other columns are named.
+    odd = quality_rules.quality_verdict(quality_rules.quality_measures(odd_docs.withColumn("kind", F.lit(1)), paths[0], ranks=paths[1]))
+    assert {r["doc_id"]: r["kept"] for r in odd.collect()} == plain_verdicts([r.asDict() for r in odd.collect()], quality_rules.WIDTH)
+    assert quality_rules.quality_verdict(quality_rules.quality_measures(no_docs, *paths[:1])).count() == 0
+    named = odd_docs.withColumn("doc_id", F.concat(F.lit("d"), "doc_id"))
+    assert {r["doc_id"] for r in quality_rules.quality_measures(named, paths[0]).collect()} >= {"d1", "d9", None}
