@@ -30,11 +30,13 @@ def bounded_batches(spark: SparkSession) -> None:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that all executors share (spark.checkpoint.dir).
 
-    Only where the session names none, as in local tests, is one made under the
-    temp folder of this machine.
+    Only where the session names none and runs on this machine alone, as in
+    tests, is one made under its temp folder; on a cluster that would lose data.
     """
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         found = "file://" + tempfile.mkdtemp(prefix="nestdep-shared-")
         spark.sparkContext.setCheckpointDir(found)
     return found

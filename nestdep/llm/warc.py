@@ -9,11 +9,15 @@ attempts are never read.
 
 Of records with equal payloads of at least `min_revisit` bytes the one with
 the largest id is the response, others are revisits of it; smaller ones are all
-responses.  Only digests are grouped, never payloads.
+responses.  Only ids and digests are grouped, never payloads.  The digests found
+more than once are broadcast up to `BROADCAST_DIGESTS` (counted first), so that
+payloads stay where they are read; beyond that the payloads that may be revisits
+are joined by digest, and short ones still stay.
 
 Defined cases: a null payload is empty; a null id is smaller than any other and
 written as "null"; rows that repeat the largest id of a payload are all
-responses; an empty table gives an empty manifest; other columns are ignored.
+responses; a table without the column of addresses gives records without one; an
+empty table gives an empty manifest; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -30,9 +34,10 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ._spark import bounded_batches, scratch
+from ._spark import bounded_batches, scratch, written
 
 MIN_REVISIT = 1000
+BROADCAST_DIGESTS = 400_000
 FRAME_BYTES = 1 << 20
 BUNDLE_BYTES = 1 << 30
 # Fixed values of the seekable format.
@@ -118,10 +123,18 @@ def write_archives(pages: DataFrame, directory: str, id_col: str = "page_id", ur
     bounded_batches(pages.sparkSession)
     spark = pages.sparkSession
     payload = F.encode(F.coalesce(F.col(payload_col), F.lit("")), "UTF-8")
-    base = pages.select(F.col(id_col).cast("long").alias("id"), F.col(url_col).alias("url"), payload.alias("payload"))
-    base = base.withColumn("digest", F.sha1("payload"))
-    copies = base.where(F.octet_length("payload") >= min_revisit).groupBy("digest").agg(F.max("id").alias("best"), F.count(F.lit(1)).alias("n")).where("n > 1").select("digest", "best")
-    ready = base.join(copies, "digest", "left").withColumn("refers_to", F.when(F.col("id").isNull() | (F.col("id") < F.col("best")), F.col("best")))
+    url = F.col(url_col).cast("string") if url_col in pages.columns else F.lit(None).cast("string")
+    base = pages.select(F.col(id_col).cast("long").alias("id"), url.alias("url"), payload.alias("payload"))
+    base = base.withColumn("digest", F.when(F.octet_length("payload") >= min_revisit, F.sha1("payload")))
+    copies = base.where("digest is not null").groupBy("digest").agg(F.max("id").alias("best"), F.count(F.lit(1)).alias("n")).where("n > 1").select("digest", "best")
+    copies = written(copies, "copies")
+    if copies.count() <= BROADCAST_DIGESTS:
+        ready = base.join(F.broadcast(copies), "digest", "left")
+    else:
+        short = base.where("digest is null").withColumn("best", F.lit(None).cast("long"))
+        ready = base.where("digest is not null").join(copies, "digest", "left").unionByName(short)
+    ready = ready.withColumn("refers_to", F.when(F.col("id").isNull() | (F.col("id") < F.col("best")), F.col("best")))
+    ready = ready.withColumn("digest", F.coalesce("digest", F.sha1("payload")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         task = TaskContext.get()
