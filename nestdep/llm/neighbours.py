@@ -9,8 +9,10 @@ The best `rerank` rows of each slice are measured again on the original vectors
 in double precision, and only the `k` best of a task leave it.
 
 The codebook is fitted on at most `sample` rows, those with the smallest hash
-of their id; every row is coded and scanned.  Queries are broadcast in blocks
-of at most `QUERY_BLOCK`, so what a task holds does not grow with the data.
+of their id; every row is coded, once: packed codes and norms are written to the
+shared folder beside the vectors.  Queries are broadcast in blocks of at most
+`QUERY_BLOCK`, so what a task holds does not grow with the data; each block
+scans the stored codes and reads vectors for the exact ranking.
 
 Defined cases: vectors that are null, empty, zero, of another length than the
 table's commonest, or that hold null or non-finite components take no part, as
@@ -30,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ._spark import bounded_batches
+from ._spark import bounded_batches, written
 
 SAMPLE = 8_000
 QUERY_BLOCK = 16_384
@@ -144,11 +146,16 @@ def _matrix(column: pa.Array, dims: int) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(-1, dims).astype(np.float64)
 
 
+def _floats(vectors: DataFrame, column: str) -> Column:
+    """The vectors as they are if of floats or doubles, else as doubles; distances are always of doubles."""
+    return F.col(column) if dict(vectors.dtypes)[column] in ("array<float>", "array<double>") else F.col(column).cast("array<double>")
+
+
 def nearest(vectors: DataFrame, is_query: Column, k: int = 10, id_col: str = "vec_id", vector_col: str = "embedding", sample: int = SAMPLE, rerank: int = RERANK) -> DataFrame:
     """query_id, rank, vec_id, score (Euclidean distance) of the k nearest found for each query."""
     bounded_batches(vectors.sparkSession)
     spark = vectors.sparkSession
-    base = vectors.select(F.col(id_col).cast("long").alias("id"), F.col(vector_col).cast("array<double>").alias("vector"), is_query.alias("asks"))
+    base = vectors.select(F.col(id_col).cast("long").alias("id"), _floats(vectors, vector_col).alias("vector"), is_query.alias("asks"))
     base = base.where(F.col("id").isNotNull() & usable(F.col("vector")))
     shape = base.groupBy(F.size("vector").alias("dims")).agg(F.count(F.lit(1)).alias("n"), F.count_if("asks").alias("q")).orderBy(F.desc("n"), "dims").first()
     schema = "query_id long, id long, score double"
@@ -160,6 +167,20 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = 10, id_col: str = "ve
     model = Quantiser(_matrix(picked.column("vector").combine_chunks(), dims))
     blocks = max(1, -(-n_queries // QUERY_BLOCK))
 
+    def code(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for lo in range(0, batch.num_rows, SLICE_ROWS):
+                part = batch.slice(lo, SLICE_ROWS)
+                x = _matrix(part.column("vector"), dims)
+                packed = model.pack(model.encode(model.pad(x)))
+                width = packed.shape[1]
+                codes = pa.Array.from_buffers(pa.binary(width), len(x), [None, pa.py_buffer(np.ascontiguousarray(packed).tobytes())]).cast(pa.binary())
+                half = pa.array(((x * x).sum(axis=1) / 2).astype(np.float32))
+                yield pa.RecordBatch.from_arrays([part.column("id"), part.column("asks"), part.column("vector"), codes, half], names=["id", "asks", "vector", "codes", "half_norm"])
+
+    kind = dict(base.dtypes)["vector"]
+    base = written(base.select("id", "asks", "vector").mapInArrow(code, f"id long, asks boolean, vector {kind}, codes binary, half_norm float"), "codes")
+
     def scanner(queries) -> DataFrame:
         shared = spark.sparkContext.broadcast(queries)
 
@@ -173,8 +194,8 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = 10, id_col: str = "ve
                     ids = part.column("id").to_numpy()
                     order = np.argsort(ids, kind="stable")
                     ids, x = ids[order], _matrix(part.column("vector"), dims)[order]
-                    packed = model.pack(model.encode(model.pad(x)))
-                    norms = ((x * x).sum(axis=1) / 2).astype(np.float32)
+                    packed = np.frombuffer(b"".join(part.column("codes").to_pylist()), np.uint8).reshape(len(ids), -1)[order]
+                    norms = part.column("half_norm").to_numpy()[order]
                     for q0 in range(0, len(q_ids), 64):
                         scores = scan(model.tables(q[q0 : q0 + 64]), packed, norms)
                         for i, row in enumerate(scores, q0):
@@ -188,7 +209,7 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = 10, id_col: str = "ve
             row = np.nonzero(found)[0]
             yield pa.RecordBatch.from_arrays([pa.array(q_ids[row]), pa.array(best_id[found]), pa.array(best[found])], names=["query_id", "id", "score"])
 
-        return base.select("id", "vector").mapInArrow(run, schema)
+        return base.select("id", "vector", "codes", "half_norm").mapInArrow(run, schema)
 
     passes = []
     for b in range(blocks):
