@@ -19,6 +19,10 @@ verified by its exact multiset overlap on the texts; a class is a component of
 verified links.  A pair at similarity 0.8 shares no band, or agrees in too few
 positions, with probability below 1e-4.
 
+Rows are known by their id and a 64-bit hash of their text together, and bags by
+a 128-bit hash; nodes (distinct bags) get numbers of their own when they are
+written, so no two of them can meet by chance.
+
 How it scales: documents with equal bags are one node from the start; first
 blocks split a bucket by hash; later a bucket's largest component stays where it
 is and only rows of other components visit its blocks; texts travel only for
@@ -47,13 +51,13 @@ SHINGLE = 5
 SIMILARITY = 0.8
 BANDS, ROWS = 30, 5
 POSITIONS = BANDS * ROWS
-#: Signatures that agree in fewer positions belong to pairs below the similarity, but for one in 10**5.
-LEAST_AGREE = 99
+#: Signatures that agree in fewer positions belong to pairs below the similarity, but for two in 10**5;
+#: in the second pass, where bags decide, but for four in 10**8.
+LEAST_AGREE, LEAST_AGREE_BAGS = 99, 92
 CHUNK = 512
 BROADCAST_KEYS = 400_000
 #: Links up to this number are joined to components in one task; more in rounds of joins.
 LOCAL_LINKS = 1_000_000
-_LAST = 0x7FFFFFFFFFFFFFFF
 _U = np.uint64
 
 
@@ -151,8 +155,8 @@ def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             raw = pa.Array.from_buffers(pa.binary(POSITIONS), n, [None, pa.py_buffer(small.tobytes())]).cast(pa.binary())
             size = np.bincount(docs, weights=weights, minlength=n).astype(np.int64)
             yield pa.RecordBatch.from_arrays(
-                [part.column("ord"), part.column("key"), pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), pa.array(size), bands, raw],
-                names=["ord", "key", "d1", "d2", "size", "bands", "sig"],
+                [part.column("id"), part.column("hash"), pa.array(one.view(np.int64)), pa.array(two.view(np.int64)), pa.array(size), bands, raw],
+                names=["id", "hash", "d1", "d2", "size", "bands", "sig"],
             )
     trim_memory()
 
@@ -183,15 +187,16 @@ def _verify(similarity: float):
     return run
 
 
-def _texts(base: DataFrame, keys: DataFrame) -> DataFrame:
-    """key and text of the given keys: broadcast to the scan up to a number of keys, joined beyond it."""
-    keys = written(keys, "keys")
-    return base.select("key", "text").join(F.broadcast(keys) if keys.count() <= BROADCAST_KEYS else keys, "key", "left_semi")
+def _texts(base: DataFrame, nodes: DataFrame, keys: DataFrame) -> DataFrame:
+    """key and text of the given nodes: their rows are broadcast to the scan up to a number, joined beyond it."""
+    rows = written(nodes.select("key", F.col("id").alias("n_id"), F.col("hash").alias("n_hash")).join(keys, "key", "left_semi"), "keys")
+    on = base["id"].eqNullSafe(rows["n_id"]) & (base["hash"] == rows["n_hash"])
+    return base.select("id", "hash", "text").join(F.broadcast(rows) if rows.count() <= BROADCAST_KEYS else rows, on).select("key", "text")
 
 
-def _linked(pairs: DataFrame, base: DataFrame, similarity: float) -> DataFrame:
+def _linked(pairs: DataFrame, base: DataFrame, nodes: DataFrame, similarity: float) -> DataFrame:
     """Pairs (a, b) whose texts have the similarity."""
-    text = _texts(base, pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct())
+    text = _texts(base, nodes, pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct())
     right = text.select(F.col("key").alias("b"), F.col("text").alias("right"))
     left = text.select(F.col("key").alias("a"), F.col("text").alias("left"))
     # The member's text first: the join on the leader is then skewed in bytes, which Spark can split.
@@ -316,7 +321,7 @@ def _put_forward(similarity: float | None):
             if not len(other):
                 continue
             score = (own[ok] == sig[r]).sum(axis=1)
-            good = score >= LEAST_AGREE
+            good = score >= (LEAST_AGREE if similarity is None else LEAST_AGREE_BAGS)
             if similarity is not None and good.any():
                 index = index or _Bags(block.column("bag").to_pylist())
                 score = index.similarity(r)[other]
@@ -399,45 +404,45 @@ def _more_pairs(bands: DataFrame, nodes: DataFrame, comps: DataFrame, base: Data
     rows = rows.withColumn("at", F.explode(F.when(minor, F.array_union(home, guest)).otherwise(home)))
     rows = rows.select("band", "key", "comp", "at.part", "at.visit", (F.col("at.part") == F.col("own_part")).alias("home"), (F.col("guest_") & (F.col("at.visit") == F.col("own_visit"))).alias("guest"))
     rows = written(rows, "visits")
-    text = _texts(base, rows.select("key").distinct())
+    text = _texts(base, nodes, rows.select("key").distinct())
     bag = text.mapInArrow(_bag_rows, "key long, bag binary").dropDuplicates(["key"])
     return _blocks(rows.join(nodes.select("key", "sig"), "key").join(bag, "key"), similarity)
 
 
 def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = SIMILARITY) -> DataFrame:
-    """(id, key, class_id, class_size, stays): one row per input row; `stays` marks the class's smallest document."""
+    """(id, hash, class_id, class_size, stays): one row per input row; `stays` marks the class's smallest document (and rows that repeat it)."""
     bounded_batches(docs.sparkSession)
-    ident = F.col(id_col).cast("long")
-    base = docs.select(
-        F.coalesce(ident, F.lit(_LAST)).alias("ord"), F.xxhash64(ident, F.col(text_col)).alias("key"), F.coalesce(F.col(text_col), F.lit("")).alias("text")
-    )
-    signed = written(base.mapInArrow(_sign, "ord long, key long, d1 long, d2 long, size long, bands array<long>, sig binary"), "signed")
-    bag = signed.where("size > 0").groupBy("d1", "d2").agg(F.min("key").alias("key"), F.any_value("bands").alias("bands"), F.any_value("sig").alias("sig"))
-    nodes = written(bag, "nodes")
+    base = docs.select(F.col(id_col).alias("id"), F.xxhash64(F.col(text_col)).alias("hash"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    kind = dict(base.dtypes)["id"]
+    signed = written(base.mapInArrow(_sign, f"id {kind}, hash long, d1 long, d2 long, size long, bands array<long>, sig binary"), "signed")
+    # Nulls last: a null id counts as larger than any other.
+    row = F.struct(F.col("id").isNull().alias("none"), "id", "hash")
+    bag = signed.where("size > 0").groupBy("d1", "d2").agg(F.min(row).alias("row"), F.any_value("bands").alias("bands"), F.any_value("sig").alias("sig"))
+    nodes = written(bag.select(F.monotonically_increasing_id().alias("key"), "d1", "d2", "row.id", "row.hash", "bands", "sig"), "nodes")
     bands = nodes.select("key", F.explode("bands").alias("band"))
-    links = _linked(written(_first_pairs(bands, nodes), "pairs"), base, similarity)
+    links = _linked(written(_first_pairs(bands, nodes), "pairs"), base, nodes, similarity)
     comps = written(components(links), "comps")
     more = written(_more_pairs(bands, nodes, comps, base, similarity), "pairs")
     if more.take(1):
-        links = links.unionAll(_linked(more, base, similarity))
+        links = links.unionAll(_linked(more, base, nodes, similarity))
         comps = written(components(links), "comps")
     named = nodes.select("d1", "d2", "key").join(comps, F.col("key") == F.col("node"), "left").select("d1", "d2", F.coalesce("root", "key").alias("root"))
-    rows = signed.select("ord", "key", "d1", "d2", "size")
-    member = rows.where("size > 0").join(named, ["d1", "d2"]).select("ord", "key", F.struct(F.lit(1).alias("kind"), "root").alias("class"))
-    alone = rows.where("size = 0").select("ord", "key", F.struct(F.lit(0).alias("kind"), F.col("key").alias("root")).alias("class"))
+    rows = signed.select("id", "hash", "d1", "d2", "size")
+    # A text without shingles is a class of its own: its class is its row.
+    nobody = F.lit(None).cast(signed.select(row.alias("row")).schema["row"].dataType)
+    member = rows.where("size > 0").join(named, ["d1", "d2"]).select("id", "hash", F.struct("root", nobody.alias("row")).alias("class"))
+    alone = rows.where("size = 0").select("id", "hash", F.struct(F.lit(None).cast("long").alias("root"), row.alias("row")).alias("class"))
     member = member.unionAll(alone)
-    least = written(member.groupBy("class").agg(F.min(F.struct("ord", "key")).alias("first"), F.count(F.lit(1)).alias("class_size")), "least")
+    least = written(member.groupBy("class").agg(F.min(row).alias("first"), F.count(F.lit(1)).alias("class_size")), "least")
     out = member.join(least, "class")
-    shown = lambda c: F.when(c < F.lit(_LAST), c)
-    return out.select(
-        shown(F.col("ord")).alias("id"), "key", shown(F.col("first.ord")).alias("class_id"), "class_size", (F.col("key") == F.col("first.key")).alias("stays")
-    )
+    stays = F.col("id").eqNullSafe(F.col("first.id")) & (F.col("hash") == F.col("first.hash"))
+    return out.select("id", "hash", F.col("first.id").alias("class_id"), "class_size", stays.alias("stays"))
 
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = SIMILARITY) -> DataFrame:
-    """The rows, with all columns, of the smallest document of each class; of equal rows one."""
-    kept = near_classes(docs, id_col, text_col, similarity).where("stays").select(F.col("key").alias("_key")).distinct()
-    row = docs.select(F.struct("*").alias("_row"), F.xxhash64(F.col(id_col).cast("long"), F.col(text_col)).alias("_key"))
-    one = F.row_number().over(Window.partitionBy("_key").orderBy("_key"))
-    out = row.join(kept, "_key", "left_semi").withColumn("_n", one).where("_n = 1")
+    """The rows, with all columns, of the smallest document of each class; of rows that repeat id and text one."""
+    kept = near_classes(docs, id_col, text_col, similarity).where("stays").select(F.col("id").alias("_id"), F.col("hash").alias("_hash")).distinct()
+    row = docs.select(F.struct("*").alias("_row"), F.col(id_col).alias("_own"), F.xxhash64(F.col(text_col)).alias("_text"))
+    one = F.row_number().over(Window.partitionBy("_own", "_text").orderBy(F.lit(0)))
+    out = row.join(kept, row["_own"].eqNullSafe(kept["_id"]) & (row["_text"] == kept["_hash"]), "left_semi").withColumn("_n", one).where("_n = 1")
     return out.select(*[F.col("_row")[c].alias(c) for c in docs.columns])

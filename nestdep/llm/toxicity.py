@@ -15,7 +15,7 @@ odds of its bucket in that sample.  Only the text is an input of a score.
 Defined cases: a null or empty text has no words and gets the score of an
 empty window; repeated rows get equal scores; texts are never cut, very long
 ones have many windows; without labels of both classes all scores are 0; an
-empty table gives an empty result; other columns are ignored by
+empty table gives an empty result; a null id is not held out; other columns are ignored by
 `score_toxicity` and kept by `drop_toxic`.
 """
 
@@ -386,7 +386,7 @@ def document_scores(net: Network | None, column: pa.Array) -> np.ndarray:
 
 
 def held_out(id_col: Column) -> Column:
-    return F.crc32(id_col.cast("string").cast("binary")) % 3 == 1
+    return F.coalesce(F.crc32(id_col.cast("string").cast("binary")) % 3 == 1, F.lit(False))
 
 
 def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", per_class: int = SAMPLE_PER_CLASS) -> Network | None:
