@@ -4,8 +4,8 @@ A word enters as two vectors: one looked up by the hash of the word, one the
 mean over its character n-grams (with word borders), so inflected and unseen
 forms share what their stems teach.  A forward and a backward recurrent layer
 read a window of words, attention pools their states, and a linear layer gives
-the window's score.  All overlapping windows of the whole text are scored; the
-document's score is the largest, calibrated on the training sample.
+the window's score.  All overlapping windows of the whole text are scored, one
+starting every `STRIDE` words and `WINDOW` words long; the document's score is the largest, calibrated on the training sample.
 
 The network is trained here in numpy, in one task, on at most
 `SAMPLE_PER_CLASS` labelled documents of each class (those with the smallest
@@ -164,6 +164,8 @@ class Network:
         return inner, weight, context, context @ self.p["o"] + self.p["c"][0]
 
     def logits(self, x: Inputs, first: np.ndarray, size: np.ndarray, chunk: int = 1024) -> np.ndarray:
+        if not len(x.word):  # empty windows only: nothing to attend to
+            return np.full(len(first), self.p["c"][0], np.float32)
         embedded = self.embed(x)
         gf, gb = self.gates(embedded, "f"), self.gates(embedded, "b")
         out = np.empty(len(first), np.float32)

@@ -408,3 +408,82 @@ def test_quality_bands_tell_noise_from_language(spark, docs, odd_docs, no_docs,
     assert quality_rules.quality_verdict(quality_rules.quality_measures(no_docs, *paths[:1])).count() == 0
     named = odd_docs.withColumn("doc_id", F.concat(F.lit("d"), "doc_id"))
     assert {r["doc_id"] for r in quality_rules.quality_measures(named, paths[0]).collect()} >= {"d1", "d9", None}
+
+
+def plain_score(net, text):
+    """The network from its equations: word by word, window by window, in double precision."""
+    from nestdep.llm._text import fold, lower_ascii, mix, span_hash
+
+    p = {k: v.astype(np.float64) for k, v in net.p.items()}
+    sigmoid = lambda v: 1 / (1 + np.exp(-v))
+    H = toxicity.HIDDEN
+
+    def bucket(raw, border=0):
+        sums = fold(lower_ascii(np.frombuffer(raw, np.uint8)).astype(np.uint64) + np.uint64(1))
+        return span_hash(sums, np.array([0]), np.array([len(raw)])) ^ np.uint64(border)
+
+    def vector(word):
+        raw = word.encode()
+        grams = []
+        for g in (3, 4, 5):
+            grams += [(raw[i : i + g], 0) for i in range(len(raw) - g + 1)]
+            grams += [(raw[: g - 1], 1), (raw[len(raw) - (g - 1) :], 2)] if len(raw) >= g - 1 else []
+            grams += [(raw, 3)] if len(raw) == g - 2 else []
+        at = [int((mix(bucket(r, b)) >> np.uint64(40))[0] % np.uint64(toxicity.BUCKETS)) for r, b in grams]
+        own = int((bucket(raw) >> np.uint64(40))[0]) % toxicity.BUCKETS
+        return np.concatenate([p["word"][own], p["char"][at].mean(axis=0) if at else np.zeros(toxicity.CHAR_DIMS)])
+
+    def states(rows, side):
+        h, out = np.zeros(H), []
+        for v in rows:
+            g, u = v @ p["W" + side] + p["B" + side], h @ p["U" + side]
+            z, r = sigmoid(g[:H] + u[:H]), sigmoid(g[H : 2 * H] + u[H : 2 * H])
+            h = (1 - z) * h + z * np.tanh(g[2 * H :] + r * u[2 * H :])
+            out.append(h)
+        return out
+
+    words = [w for w in WORD.findall(text or "")]
+    starts = [0] if len(words) <= toxicity.WINDOW else sorted({min(k, len(words) - toxicity.WINDOW) for k in range(0, len(words) - toxicity.WINDOW + toxicity.STRIDE, toxicity.STRIDE)})
+    best = -np.inf
+    for s in starts:
+        rows = [vector(w) for w in words[s : s + toxicity.WINDOW]]
+        both = [np.concatenate(x) for x in zip(states(rows, "f"), states(rows[::-1], "b")[::-1])]
+        e = np.array([np.tanh(h @ p["A"] + p["a"]) @ p["v"] for h in both])
+        weight = np.exp(e - e.max()) / np.exp(e - e.max()).sum() if len(e) else e
+        context = sum((w * h for w, h in zip(weight, both)), np.zeros(2 * H))
+        best = max(best, context @ p["o"] + p["c"][0])
+    return float(sigmoid(net.scale * best + net.shift))
+
+
+def test_toxicity_scores_against_the_equations(spark, sf_dir):
+    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    net = toxicity.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"), per_class=30)
+    texts = [r["text"] for r in docs.orderBy("doc_id").limit(25).collect()] + [None, "", "a", "éß x", " ".join(f"w{i}" for i in range(100))]
+    got = toxicity.document_scores(net, pa.array([t or "" for t in texts], pa.large_string()))
+    for text, one in zip(texts, got):
+        assert one == pytest.approx(plain_score(net, text), abs=2e-4)
+
+
+def auc(score, label):
+    order = np.argsort(np.concatenate([score, [-1]]))[1:]  # ties do not matter here
+    rank = np.empty(len(score))
+    rank[order] = np.arange(1, len(score) + 1)
+    return (rank[label == 1].sum() - label.sum() * (label.sum() + 1) / 2) / (label.sum() * (label == 0).sum())
+
+
+def test_toxicity_ranks_held_out_documents(spark, sf_dir):
+    base = sf_dir.replace("sf0.001", "sf0.1")
+    rows = queries.op8_toxicity(spark, base).join(spark.read.parquet(f"{base}/labels.parquet").select("doc_id", "toxic"), "doc_id").where("held_out").collect()
+    score, label, said = (np.array([r[c] for r in rows]) for c in ("score", "toxic", "predicted"))
+    assert auc(score, label) > 0.94
+    assert said[label == 1].mean() > 0.7 and said[label == 0].mean() < 0.02
+
+
+def test_toxicity_threshold_takes_ties(spark):
+    df = spark.createDataFrame([(1, "a b"), (2, "a b"), (None, "c"), (4, None)], "doc_id long, text string")
+    net = toxicity.Network()
+    net.scale, net.shift = 0.0, float(np.log(0.7 / 0.3))  # every score is the threshold, as near as doubles tell
+    rows = toxicity.score_toxicity(df, net).collect()
+    assert len({r["score"] for r in rows}) == 1 and {r["predicted"] for r in rows} == {int(rows[0]["score"] >= 0.7)}
+    assert toxicity.drop_toxic(df, net).count() == (4 if rows[0]["score"] < 0.7 else 0)
+    assert df.select(toxicity.held_out(F.col("doc_id")).alias("h")).where("h is null").count() == 0
