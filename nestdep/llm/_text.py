@@ -114,7 +114,8 @@ class Words:
 
 
 def trim_memory() -> None:
-    """Give freed memory back to the system, where the C library can: workers outlive their tasks."""
+    """Give freed memory back to the system, Arrow's pool and, where it can, the C library's: workers outlive their tasks."""
+    pa.default_memory_pool().release_unused()
     trim = getattr(ctypes.CDLL(None), "malloc_trim", None) if sys.platform.startswith("linux") else None
     if trim is not None:
         trim(0)
@@ -187,6 +188,7 @@ def slices(batch: pa.RecordBatch, column: str, limit: int = SLICE_BYTES) -> Iter
         stop = min(max(stop, at + 1), batch.num_rows)
         yield batch.slice(at, stop - at)
         at = stop
+    trim_memory()  # batches come one after the other; what they freed would stay with the worker
 
 
 def join_words(words: Words, keep: np.ndarray) -> list[bytes]:
