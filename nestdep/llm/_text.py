@@ -67,6 +67,9 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
+_OTHER_BYTES = mix(np.arange(256, dtype=np.uint64) + _U(0xD6E8FEB86659FD93))
+
+
 def fold(values: np.ndarray) -> np.ndarray:
     """Running polynomial sums: out[i] covers values[:i]."""
     up, _ = _BYTE_POWERS.upto(len(values) + 1)
@@ -103,11 +106,10 @@ class Words:
     def docs(self) -> np.ndarray:
         return np.repeat(np.arange(len(self.first) - 1), self.counts)
 
-    def hashes(self, lower: bool = False) -> np.ndarray:
-        raw = self.raw
-        if lower:
-            raw = lower_ascii(raw)
-        return span_hash(fold(raw.astype(np.uint64) + _U(1)), self.starts, self.ends)
+    def hashes(self, lower: bool = False, other: bool = False) -> np.ndarray:
+        """64-bit hashes of the words; `other` ones are of other byte values, so words that share one differ in the other."""
+        raw = lower_ascii(self.raw) if lower else self.raw
+        return span_hash(fold(_OTHER_BYTES[raw] if other else raw.astype(np.uint64) + _U(1)), self.starts, self.ends)
 
     def text(self, k: int) -> bytes:
         return self.raw[self.starts[k] : self.ends[k]].tobytes()

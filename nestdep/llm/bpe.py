@@ -291,5 +291,5 @@ def encode_texts(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_
                 yield pa.RecordBatch.from_arrays(out, names=["id", "n_tokens", "token_ids", "decoded"])
         trim_memory()
 
-    base = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    return base.mapInArrow(run, "id long, n_tokens long, token_ids binary, decoded string").withColumnRenamed("id", id_col)
+    base = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    return base.mapInArrow(run, f"id {dict(base.dtypes)['id']}, n_tokens long, token_ids binary, decoded string").withColumnRenamed("id", id_col)

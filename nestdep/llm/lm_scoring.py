@@ -351,8 +351,10 @@ def score_texts(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col:
                             names=_NAMES,
                         )
 
-    base = docs.select(F.col(id_col).cast("long").alias("id"), F.xxhash64(F.col(id_col), F.col(text_col)).alias("key"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    schema = "id long, key long, n_tokens long, known long, base double, score double, bytes long, kind int, token long, times long"
+    # Two hashes of id and text make a row known: what is rare in it comes back by this key.
+    ident = F.struct(F.xxhash64(F.col(id_col), F.col(text_col)).alias("a"), F.xxhash64(F.col(text_col), F.col(id_col), F.lit(1)).alias("b"))
+    base = docs.select(F.col(id_col).alias("id"), ident.alias("key"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    schema = f"id {dict(base.dtypes)['id']}, key struct<a:long,b:long>, n_tokens long, known long, base double, score double, bytes long, kind int, token long, times long"
     out = written(base.mapInArrow(run, schema), "scores")
     rows = out.where("n_tokens is not null").drop("kind", "token", "times")
     copies = rows.groupBy("key").agg(F.count(F.lit(1)).alias("copies"))

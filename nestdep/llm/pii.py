@@ -153,8 +153,8 @@ def _find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def find_pii(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: id and entities, an array of (kind, start, end)."""
     bounded_batches(docs.sparkSession)
-    base = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    schema = "id long, entities array<struct<kind:string,start:long,end:long>>"
+    base = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    schema = f"id {dict(base.dtypes)['id']}, entities array<struct<kind:string,start:long,end:long>>"
     return base.mapInArrow(_find, schema).withColumnRenamed("id", id_col)
 
 

@@ -11,8 +11,10 @@ Only minimisers are counted first, about two for every `window` words.  Windows
 whose minimiser stays within one document cannot repeat, and only the others
 have their 128-bit hashes shuffled and counted.  Nothing is lost by this; it
 is a filter without false negatives.  Exact copies of a smaller document are
-told by their digest; all their windows repeat, so none is counted.  No group of rows is ever gathered: the
-smallest document of a hash comes from a partial aggregate and is joined back.
+told by their digest; all their windows repeat, so none is counted.  No group
+of rows is ever gathered: the smallest document of a hash comes from a partial
+aggregate and is joined back.  The two halves of a window's hash come from two
+hashes of each word.  Ids are numbers, as the smaller one counts.
 
 Defined cases: a null text is empty; a null id counts as larger than any other
 id; rows that repeat id and text get equal results, and do not repeat each
@@ -34,7 +36,6 @@ from ._text import fold, join_words, mix, slices, span_hash, words_of
 
 BROADCAST_KEYS = 400_000
 _LAST = 0x7FFFFFFFFFFFFFFF
-_SECOND = np.uint64(0xD6E8FEB86659FD93)
 
 
 def _sliding_min(values: np.ndarray, width: int) -> np.ndarray:
@@ -106,7 +107,7 @@ def _candidates(window: int):
                 if not len(starts):
                     continue
                 one = _hash_at(fold(hashes), starts, window)
-                two = _hash_at(fold(mix(hashes ^ _SECOND)), starts, window)
+                two = _hash_at(fold(words.hashes(other=True)), starts, window)
                 yield pa.RecordBatch.from_arrays(
                     [
                         pa.array(one.view(np.int64)),
@@ -174,31 +175,32 @@ def remove_repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col:
         F.xxhash64(ident, F.col(text_col)).alias("key"),
         F.coalesce(F.col(text_col), F.lit("")).alias("text"),
     )
+    row = ["ord", "key"]  # a row is known by its id and a hash of id and text together
     # A whole copy of a smaller document goes as one: its windows need not be counted.
-    narrow = written(base.select("ord", "key", F.md5("text").alias("whole")), "wholes")
+    narrow = written(base.select(*row, F.md5("text").alias("whole")), "wholes")
     # Smallest members are written before they are joined back: joins whose sides are both exchanges can be split where a key is hot.
-    lowest = written(narrow.groupBy("whole").agg(F.min(F.struct("ord", "key")).alias("one")), "lowest")
-    copies = narrow.join(lowest, "whole").where("ord > one.ord").select("key").distinct()
+    lowest = written(narrow.groupBy("whole").agg(F.min(F.struct(*row)).alias("one")), "lowest")
+    copies = narrow.join(lowest, "whole").where("ord > one.ord").select(*row).distinct()
     marks = written(base.mapInArrow(_minimisers(window), "mark long, ord long, key long"), "marks")
     shared = marks.groupBy("mark").agg(F.min("ord").alias("lo"), F.max("ord").alias("hi")).where("lo < hi").select("mark")
     shared = written(shared, "shared")
-    wanted = marks.select("mark", "key").join(shared, "mark").groupBy("key").agg(F.collect_set("mark").alias("marks"))
-    wanted = written(wanted.join(lowest.select(F.col("one.key").alias("key")), "key", "left_semi"), "wanted")
+    wanted = marks.join(shared, "mark").groupBy(*row).agg(F.collect_set("mark").alias("marks"))
+    wanted = written(wanted.join(lowest.select("one.*"), row, "left_semi"), "wanted")
     copies = written(copies, "copies")
     # Texts of documents that share nothing stay where they are, if the others are few enough to be told to all tasks.
-    keys = wanted.select("key").unionAll(copies).distinct()
+    keys = wanted.select(*row).unionAll(copies).distinct()
     few = keys.count() <= BROADCAST_KEYS
-    some = base.join(F.broadcast(keys), "key", "left_semi") if few else base
+    some = base.join(F.broadcast(keys), row, "left_semi") if few else base
     # Both joins with the texts ask for the same columns, so that one exchange of the texts serves both.
-    rows = some.join(wanted, "key").mapInArrow(_candidates(window), "h1 long, h2 long, ord long, key long, at int")
+    rows = some.join(wanted, row).mapInArrow(_candidates(window), "h1 long, h2 long, ord long, key long, at int")
     first = rows.groupBy("h1", "h2").agg(F.min("ord").alias("lo"), F.max("ord").alias("hi")).where("lo < hi").select("h1", "h2", "lo")
     first = written(first, "first")
-    found = rows.join(first, ["h1", "h2"]).where("ord > lo").groupBy("key").agg(F.collect_set("at").alias("found"))
+    found = rows.join(first, ["h1", "h2"]).where("ord > lo").groupBy(*row).agg(F.collect_set("at").alias("found"))
     none = F.array().cast("array<int>")
-    gone = found.select("key", "found", F.lit(False).alias("copy")).unionByName(copies.select("key", none.alias("found"), F.lit(True).alias("copy")))
-    out = some.join(gone, "key", "left")
+    gone = found.select(*row, "found", F.lit(False).alias("copy")).unionByName(copies.select(*row, none.alias("found"), F.lit(True).alias("copy")))
+    out = some.join(gone, row, "left")
     if few:
-        rest = base.join(F.broadcast(keys), "key", "left_anti")
+        rest = base.join(F.broadcast(keys), row, "left_anti")
         out = out.unionByName(rest.withColumns({"found": none, "copy": F.lit(False)}))
     done = out.mapInArrow(_cut(window), "id long, n_words long, n_removed long, spans array<struct<start:int,end:int>>, kept_text string")
     return done.withColumnRenamed("id", id_col)
