@@ -15,7 +15,7 @@ from collections.abc import Iterable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..sources.tables import written
+from ..sources.tables import forget_frame, written
 
 
 def _order(order: str, seed: int) -> Column:
@@ -39,9 +39,11 @@ def greedy_matching(edges: DataFrame, order: str = "lex", by: tuple[str, ...] =
         best = ranked.join(one, [*keys, "d1"]).join(two, [*keys, "d2"]).where("o = m1 and o = m2").select(*keys, "d1", "d2")
         best = written(best, "matched")
         gone = best.select(*keys, F.explode(F.array("d1", "d2")).alias("d"))
+        last = now
         for end in ("d1", "d2"):
             now = now.join(gone.withColumnRenamed("d", end), [*keys, end], "left_anti")
         now = written(now.select(*keys, "d1", "d2"), "edges")
+        forget_frame(last)
         taken = best if taken is None else taken.unionAll(best)
     return taken if taken is not None else now
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import atexit
 import tempfile
 import uuid
 
@@ -17,11 +18,12 @@ def load(spark: SparkSession, sf_dir: str, name: str, columns: list[str] | None
     return df.select(*columns) if columns else df
 
 
-def scratch(spark: SparkSession, what: str) -> str:
-    """A fresh path in the folder that all executors share (spark.checkpoint.dir).
+def scratch_root(spark: SparkSession) -> str:
+    """The application's own folder in the one that all executors share (spark.checkpoint.dir).
 
     Where the session names none, a folder of this machine does for a local
-    master only; on a cluster it would lose data, so that is an error.
+    master only; on a cluster it would lose data, so that is an error.  The
+    application's folder is deleted when the driver's interpreter ends.
     """
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
@@ -29,7 +31,19 @@ def scratch(spark: SparkSession, what: str) -> str:
             raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         base = "file://" + tempfile.mkdtemp(prefix="nestdep-")
         spark.sparkContext.setCheckpointDir(base)
-    return f"{base.rstrip('/')}/{what}-{uuid.uuid4().hex}"
+    root = f"{base.rstrip('/')}/nestdep-{spark.sparkContext.applicationId}"
+    if root not in _ROOTS:
+        _ROOTS.add(root)
+        atexit.register(_forget_quietly, spark, root)
+    return root
+
+
+_ROOTS: set[str] = set()
+
+
+def scratch(spark: SparkSession, what: str) -> str:
+    """A fresh path for intermediate results."""
+    return f"{scratch_root(spark)}/{what}-{uuid.uuid4().hex}"
 
 
 def forget(spark: SparkSession, path: str) -> None:
@@ -38,6 +52,19 @@ def forget(spark: SparkSession, path: str) -> None:
     place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)
 
 
+def _forget_quietly(spark: SparkSession, path: str) -> None:
+    try:
+        forget(spark, path)
+    except Exception:  # the JVM is gone: the folder stays for whoever cleans the shared one
+        pass
+
+
+def forget_frame(df: DataFrame) -> None:
+    """Delete the files behind a frame made by `written`."""
+    for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+        forget(df.sparkSession, folder)
+
+
 def written(df: DataFrame, what: str) -> DataFrame:
     """Cut the lineage of an iterative result: write it to the shared folder and read it again."""
     path = scratch(df.sparkSession, what)
