@@ -44,7 +44,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ._spark import bounded_batches, written
+from ._spark import bounded_batches, forget_frame, written
 from ._text import Words, claim, fold, mix, slices, span_hash, trim_memory, words_of
 
 SHINGLE = 5
@@ -252,7 +252,9 @@ def star_components(edges: DataFrame) -> DataFrame:
         least = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(least, "a")
         small = small.select(F.col("b").alias("a"), F.col("m").alias("b")).unionAll(least.select("a", F.col("m").alias("b")))
-        now = written(ranked(small), "stars")
+        last, now = now, written(ranked(small), "stars")
+        forget_frame(last)
+        forget_frame(large)
     roots = now.select(F.col("b").alias("node"), F.col("b").alias("root")).distinct()
     return now.select(F.col("a").alias("node"), F.col("b").alias("root")).unionAll(roots)
 
@@ -420,12 +422,16 @@ def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     bag = signed.where("size > 0").groupBy("d1", "d2").agg(F.min(row).alias("row"), F.any_value("bands").alias("bands"), F.any_value("sig").alias("sig"))
     nodes = written(bag.select(F.monotonically_increasing_id().alias("key"), "d1", "d2", "row.id", "row.hash", "bands", "sig"), "nodes")
     bands = nodes.select("key", F.explode("bands").alias("band"))
-    links = _linked(written(_first_pairs(bands, nodes), "pairs"), base, nodes, similarity)
+    pairs = written(_first_pairs(bands, nodes), "pairs")
+    links = _linked(pairs, base, nodes, similarity)
     comps = written(components(links), "comps")
     more = written(_more_pairs(bands, nodes, comps, base, similarity), "pairs")
     if more.take(1):
         links = links.unionAll(_linked(more, base, nodes, similarity))
-        comps = written(components(links), "comps")
+        first, comps = comps, written(components(links), "comps")
+        forget_frame(first)
+    for done in (pairs, more, links):
+        forget_frame(done)
     named = nodes.select("d1", "d2", "key").join(comps, F.col("key") == F.col("node"), "left").select("d1", "d2", F.coalesce("root", "key").alias("root"))
     rows = signed.select("id", "hash", "d1", "d2", "size")
     # A text without shingles is a class of its own: its class is its row.
