@@ -189,6 +189,20 @@ def nfds(collection: str, paths: list[str], documents: str, max_lhs: int = 3, hi
         SELECT '{kind}' AS kind, {_side("x", paths)} AS lhs, {_one("a", paths)} AS rhs, CAST(1.0 AS DOUBLE) AS strength, TRUE AS valid FROM m"""
 
 
+def flat_fds(flat: str, columns: dict[str, str], max_lhs: int = 2) -> str:
+    """Minimal classical dependencies of flat rows: as many left values as values of both sides. columns: name -> column of flat."""
+    names = list(columns)
+    k = len(names)
+    row = lambda x: "row(" + ", ".join([*(columns[n] for i, n in enumerate(names) if x >> i & 1), "0"]) + ")"
+    masks = [x for x in range(1 << k) if x.bit_count() <= max_lhs + 1]
+    counts = " UNION ALL ".join(f"SELECT {x} AS x, count(DISTINCT {row(x)}) AS n FROM f" for x in masks)
+    return f"""
+        WITH f AS ({flat}), n AS ({counts}),
+        ok AS (SELECT l.x, a FROM n l, range({k}) q(a), n b WHERE bit_count(l.x) <= {max_lhs} AND l.x & (1 << a) = 0 AND b.x = l.x | (1 << a) AND b.n = l.n)
+        SELECT 'fd' AS kind, {_side("x", names)} AS lhs, {_one("a", names)} AS rhs, CAST(1.0 AS DOUBLE) AS strength, TRUE AS valid
+        FROM ok o WHERE NOT EXISTS (SELECT 1 FROM ok i WHERE i.a = o.a AND i.x <> o.x AND i.x & o.x = i.x)"""
+
+
 def keys(collection: str, paths: list[str], documents: str, max_size: int = 3) -> str:
     """Minimal sets of paths that no pair of documents overlaps on."""
     return f"""

@@ -295,3 +295,11 @@ def test_strengths_known_from_the_histogram_make_no_edges(spark):
     for x, a in every:
         edges = [(i, j) for i, j, m in pairs if m & x == x and not m >> a & 1]
         assert found[x, a] == pytest.approx(1 - len(cover.sequential_cover(edges)) / len(rows))
+
+
+def test_static_miners_agree_on_nested_documents(spark, sf_dir):
+    from nestdep.sources.collections import build_collection
+
+    df = build_collection("conversation_docs", spark, sf_dir)
+    one, two = ({(r["lhs"], r["rhs"]) for r in functional.mine_functional(df, "conv_id", m, unrolling="static", max_lhs=2).collect()} for m in ("levelwise", "negative_cover"))
+    assert one == two and one
