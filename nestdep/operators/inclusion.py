@@ -20,7 +20,7 @@ from math import comb, perm
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.paths import EACH, Mark, PathExpr, as_path, named, path_type, path_values
@@ -71,15 +71,20 @@ def pair_counts(sigs: DataFrame, n_paths: int) -> DataFrame:
 
 
 def name_dependencies(pairs: DataFrame, names: list[str], theta: float, kind: str = "nind") -> DataFrame:
-    """Pairs with counts -> dependencies, all ordered pairs of paths that have values."""
-    spark = pairs.sparkSession
+    """Pairs with counts -> dependencies, all ordered pairs of paths that have values.
+
+    The counts are read once: they join the grid of all pairs of paths, and a
+    path's support is handed along its row and its column of the grid.
+    """
+    spark, n = pairs.sparkSession, len(names)
     catalog = spark.createDataFrame(list(enumerate(names)), "id int, name string")
-    support = pairs.where("lhs = rhs").select(F.col("lhs").alias("sid"), F.col("included").alias("support"))
-    left = support.join(F.broadcast(catalog.select(F.col("id").alias("sid"), F.col("name").alias("lhs_name"))), "sid")
-    right = support.select(F.col("sid").alias("tid")).join(F.broadcast(catalog.select(F.col("id").alias("tid"), F.col("name").alias("rhs_name"))), "tid")
-    every = left.join(F.broadcast(right), F.col("sid") != F.col("tid"))
-    counts = pairs.select(F.col("lhs").alias("sid"), F.col("rhs").alias("tid"), "included")
-    out = every.join(counts, ["sid", "tid"], "left").withColumn("included", F.coalesce("included", F.lit(0)))
+    grid = spark.range(n * n).select(F.expr(f"cast(id div {n} as int) as lhs"), F.expr(f"cast(id % {n} as int) as rhs"))
+    every = grid.join(pairs, ["lhs", "rhs"], "left")
+    own = F.max(F.when(F.col("lhs") == F.col("rhs"), F.col("included")))
+    every = every.withColumn("support", own.over(Window.partitionBy("lhs"))).withColumn("there", own.over(Window.partitionBy("rhs")))
+    every = every.where("lhs <> rhs and support is not null and there is not null").withColumn("included", F.coalesce("included", F.lit(0)))
+    out = every.join(F.broadcast(catalog.select(F.col("id").alias("lhs"), F.col("name").alias("lhs_name"))), "lhs")
+    out = out.join(F.broadcast(catalog.select(F.col("id").alias("rhs"), F.col("name").alias("rhs_name"))), "rhs")
     return dependency(out, kind, "lhs_name", "rhs_name", theta)
 
 
