@@ -53,7 +53,8 @@ def op5_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     base = F.flatten(F.array(*[of(k) for k in BASE_KINDS]))
     every = F.flatten(F.array(*[of(k) for k in KINDS]))
     counts = [F.size(of(k)).cast("long").alias(f"n_{k}") for k in BASE_KINDS]
-    return found.select("doc_id", *counts, F.sha2(spans_text(base), 256).alias("base_sha256"), spans_text(every).alias("spans"))
+    digest = F.sha2(spans_text(base), 256).alias("base_sha256")
+    return found.select("doc_id", *counts, digest, spans_text(every).alias("spans"), F.size("entities").cast("long").alias("n_entities"))
 
 
 def op6_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -294,3 +294,59 @@ def test_pipeline(spark, sf_dir):
     own = bpe.loaded(queries.vocabulary("word_bpe_49k.json"))
     want = collections.Counter((r["doc_id"], own.encode_batch([r["text"]])[0][1]) for r in mixed.collect())
     assert collections.Counter((r["doc_id"], bytes(r["token_ids"])) for r in last.collect()) == want
+
+
+def test_pipeline_on_odd_and_empty_tables(spark, sf_dir, odd_docs, no_docs, tmp_path):
+    """Nulls, blank and repeated rows, columns with the names operators use themselves, no rows at all."""
+    import corpus_pipeline
+
+    for k, docs in enumerate((odd_docs, no_docs)):
+        now = docs
+        for name, stage in corpus_pipeline.STAGES:
+            out = stage(spark, now, sf_dir)
+            if name != corpus_pipeline.STAGES[-1][0]:
+                assert out.columns == docs.columns, name
+            path = f"file://{tmp_path}/{k}-{name}"
+            out.write.parquet(path)
+            now = spark.read.parquet(path)
+        rows = now.collect()
+        assert bool(rows) == (k == 0)
+        assert all(r["n_tokens"] * 4 == len(r["token_ids"]) for r in rows)
+
+
+@pytest.mark.parametrize("limit", [400_000, 0])
+def test_warc_pages_of_any_shape(spark, tmp_path, monkeypatch, limit):
+    """Pages over one frame, no column of addresses, other columns with names of ours, digests told or joined."""
+    monkeypatch.setattr(warc, "FRAME_BYTES", 5000)
+    monkeypatch.setattr(warc, "BROADCAST_DIGESTS", limit)
+    big = "é" * 20_000
+    rows = [(1, big, "d"), (2, big, "x"), (3, "", None), (4, None, "y"), (5, "x" * 999, "z"), (6, "x" * 999, "z"), (7, "x" * 1000, "z"), (8, "x" * 1000, "z"), (8, "x" * 1000, "z"), (None, big, "n")]
+    pages = spark.createDataFrame(rows, "page_id long, html string, digest string").withColumns({"best": F.lit(1), "id": F.lit(0)})
+    where = f"file://{tmp_path}/odd-{limit}"
+    manifest = warc.write_archives(pages, where)
+    got = sorted(((r["id"], r["record_type"], r["refers_to"], r["payload_bytes"], r["url"]) for r in warc.read_archives(spark, where).collect()), key=str)
+    want = [(1, "revisit", 2, 40_000, None), (2, "response", None, 40_000, None), (3, "response", None, 0, None), (4, "response", None, 0, None), (5, "response", None, 999, None), (6, "response", None, 999, None),
+            (7, "revisit", 8, 1000, None), (8, "response", None, 1000, None), (8, "response", None, 1000, None), (None, "revisit", 2, 40_000, None)]
+    assert got == sorted(want, key=str) and manifest.count() == len(rows)
+
+
+def test_neighbours_in_blocks_with_other_columns(spark, sf_dir, monkeypatch):
+    df = spark.read.parquet(f"{sf_dir}/embeddings.parquet")
+    key = lambda x: sorted((r["query_id"], r["rank"], r["vec_id"], r["score"]) for r in x.collect())
+    want = key(neighbours.nearest(df, F.col("vec_id") % 100 == 0))
+    monkeypatch.setattr(neighbours, "QUERY_BLOCK", 2)
+    more = df.withColumns({"id": F.lit("x"), "vector": F.lit(1), "codes": F.lit(2), "asks": F.lit(None), "score": F.lit(0.0), "rank": F.lit(9)})
+    assert key(neighbours.nearest(more, F.col("vec_id") % 100 == 0)) == want
+    wide = df.withColumn("embedding", F.col("embedding").cast("array<double>"))
+    assert [r[:3] for r in key(neighbours.nearest(wide, F.col("vec_id") % 100 == 0))] == [r[:3] for r in want]
+
+
+def test_near_classes_with_ids_of_any_type(spark):
+    """Text ids, repeated ids with other texts, equal texts of other ids."""
+    passage = " ".join(f"p{i}" for i in range(60))
+    rows = [("b", passage), ("a", passage), ("a", "other words here"), ("a", passage), (None, passage), ("c", passage + " z"), ("d", None), ("e", "")]
+    df = spark.createDataFrame(rows, "doc_id string, text string")
+    got = {(r["id"], r["class_id"], r["class_size"]) for r in near_dedup.near_classes(df).collect()}
+    assert got == {("b", "a", 5), ("a", "a", 5), (None, "a", 5), ("c", "a", 5), ("a", "a", 1), ("d", "d", 1), ("e", "e", 1)}
+    kept = sorted(((r["doc_id"], r["text"]) for r in near_dedup.drop_near_copies(df).collect()), key=str)
+    assert kept == sorted([("a", passage), ("a", "other words here"), ("d", None), ("e", "")], key=str)
