@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .operators import functional, inclusion, overlap, results
-from .plans.cells import expansion, expansion_factor, unroll_dynamic
+from .plans.cells import expansion, expansion_factor, unroll_dynamic, unroll_static
 from .sources.collections import prefix_by_time, stored_collection, synthesize
 
 _PATHS = {
@@ -24,6 +24,8 @@ SCALE_PATHS = ["$.orderkey", "$.custkey", "$.status", "$.items[*].partkey", "$.i
 DAY_PATHS = ["$.user_id", "$.day", "$.events[*].event_type", "$.events[*].k", "$.events[*].value"]
 SHARES = (0.1, 0.25, 0.5, 1.0)
 SIZES = (25, 50, 100, 200, 500, 2000, 10**9)
+#: Arrays of a document, their width and their depth.
+GRID = ((1, 4, 1), (2, 4, 1), (3, 4, 1), (4, 4, 1), (2, 2, 1), (2, 8, 1), (2, 16, 1), (2, 4, 2), (2, 4, 3))
 STATIC_ROWS = 2e6
 SCALE_ROWS = 2e7
 LIMIT_S = 300.0
@@ -139,7 +141,7 @@ def functional_volumes(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...]
 def complexity_sweep(spark: SparkSession, n: int = 1000, repeat: int = 3) -> DataFrame:
     """More arrays, wider arrays, deeper arrays: rows of both unrollings and seconds."""
     rows = []
-    for arrays, width, depth in [(1, 4, 1), (2, 4, 1), (3, 4, 1), (4, 4, 1), (2, 2, 1), (2, 8, 1), (2, 16, 1), (2, 4, 2), (2, 4, 3)]:
+    for arrays, width, depth in GRID:
         docs = synthesize(spark, n, arrays, width, depth)
         factor = expansion_factor(docs.drop("doc_id")).first()["expansion"]
         seconds = {}
@@ -148,3 +150,15 @@ def complexity_sweep(spark: SparkSession, n: int = 1000, repeat: int = 3) -> Dat
             seconds[unrolling] = results.settled(results.time_run(run, repeat, LIMIT_S))["seconds"]
         rows.append((arrays, width, depth, float(factor), seconds["dynamic"], seconds["static"], results.improvement(seconds)))
     return spark.createDataFrame(rows, "arrays int, width int, depth int, expansion double, dynamic_s double, static_s double, improvement double")
+
+
+def complexity_volumes(spark: SparkSession, n: int = 1000) -> DataFrame:
+    """Of each shape: rows of static unrolling and cells of dynamic unrolling, both counted."""
+    out = None
+    for arrays, width, depth in GRID:
+        docs = synthesize(spark, n, arrays, width, depth)
+        rows = unroll_static(docs).agg(F.count(F.lit(1)).alias("unrolled_rows"))
+        cells = unroll_dynamic(docs, "doc_id").agg(F.count(F.lit(1)).alias("cells"))
+        row = rows.join(cells).select(F.lit(arrays).alias("arrays"), F.lit(width).alias("width"), F.lit(depth).alias("depth"), "unrolled_rows", "cells")
+        out = row if out is None else out.unionByName(row)
+    return out
