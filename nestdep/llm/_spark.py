@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from ..sources.tables import forget_frame, scratch, written
 
-__all__ = ["bounded_batches", "forget_frame", "scratch", "table", "written"]
+__all__ = ["bounded_batches", "forget_frame", "give_back", "scratch", "table", "written"]
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -27,3 +27,13 @@ def bounded_batches(spark: SparkSession) -> None:
         return
     if now <= 0 or now > BATCH_BYTES:
         spark.conf.set(key, str(BATCH_BYTES))
+
+
+def give_back(spark: SparkSession) -> None:
+    """Ask the executors' JVMs for one full collection, after which they give free heap back to the system.
+
+    A JVM's heap stays as large as it ever was, and Python workers then find no
+    room beside it.  One short task a core; an executor that gets none keeps its heap.
+    """
+    n = max(1, spark.sparkContext.defaultParallelism)
+    spark.range(0, n, 1, n).selectExpr("reflect('java.lang.System', 'gc') AS done").write.format("noop").mode("overwrite").save()
