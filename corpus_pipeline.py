@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from nestdep.deploy import ship
 from nestdep.llm import bpe, mixing, near_dedup, pii, toxicity
-from nestdep.llm._spark import scratch, table
+from nestdep.llm._spark import give_back, scratch, table
 from nestdep.llm.queries import vocabulary
 
 
@@ -21,33 +21,39 @@ def _measured(docs: DataFrame) -> DataFrame:
     return docs.withColumn("n_chars", F.char_length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else docs
 
 
+def _ready(spark: SparkSession) -> None:
+    """The package is with the workers, and the heap that the stage before left behind is free for them."""
+    ship(spark)
+    give_back(spark)
+
+
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose toxicity score reaches the threshold go."""
-    ship(spark)
+    _ready(spark)
     return toxicity.drop_toxic(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each class of near-duplicates stays."""
-    ship(spark)
+    _ready(spark)
     return near_dedup.drop_near_copies(docs)
 
 
 def redact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Personal data give way to the name of their kind."""
-    ship(spark)
+    _ready(spark)
     return _measured(pii.redact_pii(docs))
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One row for each time the mix takes a document."""
-    ship(spark)
+    _ready(spark)
     return _measured(mixing.mixed_documents(docs))
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, n_tokens, token_ids (little-endian unsigned 32-bit) and decoded text of each row of the mix."""
-    ship(spark)
+    _ready(spark)
     return bpe.encode_texts(docs, vocabulary("word_bpe_49k.json"))
 
 
