@@ -447,8 +447,11 @@ def near_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", similarity: float = SIMILARITY) -> DataFrame:
     """The rows, with all columns, of the smallest document of each class; of rows that repeat id and text one."""
-    kept = near_classes(docs, id_col, text_col, similarity).where("stays").select(F.col("id").alias("_id"), F.col("hash").alias("_hash")).distinct()
-    row = docs.select(F.struct("*").alias("_row"), F.col(id_col).alias("_own"), F.xxhash64(F.col(text_col)).alias("_text"))
-    one = F.row_number().over(Window.partitionBy("_own", "_text").orderBy(F.lit(0)))
-    out = row.join(kept, row["_own"].eqNullSafe(kept["_id"]) & (row["_text"] == kept["_hash"]), "left_semi").withColumn("_n", one).where("_n = 1")
+    # One struct is the key of the join and of the window, so that texts are exchanged once; null ids are equal within it.
+    kept = near_classes(docs, id_col, text_col, similarity).where("stays").select(F.struct("id", "hash").alias("_key")).distinct()
+    kind = dict(kept.dtypes)["_key"]
+    ident = F.struct(F.col(id_col).alias("id"), F.xxhash64(F.col(text_col)).alias("hash")).cast(kind)  # the same type, or the exchange is not shared
+    row = docs.select(F.struct("*").alias("_row"), ident.alias("_key"))
+    one = F.row_number().over(Window.partitionBy("_key").orderBy(F.lit(0)))
+    out = row.join(kept, "_key", "left_semi").withColumn("_n", one).where("_n = 1")
     return out.select(*[F.col("_row")[c].alias(c) for c in docs.columns])
