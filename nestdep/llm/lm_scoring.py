@@ -34,7 +34,7 @@ import pyarrow.parquet as pq
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._spark import bounded_batches, scratch, written
+from ._spark import bounded_batches, give_back, scratch, written
 from ._text import claim, lower_ascii, mix, slices, words_of
 from .warc import _store
 
@@ -313,6 +313,7 @@ def _per_document(keys: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.nda
 def score_texts(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id, held_out, n_tokens, n_known, train_tokens, base_score, score, bits_per_byte of each document."""
     bounded_batches(docs.sparkSession)
+    give_back(docs.sparkSession)  # training leaves large heaps, scoring needs room for workers
     often, total, distinct = model.often, model.total, model.distinct
     shared = docs.sparkSession.sparkContext.broadcast(model.head)
     room = np.log10(total + distinct + 1.0)
