@@ -150,12 +150,18 @@ def _walk(value: Column, steps: tuple, kind: T.DataType) -> tuple[Column, bool]:
     return _walk(value.getField(step), rest, kind[step].dataType)
 
 
-def path_values(df: DataFrame, path: str | PathExpr) -> Column:
-    """Array of the non-null values of each document at a path; empty if it has none."""
+def path_raw(df: DataFrame, path: str | PathExpr) -> tuple[Column, bool]:
+    """What stands at a path, nulls and all: one value, or (True) an array of values that may be null itself."""
     path = as_path(path)
     path_type(df.schema, path)  # a clear error for a wrong path
     first, rest = path.steps[0], path.steps[1:]
-    value, many = _walk(named(first), rest, df.schema[first].dataType)
+    return _walk(named(first), rest, df.schema[first].dataType)
+
+
+def path_values(df: DataFrame, path: str | PathExpr) -> Column:
+    """Array of the non-null values of each document at a path; empty if it has none."""
+    path = as_path(path)
+    value, many = path_raw(df, path)
     array = value if many else F.array(value)
     return F.coalesce(F.filter(array, lambda x: x.isNotNull()), F.array().cast(T.ArrayType(path_type(df.schema, path))))
 

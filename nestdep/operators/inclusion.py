@@ -23,6 +23,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..deploy import ship
 from ..functions.paths import EACH, Mark, PathExpr, as_path, named, path_type, path_values
 from ..functions.values import keys_of, value_key
 from ..plans.cells import TooLarge, cells_of_flat, register_metadata, resolve, unroll_dynamic, unroll_static
@@ -221,6 +222,7 @@ def sorted_rounds(cells: DataFrame, names: list[str], theta: float, rounds: tupl
     candidate goes when it misses more of them than the threshold forgives.
     """
     spark, n = cells.sparkSession, len(names)
+    ship(spark)  # combining and merging run in Python workers
     ends = [sum(rounds[: k + 1]) for k in range(len(rounds))]
     place = F.pmod(F.xxhash64("value"), F.lit(ends[-1]))
     turn = F.when(F.lit(False), 0)

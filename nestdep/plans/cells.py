@@ -14,7 +14,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..functions.paths import EACH, KEY, VALUE, PathExpr, as_path, leaf_paths, named, path_type, path_values
+from ..functions.paths import EACH, KEY, VALUE, PathExpr, as_path, leaf_paths, named, path_raw, path_type, path_values
 from ..functions.values import keys_of, value_key
 
 
@@ -41,8 +41,18 @@ def resolve(df: DataFrame, doc_id: str, paths: list[str] | None) -> list[PathExp
     return [as_path(p) for p in paths] if paths is not None else leaf_paths(df.schema, exclude=(doc_id,) if doc_id not in {f.name for f in df.schema} else ())
 
 
-def _tagged(values: Column, path_id: int) -> Column:
-    return F.transform(values, lambda v: F.struct(F.lit(path_id).alias("path_id"), v.alias("value")))
+def _cell(key: Column, path_id: int) -> Column:
+    return F.struct(F.lit(path_id).alias("path_id"), key.alias("value"))
+
+
+def _cells_at(df: DataFrame, path: PathExpr, path_id: int) -> Column:
+    """Array of the cells of a path, with null values: one lambda for an array, none for a single value."""
+    kind = path_type(df.schema, path)
+    value, many = path_raw(df, path)
+    if not many:
+        return F.array(_cell(value_key(value, kind), path_id))
+    none = F.array().cast("array<struct<path_id:int,value:string>>")
+    return F.coalesce(F.transform(value, lambda v: _cell(value_key(v, kind), path_id)), none)
 
 
 def unroll_dynamic(df: DataFrame, doc_id: str, paths: list[str] | None = None, array_mode: str = "elements") -> DataFrame:
@@ -54,15 +64,15 @@ def unroll_dynamic(df: DataFrame, doc_id: str, paths: list[str] | None = None, a
         names = paths or df.columns
         kinds = {f.name: f.dataType for f in df.schema}
         made = [
-            F.array(F.concat(F.lit("a"), F.to_json(named(n))) if isinstance(kinds[n], (T.ArrayType, T.StructType, T.MapType)) else value_key(named(n), kinds[n]))
+            F.concat(F.lit("a"), F.to_json(named(n))) if isinstance(kinds[n], (T.ArrayType, T.StructType, T.MapType)) else value_key(named(n), kinds[n])
             for n in names
         ]
-        each = [F.filter(x, lambda v: v.isNotNull()) for x in made]
+        each = [F.array(_cell(x, i)) for i, x in enumerate(made)]
     else:
-        chosen = resolve(df, doc_id, paths)
-        each = [keys_of(path_values(df, p), path_type(df.schema, p)) for p in chosen]
-    tagged = F.flatten(F.array(*[_tagged(v, i) for i, v in enumerate(each)]))
-    return df.select(named(doc_id).alias("doc_id"), F.explode(tagged).alias("cell")).select("doc_id", "cell.path_id", "cell.value")
+        each = [_cells_at(df, p, i) for i, p in enumerate(resolve(df, doc_id, paths))]
+    # Missing values are dropped behind the generator, in compiled code.
+    rows = df.select(named(doc_id).alias("doc_id"), F.explode(F.concat(*each)).alias("cell")).select("doc_id", "cell.path_id", "cell.value")
+    return rows.where(F.col("value").isNotNull())
 
 
 def profiles(df: DataFrame, doc_id: str, paths: list[str] | None = None) -> DataFrame:
