@@ -75,11 +75,13 @@ def name_dependencies(pairs: DataFrame, names: list[str], theta: float, kind: st
     """Pairs with counts -> dependencies, all ordered pairs of paths that have values.
 
     The counts are read once: they join the grid of all pairs of paths, and a
-    path's support is handed along its row and its column of the grid.
+    path's support is handed along its row and its column of the grid.  All this
+    is one partition, as it has one row a pair of paths whatever the data.
     """
     spark, n = pairs.sparkSession, len(names)
+    pairs = pairs.coalesce(1)
     catalog = spark.createDataFrame(list(enumerate(names)), "id int, name string")
-    grid = spark.range(n * n).select(F.expr(f"cast(id div {n} as int) as lhs"), F.expr(f"cast(id % {n} as int) as rhs"))
+    grid = spark.range(0, n * n, 1, 1).select(F.expr(f"cast(id div {n} as int) as lhs"), F.expr(f"cast(id % {n} as int) as rhs"))
     every = grid.join(pairs, ["lhs", "rhs"], "left")
     own = F.max(F.when(F.col("lhs") == F.col("rhs"), F.col("included")))
     every = every.withColumn("support", own.over(Window.partitionBy("lhs"))).withColumn("there", own.over(Window.partitionBy("rhs")))

@@ -159,7 +159,9 @@ def stored_collection(name: str, spark: SparkSession, sf_dir: str, paths: list[s
     place = spark.sparkContext.applicationId, name, sf_dir, cap
     if place not in _STORED:
         path = scratch(spark, f"collection-{name}")
-        build_collection(name, spark, sf_dir, cap).write.parquet(path)
+        # As many files as the session has shuffle partitions or cores, dealt by key: small collections would else be one or two.
+        parts = max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions")))
+        build_collection(name, spark, sf_dir, cap).repartition(parts, COLLECTIONS[name][1]).write.parquet(path)
         _STORED[place] = path
     schema = spark.read.parquet(_STORED[place]).schema
     if paths is not None:
