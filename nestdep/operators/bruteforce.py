@@ -15,11 +15,11 @@ from .inclusion import dependency
 ROW_LIMIT = 5_000
 
 
-def bruteforce_ninds(df: DataFrame, doc_id: str, theta: float = 1.0, paths: list[str] | None = None, limit: int = 200_000) -> DataFrame:
-    """Each ordered pair of paths, each value of the left one looked up at the right one."""
+def bruteforce_ninds(df: DataFrame, doc_id: str, theta: float = 1.0, paths: list[str] | None = None, limit: int | None = None) -> DataFrame:
+    """Each ordered pair of paths, each value of the left one looked up at the right one: values times paths, so refused only on demand."""
     names = [str(p) for p in resolve(df, doc_id, paths)]
     values = unroll_dynamic(df, doc_id, names).select("path_id", "value").distinct()
-    if (n := values.count()) > limit:
+    if limit is not None and (n := values.count()) > limit:
         raise TooLarge(f"{n} values; the limit is {limit}")
     there = values.select(F.col("path_id").alias("r"), "value", F.lit(1).alias("hit"))
     right = values.select(F.col("path_id").alias("r")).distinct()
