@@ -3,7 +3,7 @@
 import random
 from itertools import combinations
 
-from nestdep.operators import functional, overlap
+from nestdep.operators import bruteforce, functional, overlap
 from nestdep.operators.overlap_counts import mask_counts
 from nestdep.plans import cells as plans
 
@@ -42,3 +42,26 @@ def test_more_pairs_than_the_limit_give_the_same(spark, monkeypatch):
     assert functional.mask_histogram(df, "id", PATHS)[0] == plain(rows)
     assert [functional.mine_functional(df, "id", paths=PATHS).collect(), overlap.overlap_holds(cells, [1], 0).collect()] == want
     assert functional.count_violations(df, "id", ["$.b[*]"], ["$.a", "$.c[*]"], limit=3).collect() == violating
+
+
+def test_errors_and_strengths_of_groups_equal_those_of_pairs(spark):
+    rng = random.Random(3)
+    rows = [(i, rng.randint(0, 2), rng.choice([None, 0, 1, 2, 3])) for i in range(40)]
+    df = spark.createDataFrame(rows, "id long, x int, y int")
+    error = lambda **o: functional.nfd_error(df, "id", ["$.x"], ["$.y"], **o).collect()
+    assert error(limit=3) == error()
+    names = df.selectExpr("id", "x", "id as y")  # all differ: every order of pairs takes half of each group
+    strength = lambda **o: functional.nfd_strength(names, "id", ["$.x"], ["$.y"], **o).collect()
+    assert strength(limit=3) == strength()
+
+
+def test_brute_force_compares_equal_documents_once(spark):
+    rows = [(i, i % 3, [i % 2, 7], [i % 5 if i % 4 else i]) for i in range(60)]
+    df = spark.createDataFrame(rows, "id long, a int, b array<int>, c array<int>")
+    found = {tuple(r) for r in functional.mine_functional(df, "id", "negative_cover", paths=PATHS).collect()}
+    assert {tuple(r) for r in bruteforce.bruteforce_nfds(df, "id", PATHS, limit=40).collect()} == found
+
+
+def test_brute_force_inclusion_has_no_limit_of_its_own(spark):
+    df = spark.range(200_001).selectExpr("id", "id as x")
+    assert [r["valid"] for r in bruteforce.bruteforce_ninds(df, "id", paths=["$.id", "$.x"]).collect()] == [True, True]
