@@ -247,6 +247,15 @@ def test_sorted_miner_equals_the_inverted_one(spark, theta):
         assert all(x["candidates"] >= y["candidates"] for x, y in zip(seen, seen[1:]))
 
 
+def test_sorted_rounds_read_distinct_values(spark):
+    """Values that many tasks hold are stored once for each path, not once a task."""
+    rows = [(i, [f"v{i % 5}"], [f"v{i % 3}"]) for i in range(64)]
+    df = spark.createDataFrame(rows, "id long, a array<string>, b array<string>").repartition(8)
+    paths = ["$.a[*]", "$.b[*]"]
+    _, seen = inclusion.sorted_rounds(plans.unroll_dynamic(df, "id", paths), paths, 0.5, (1,))
+    assert [s["cells"] for s in seen] == [8]
+
+
 def test_merge_counts_runs_across_batches_and_words(spark):
     """More than 62 paths, runs that cross Arrow batches."""
     rows = [(p, f"n{v}") for v in range(300) for p in range(70) if (v + p) % 3]

@@ -2,7 +2,7 @@
 
 from pyspark.sql import functions as F
 
-from nestdep.sources.collections import prefix_by_time
+from nestdep.sources.collections import prefix_by_time, prefixes_by_time
 
 
 def test_prefixes_equal_sorted_ones_and_limit_nothing(spark):
@@ -14,3 +14,16 @@ def test_prefixes_equal_sorted_ones_and_limit_nothing(spark):
         plan = got._jdf.queryExecution().optimizedPlan().toString()
         assert "LeftSemi" in plan if n < 100 else "Limit" not in plan
         assert got.agg(F.count(F.lit(1))).first()[0] == n
+
+
+def test_prefixes_of_all_sizes_come_from_one_set_of_ranges(spark, monkeypatch):
+    from nestdep.sources import collections
+
+    made, real = [], collections.written
+    monkeypatch.setattr(collections, "written", lambda df, what: made.append(what) or real(df, what))
+    df = spark.range(60).selectExpr("id", "timestamp_seconds(id * 37 % 11) as at")
+    want = [r["id"] for r in sorted(df.collect(), key=lambda r: (r["at"], r["id"]))]
+    sizes = [1, 17, 59, 60]
+    for n, got in zip(sizes, prefixes_by_time(df, "at", sizes, "id")):
+        assert sorted(r["id"] for r in got.collect()) == sorted(want[:n])
+    assert made == ["times"]
