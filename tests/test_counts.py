@@ -44,6 +44,17 @@ def test_more_pairs_than_the_limit_give_the_same(spark, monkeypatch):
     assert functional.count_violations(df, "id", ["$.b[*]"], ["$.a", "$.c[*]"], limit=3).collect() == violating
 
 
+def test_validated_miner_beyond_the_limit_of_pairs(spark, monkeypatch):
+    """Single-valued paths of which most pairs share a value, as customers' segments and nations."""
+    rows = [(i, i % 3, i % 8, i % 8 // 4) for i in range(80)]
+    df = spark.createDataFrame(rows, "id long, segment int, nation int, region int")
+    paths = ["$.segment", "$.nation", "$.region"]
+    want = functional.mine_functional(df, "id", paths=paths, max_lhs=2).collect()
+    monkeypatch.setattr(overlap, "PAIR_LIMIT", 3)
+    assert functional.mine_validated(df, "id", paths, 2, sample=0.5)[0].collect() == want
+    assert [(r["lhs"], r["rhs"]) for r in want] == [("$.nation", "$.region")]
+
+
 def test_errors_and_strengths_of_groups_equal_those_of_pairs(spark):
     rng = random.Random(3)
     rows = [(i, rng.randint(0, 2), rng.choice([None, 0, 1, 2, 3])) for i in range(40)]
