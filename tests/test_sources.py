@@ -1,5 +1,6 @@
 import os
 
+import pytest
 from pyspark.sql import functions as F
 
 from nestdep.operators import results
@@ -155,3 +156,15 @@ def test_timed_runs_end_at_their_limit(spark):
     with pytest.raises(Exception):
         results.settled(results.time_run(lambda: spark.range(1).select(F.raise_error(F.lit("x"))), 1))
     assert results.settled(results.time_run(lambda: spark.range(1), 1, 60.0))["status"] == "ok"
+
+
+def test_capped_products_are_cut_from_the_stored_whole_ones(spark, sf_dir, monkeypatch):
+    from nestdep.sources import collections
+
+    whole = collections.stored_collection("product_docs", spark, sf_dir)
+    want = collections.build_collection("product_docs", spark, sf_dir, cap=2)
+    rows = lambda df: sorted(map(str, df.drop("size_rank").collect()))
+    monkeypatch.setattr(collections, "build_collection", lambda *a: pytest.fail("the joins run again"))
+    got = collections.stored_collection("product_docs", spark, sf_dir, cap=2)
+    assert rows(got) == rows(want) != rows(whole)
+    assert all(set(r["related"]["returned_with"]) <= set(r["related"]["ordered_with"]) for r in got.collect())
