@@ -3,6 +3,8 @@
 import random
 from itertools import combinations
 
+import pytest
+
 from nestdep.operators import bruteforce, functional, overlap
 from nestdep.operators.overlap_counts import mask_counts
 from nestdep.plans import cells as plans
@@ -55,6 +57,26 @@ def test_validated_miner_beyond_the_limit_of_pairs(spark, monkeypatch):
     assert [(r["lhs"], r["rhs"]) for r in want] == [("$.nation", "$.region")]
 
 
+@pytest.mark.parametrize("sample", [1.0, 0.1])
+def test_validated_miner_of_more_pairs_than_any_default_limit(spark, sample):
+    """72 million pairs share a value: in the sample, or where the one violating pair is looked for (no extreme of its group is in it)."""
+    y = "CASE id WHEN 0 THEN array(1, 4) WHEN 1 THEN array(2, 5) WHEN 2 THEN array(4, 5) ELSE array(0, 4, 5) END"
+    df = spark.range(12_000).selectExpr("id", "0 as x", f"{y} as y")
+    assert df.where("id < 2").where(functional.hash_sample("id")(0, 0.1)).count() < 2
+    found = functional.mine_validated(df, "id", ["$.x", "$.y[*]"], 2, sample=sample)[0].collect()
+    assert [(r["lhs"], r["rhs"]) for r in found] == [("", "$.x")]
+
+
+def test_validated_miner_of_more_right_sides_than_the_limit(spark):
+    """Any two right sides overlap, but no value is in all of them: 13,000 would be compared with a third of them."""
+    y = "array(id % 3, (id + 1) % 3, id + 3)"
+    df = spark.range(13_000).selectExpr("id", "id % 2 as x", f"{y} as y")
+    found = functional.mine_validated(df, "id", ["$.x", "$.y[*]"], 2, sample=0.01)[0].collect()
+    assert [(r["lhs"], r["rhs"]) for r in found] == [("", "$.y[*]")]
+    with pytest.raises(plans.TooLarge):
+        functional.mine_validated(df, "id", ["$.x", "$.y[*]"], 2, sample=0.01, limit=overlap.PAIR_LIMIT)
+
+
 def test_errors_and_strengths_of_groups_equal_those_of_pairs(spark):
     rng = random.Random(3)
     rows = [(i, rng.randint(0, 2), rng.choice([None, 0, 1, 2, 3])) for i in range(40)]
