@@ -5,7 +5,7 @@ from itertools import combinations
 
 import pytest
 
-from nestdep.operators import bruteforce, functional, overlap
+from nestdep.operators import bruteforce, functional, overlap, results
 from nestdep.operators.overlap_counts import mask_counts
 from nestdep.plans import cells as plans
 
@@ -98,3 +98,17 @@ def test_brute_force_compares_equal_documents_once(spark):
 def test_brute_force_inclusion_has_no_limit_of_its_own(spark):
     df = spark.range(200_001).selectExpr("id", "id as x")
     assert [r["valid"] for r in bruteforce.bruteforce_ninds(df, "id", paths=["$.id", "$.x"]).collect()] == [True, True]
+
+
+def test_many_subsets_of_few_pairs_are_compared(spark):
+    """Ten values on each of two paths: a million subsets a document, but only nine documents on each side that it meets."""
+    df = spark.range(90).selectExpr("id", "sequence(id, id + 9) as b", "sequence(id, id + 9) as c")
+    cells = plans.unroll_dynamic(df, "id", ["$.b[*]", "$.c[*]"])
+    found = {}
+
+    def count():
+        found.update(mask_counts(cells, 2))
+        return spark.range(1)
+
+    assert results.time_run(count, 1, 60)["status"] == "ok"
+    assert found == {3: sum(90 - k for k in range(1, 10))}
