@@ -112,3 +112,20 @@ def test_many_subsets_of_few_pairs_are_compared(spark):
 
     assert results.time_run(count, 1, 60)["status"] == "ok"
     assert found == {3: sum(90 - k for k in range(1, 10))}
+
+
+@pytest.mark.parametrize("options", [{}, {"method": "negative_cover", "pooling": "per_mask"}, {"order": "affine", "theta": 0.6}])
+def test_approximate_miners_beyond_the_limit_of_pairs(spark, options):
+    """72 million pairs share their only x: bounds decide most candidates, covers of few pairs the others."""
+    df = spark.range(12_000).selectExpr("id", "0 as x", "id div 2 as y", "array(id div 4, IF(id % 40 = 0, -1, id div 3)) as z")
+    few = df.where("id < 120")
+    mine = lambda d, **o: functional.mine_functional(d, "id", **({"theta": 0.9, "max_lhs": 2, "paths": ["$.x", "$.y", "$.z[*]"]} | options | o))
+    found = {(r["lhs"], r["rhs"]) for r in mine(df).collect()}
+    assert ("", "$.x") in found and ("$.y", "$.z[*]") in found and ("$.x", "$.y") not in found
+    with pytest.raises(plans.TooLarge):
+        mine(df, limit=overlap.PAIR_LIMIT).collect()
+    want = mine(few).collect()
+    with pytest.MonkeyPatch.context() as patch:
+        patch.setattr(functional, "PAIR_LIMIT", 7_000)  # 7,140 pairs share x
+        patch.setattr(overlap, "PAIR_LIMIT", 7_000)
+        assert mine(few).collect() == want
