@@ -129,3 +129,16 @@ def test_approximate_miners_beyond_the_limit_of_pairs(spark, options):
         patch.setattr(functional, "PAIR_LIMIT", 7_000)  # 7,140 pairs share x
         patch.setattr(overlap, "PAIR_LIMIT", 7_000)
         assert mine(few).collect() == want
+
+
+@pytest.mark.parametrize("limit", [100, 3_000])
+def test_strengths_of_more_pairs_than_the_limit(spark, monkeypatch, limit):
+    """Slices of the order give the same covers as all pairs at once."""
+    df, _ = docs_of(spark, 4, 90)
+    cells = plans.unroll_dynamic(df, "id", PATHS)
+    candidates = [(x, a) for x in range(1, 8) for a in range(3) if not x >> a & 1]
+    want = functional.strengths(cells, 3, candidates, 90)
+    assert len({round(s, 2) for s in want.values()}) > 3
+    monkeypatch.setattr(functional, "PAIR_LIMIT", limit)
+    monkeypatch.setattr(functional, "candidate_strengths", None)
+    assert functional.strengths(cells, 3, candidates, 90) == want
